@@ -1,0 +1 @@
+"""Deletion propagation: regression models kept up to date as views over their training rows."""
