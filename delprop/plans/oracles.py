@@ -33,14 +33,14 @@ def label(kind: str, m: int, q: int = 1, key: str = "sample_id") -> str:
 def small(columns: int = 3, kind: str = "linear", q: int = 1) -> str:
     """CTE ``fx``: sample_id, x, y, is_valid of the small fixture."""
     x = ", ".join([*SMALL[:columns], "1.0"])
-    return f"""raw AS (SELECT {ID} AS sample_id, [{x}]::DOUBLE[] AS x FROM lineitem),
-fx AS (SELECT sample_id, x, ({label(kind, columns + 1, q)})::DOUBLE AS y, {u('sample_id', "'split'")} < 0.1 AS is_valid FROM raw)"""
+    return f"""raw AS MATERIALIZED (SELECT {ID} AS sample_id, [{x}]::DOUBLE[] AS x FROM lineitem),
+fx AS MATERIALIZED (SELECT sample_id, x, ({label(kind, columns + 1, q)})::DOUBLE AS y, {u('sample_id', "'split'")} < 0.1 AS is_valid FROM raw)"""
 
 
 def blocked(schedule: str, tau: int, batch: int | None, source: str = "fx") -> str:
     """CTEs ``size`` (n, k) and ``bl`` (all rows of ``fx`` with block b) and the number of blocks as ``nb``."""
     k = f"ceil(count(*) / {batch}.0)::INT" if batch else "1"
-    size = f"size AS (SELECT count(*) AS n, {k} AS k FROM fx)"
+    size = f"size AS MATERIALIZED (SELECT count(*) AS n, {k} AS k FROM fx)"
     rows = {
         "full": f"SELECT f.*, 0 AS b FROM {source} f",
         "cyclic": f"SELECT f.*, floor({u('sample_id', repr('batch'))} * k)::INT AS b FROM {source} f, size",
@@ -49,24 +49,24 @@ def blocked(schedule: str, tau: int, batch: int | None, source: str = "fx") -> s
         "single": f"SELECT * FROM (SELECT f.*, (row_number() OVER (ORDER BY {u('sample_id', repr('batch'))}, sample_id) - 1)::INT AS b FROM {source} f) WHERE b < {tau}",
     }[schedule]
     nb = {"full": "1", "cyclic": "(SELECT k FROM size)", "reshuffle": "1000000", "sampled": "1000000", "single": f"least({tau}, (SELECT n FROM size))"}[schedule]
-    return f"{size}, bl AS ({rows}), blocks_of AS (SELECT {nb} AS nb)"
+    return f"{size}, bl AS MATERIALIZED ({rows}), blocks_of AS MATERIALIZED (SELECT {nb} AS nb)"
 
 
 def grams(source: str, m: int) -> str:
     """CTE ``gs`` (b, cnt, g, n): Gram rows and cross sums of ``source`` by b."""
-    return f"""cell AS (SELECT b, i, j, sum(x[i] * x[j]) AS v FROM {source}, range(1, {m + 1}) s(i), range(1, {m + 1}) t(j) GROUP BY b, i, j),
+    return f"""cell AS MATERIALIZED (SELECT b, i, j, sum(x[i] * x[j]) AS v FROM {source}, range(1, {m + 1}) s(i), range(1, {m + 1}) t(j) GROUP BY b, i, j),
 grow AS (SELECT b, i, list(v ORDER BY j) AS r FROM cell GROUP BY b, i),
 gmat AS (SELECT b, list(r ORDER BY i) AS g FROM grow GROUP BY b),
 cr AS (SELECT b, i, sum(x[i] * y) AS v FROM {source}, range(1, {m + 1}) s(i) GROUP BY b, i),
 crow AS (SELECT b, list(v ORDER BY i) AS n FROM cr GROUP BY b),
 cn AS (SELECT b, count(*) AS cnt FROM {source} GROUP BY b),
-gs AS (SELECT gmat.b, cnt, g, n FROM gmat JOIN crow ON gmat.b = crow.b JOIN cn ON gmat.b = cn.b)"""
+gs AS MATERIALIZED (SELECT gmat.b, cnt, g, n FROM gmat JOIN crow ON gmat.b = crow.b JOIN cn ON gmat.b = cn.b)"""
 
 
 def linear(schedule: str, tau: int, batch: int | None, eta: float, lam: float, columns: int = 3, keep: str | None = None, digits: int = 6, tail: str | None = None) -> str:
     """Linear descent on the rows that ``keep`` admits, blocks chosen before."""
     m = columns + 1
-    kept = f"kept AS (SELECT * FROM bl WHERE {keep or 'true'})"
+    kept = f"kept AS MATERIALIZED (SELECT * FROM bl WHERE {keep or 'true'})"
     zero = "[" + ", ".join(["0.0"] * m) + "]::DOUBLE[]"
     step = f"""CASE WHEN cnt IS NULL THEN [{1 - eta * lam} * w[i] for i in range(1, {m + 1})]
       ELSE [{1 - eta * lam} * w[i] - {2 * eta} / cnt * (list_dot_product(g[i], w) - n[i]) for i in range(1, {m + 1})] END"""
@@ -107,7 +107,7 @@ def binary(schedule: str, tau: int, batch: int | None, eta: float, lam: float, c
         a, b = piece(f"(y * list_dot_product(x, {at}.w))")
         return f"(({a}) * (y * list_dot_product(x, {now}.w)) + ({b}))"
 
-    kept = f"kept AS (SELECT * FROM bl WHERE {keep or 'true'})"
+    kept = f"kept AS MATERIALIZED (SELECT * FROM bl WHERE {keep or 'true'})"
     if replay:
         runs = recursion("full_run", "bl", exact("full_run")) + ", " + recursion("it", "kept", chord("path", "it"), "JOIN full_run path ON path.t = it.t")
     else:
