@@ -37,7 +37,11 @@ def pieces(z: np.ndarray, bound: float = BOUND, cells: int = CELLS) -> tuple[np.
 
 
 def coefficients(z: Column, bound: float = BOUND, cells: int = CELLS) -> tuple[Column, Column]:
-    """Slope and offset as Column arithmetic, inside generated code."""
+    """Slope and offset as Column arithmetic, inside generated code.
+
+    The margin enters the arithmetic many times, so it should be a stored
+    column; for a costly expression take :func:`coefficients_of`.
+    """
     h = 2 * bound / cells
 
     def f(x: Column) -> Column:
@@ -50,6 +54,17 @@ def coefficients(z: Column, bound: float = BOUND, cells: int = CELLS) -> tuple[C
     return F.when(inside, slope).otherwise(0.0), F.when(inside, f(low) - slope * low).otherwise(f(end))
 
 
+def coefficients_of(z: Column, bound: float = BOUND, cells: int = CELLS) -> Column:
+    """struct<a, b> by an Arrow function, which computes its argument once a row."""
+
+    @F.pandas_udf("a double, b double")
+    def both(margin: pd.Series) -> pd.DataFrame:
+        a, b = pieces(margin.to_numpy(float), bound, cells)
+        return pd.DataFrame({"a": a, "b": b})
+
+    return both(z)
+
+
 def table(spark: SparkSession, f: Callable[[Column], Column], low: float, high: float, cells: int) -> DataFrame:
     """(cell, low, high, slope, offset) of the interpolant of any Column function over equal cells."""
     h = (high - low) / cells

@@ -104,12 +104,21 @@ def stale(w: np.ndarray) -> np.ndarray:
 
 
 def library_fit(samples: DataFrame, spec: ModelSpec, max_iter: int = 200) -> np.ndarray:
-    """The library's solver for the same objective; the intercept stays an ordinary, regularised feature."""
+    """The library's solver for the same objective; the intercept stays an ordinary, regularised feature.
+
+    The solvers set the coefficient of a constant column to zero, so linear
+    and binary rows also enter mirrored (features and label negated), which
+    leaves the objective as it is.  For softmax the constant column's weights
+    are therefore not comparable.
+    """
     from pyspark.ml.classification import LogisticRegression
     from pyspark.ml.functions import array_to_vector
     from pyspark.ml.regression import LinearRegression
 
-    rows = samples.select(array_to_vector("features").alias("features"), F.col("label").cast("double").alias("label"))
+    rows = samples.select("features", F.col("label").cast("double").alias("label"))
+    if spec.kind != "softmax":
+        rows = rows.unionByName(rows.select(F.transform("features", lambda v: -v).alias("features"), (-F.col("label")).alias("label")))
+    rows = rows.select(array_to_vector("features").alias("features"), "label")
     if spec.kind == "linear":  # half squared loss there, hence lambda / 2
         fit = LinearRegression(regParam=spec.lam / 2, elasticNetParam=0.0, fitIntercept=False, standardization=False, maxIter=max_iter, tol=1e-12, solver="l-bfgs").fit(rows)
         return fit.coefficients.toArray()

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from delprop.functions.linearize import coefficients, pieces, softmax_pieces
+from delprop.functions.linearize import coefficients_of, pieces, softmax_pieces
 from delprop.functions.vector import array_of, dot, matrix_of, pack, packed_size, unpack
 from delprop.operators.gram import block_gram, by_block, summed
 from delprop.operators.schedule import assign
@@ -101,15 +101,15 @@ def capture_tail(samples: DataFrame, w: np.ndarray, spec: ModelSpec, **options)
 
 
 def stored_coefficients(samples: DataFrame, trajectory: np.ndarray, spec: ModelSpec, n: int, bound: float = 20.0, cells: int = 10**6) -> DataFrame:
-    """(sample_id, t, a, b): slope and offset of every (row, iteration) of a binary model, by Column arithmetic.
+    """(sample_id, t, a, b): slope and offset of every (row, iteration) of a binary model.
 
     The trajectory joins by iteration; it has ``tau`` rows of ``m`` doubles.
     """
     nb = spec.blocks(n)
     path = samples.sparkSession.createDataFrame([(t, t % nb, [float(v) for v in trajectory[t]]) for t in range(spec.tau)], "t int, block_id int, w array<double>")
     rows = assign(samples, spec, n).join(F.broadcast(path) if spec.tau * spec.m < 4_000_000 else path, "block_id")
-    a, b = coefficients(F.col("label") * dot(F.col("features"), F.col("w")), bound, cells)
-    return rows.select("sample_id", "t", a.alias("a"), b.alias("b"))
+    both = coefficients_of(F.col("label") * dot(F.col("features"), F.col("w")), bound, cells)
+    return rows.select("sample_id", "t", both.alias("c")).select("sample_id", "t", "c.a", "c.b")
 
 
 def rank_of(s: np.ndarray, eps: float, rule: str = "residual") -> int:

@@ -42,6 +42,11 @@ def _regroup(terms: DataFrame) -> DataFrame:
         summed = terms.groupBy(canonical(F.col("monomial")).alias("entries")).agg(F.sum("coefficient").alias("coefficient")).where("coefficient <> 0")
         return summed.select(F.map_from_entries("entries").alias("monomial"), "coefficient")
     cell = terms.select(canonical(F.col("monomial")).alias("entries"), "rows", "cols", F.posexplode("cells").alias("pos", "v"))
+    return _gathered(cell)
+
+
+def _gathered(cell: DataFrame) -> DataFrame:
+    """Terms from their cells (entries, rows, cols, pos, v)."""
     totals = cell.groupBy("entries", "rows", "cols", "pos").agg(F.sum("v").alias("v"))
     whole = totals.groupBy("entries", "rows", "cols").agg(F.sort_array(F.collect_list(F.struct("pos", "v"))).alias("s"))
     return whole.select(F.map_from_entries("entries").alias("monomial"), "rows", "cols", F.transform("s", lambda x: x["v"]).alias("cells"))
@@ -81,16 +86,15 @@ def times(number: float, terms: DataFrame) -> DataFrame:
 
 
 def matmul(left: DataFrame, right: DataFrame) -> DataFrame:
-    """(p1 * A1)(p2 * A2) = (p1 p2) * (A1 A2), summed over all terms."""
-    pairs = left.crossJoin(right.select(F.col("monomial").alias("m2"), F.col("cols").alias("c2"), F.col("cells").alias("x2"))).where("cols * c2 > 0")
-    a, b, inner, wide = F.col("cells"), F.col("x2"), F.col("cols"), F.col("c2")
-
-    def cell(k: Column) -> Column:
-        i, j = F.floor(k / wide).cast("int"), (k % wide).cast("int")
-        return F.aggregate(F.sequence(F.lit(0), inner - 1), F.lit(0.0), lambda s, h: s + F.element_at(a, i * inner + h + 1) * F.element_at(b, h * wide + j + 1))
-
-    cells = F.transform(F.sequence(F.lit(0), F.col("rows") * wide - 1), cell)
-    return _regroup(pairs.select(merge(F.col("monomial"), F.col("m2")).alias("monomial"), "rows", wide.alias("cols"), cells.alias("cells")))
+    """(p1 * A1)(p2 * A2) = (p1 p2) * (A1 A2), summed over all terms: a join on the inner dimension."""
+    a = left.select(F.col("monomial").alias("m1"), F.col("rows").alias("r1"), F.col("cols").alias("c1"), F.posexplode("cells").alias("pos1", "x"))
+    a = a.select("m1", "r1", F.floor(F.col("pos1") / F.col("c1")).cast("int").alias("i"), (F.col("pos1") % F.col("c1")).alias("inner"), "x")
+    b = right.select(F.col("monomial").alias("m2"), F.col("cols").alias("c2"), F.posexplode("cells").alias("pos2", "y"))
+    b = b.select("m2", "c2", F.floor(F.col("pos2") / F.col("c2")).cast("int").alias("inner"), (F.col("pos2") % F.col("c2")).alias("j"), "y")
+    cell = a.join(b, "inner").select(
+        canonical(merge(F.col("m1"), F.col("m2"))).alias("entries"), F.col("r1").alias("rows"), F.col("c2").alias("cols"), (F.col("i") * F.col("c2") + F.col("j")).alias("pos"), (F.col("x") * F.col("y")).alias("v")
+    )
+    return _gathered(cell)
 
 
 def decompose(samples: DataFrame, token: str = "p") -> DataFrame:

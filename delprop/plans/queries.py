@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 
 from delprop.functions import sqlfuncs
 from delprop.functions.hashing import uniform
-from delprop.functions.linearize import coefficients, table as interpolant_table
+from delprop.functions.linearize import coefficients_of
+from delprop.functions.linearize import table as interpolant_table
 from delprop.functions.vector import dot
 from delprop.operators import baselines, capture, gram, measures, prov, replay, schedule, sparse, spectral, train
 from delprop.plans import oracles as sql
@@ -645,9 +646,9 @@ def influence_newton(spark, sf):
 
 @query("library_linear", f"""WITH {sql.small(1)}, s AS (SELECT count(*) AS n, sum(x[1] * x[1]) AS a, sum(x[1] * x[2]) AS b, sum(x[2] * x[2]) AS d, sum(x[1] * y) AS p, sum(x[2] * y) AS q FROM fx),
 r AS (SELECT a + n * {LAM} / 2 AS a, b, d + n * {LAM} / 2 AS d, p, q FROM s)
-SELECT 0::INT AS pos, round((p * d - b * q) / (a * d - b * b), 4) + 0.0 AS value FROM r UNION ALL SELECT 1::INT, round((a * q - b * p) / (a * d - b * b), 4) + 0.0 FROM r""")
+SELECT 0::INT AS pos, round((p * d - b * q) / (a * d - b * b), 2) + 0.0 AS value FROM r UNION ALL SELECT 1::INT, round((a * q - b * p) / (a * d - b * b), 2) + 0.0 FROM r""")
 def library_linear(spark, sf):
-    return long(spark, baselines.library_fit(fx.small(spark, sf, 1), ModelSpec("linear", 2, lam=LAM)), 4)
+    return long(spark, baselines.library_fit(fx.small(spark, sf, 1), ModelSpec("linear", 2, lam=LAM)), 2)
 
 
 @query("library_binary")
@@ -666,11 +667,10 @@ _Z = "(y * list_dot_product(x, [0.3, -0.2, 0.1]) * 30)"
 _PA, _PB = sql.piece(_Z)
 
 
-@query("interp_coefficients", f"WITH {sql.small(2, 'binary')} SELECT sample_id, round({_PA}, 6) + 0.0 AS slope, round({_PB}, 6) + 0.0 AS \"offset\" FROM fx")
+@query("interp_coefficients", f"WITH {sql.small(2, 'binary')} SELECT sample_id, round({_PA}, 4) + 0.0 AS slope, round({_PB}, 4) + 0.0 AS \"offset\" FROM fx")
 def interp_coefficients(spark, sf):
     rows = fx.small(spark, sf, 2, "binary").withColumn("z", F.col("label") * dot(F.col("features"), F.array(*[F.lit(v) for v in (0.3, -0.2, 0.1)])) * 30)
-    a, b = coefficients(F.col("z"))
-    return rows.select("sample_id", rounded(a).alias("slope"), rounded(b).alias("offset"))
+    return rows.select("sample_id", coefficients_of(F.col("z")).alias("c")).select("sample_id", rounded("c.a", 4).alias("slope"), rounded("c.b", 4).alias("offset"))
 
 
 @query("interp_table", "WITH c AS (SELECT k AS cell, -4.0 + k * 0.125 AS low, -4.0 + (k + 1) * 0.125 AS high FROM range(64) r(k)) SELECT cell, low, high, round((tanh(high) - tanh(low)) / 0.125, 9) + 0.0 AS slope, round(tanh(low) - (tanh(high) - tanh(low)) / 0.125 * low, 9) + 0.0 AS \"offset\" FROM c")
@@ -885,11 +885,11 @@ def rank_batches(spark, sf):
     return sizes.select("block_id", "cnt", F.rank().over(by_size).alias("rank"), F.dense_rank().over(by_size).alias("dense"), F.ntile(3).over(Window.orderBy(F.desc("cnt"), "block_id")).alias("third"))
 
 
-@query("running_deletions", "WITH d AS (SELECT ts::DATE AS day, count(*) FILTER (WHERE event_type = 'error') AS gone FROM events GROUP BY 1) SELECT day, gone, sum(gone) OVER (ORDER BY day)::BIGINT AS running FROM d")
+@query("running_deletions", "WITH d AS (SELECT ts::DATE AS day, count(*) FILTER (WHERE event_type = 'error') AS gone FROM events GROUP BY 1) SELECT day::VARCHAR AS day, gone, sum(gone) OVER (ORDER BY day)::BIGINT AS running FROM d")
 def running_deletions(spark, sf):
     """Daily totals first, so the running window sees one row a day."""
     daily = table(spark, sf, "events").groupBy(F.to_date("ts").alias("day")).agg(F.sum((F.col("event_type") == "error").cast("bigint")).alias("gone"))
-    return daily.withColumn("running", F.sum("gone").over(Window.orderBy("day")))
+    return daily.withColumn("running", F.sum("gone").over(Window.orderBy("day"))).withColumn("day", F.col("day").cast("string"))
 
 
 @query("next_event", "SELECT event_id, lead(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS next_type FROM events")
@@ -978,7 +978,7 @@ def stream_windows(spark, sf):
     return batches.where(F.col("batch") == batches.agg(F.max("batch")).first()[0]).select("start", "end", "requests")
 
 
-@query("stream_states", "SELECT (event_id % 4)::INT AS model, count(*) AS removed, max(epoch(ts))::BIGINT AS last_ts FROM events WHERE event_type = 'error' GROUP BY 1")
+@query("stream_states", "SELECT (event_id % 4)::INT AS model, count(*) AS removed, floor(max(epoch(ts)))::BIGINT AS last_ts FROM events WHERE event_type = 'error' GROUP BY 1")
 def stream_states(spark, sf):
     batches = requests.drain(requests.running_sets(requests.requests(spark, sf, delay="40 days")), "update")
     return batches.groupBy("model").agg(F.max("removed").alias("removed"), F.max("last_ts").alias("last_ts"))
@@ -986,9 +986,10 @@ def stream_states(spark, sf):
 
 @query(
     "stream_sessions",
-    """WITH e AS (SELECT ts FROM events WHERE event_type = 'error'), g AS (SELECT ts, CASE WHEN ts - lag(ts) OVER (ORDER BY ts) < INTERVAL 1 HOUR THEN 0 ELSE 1 END AS fresh FROM e),
-s AS (SELECT ts, sum(fresh) OVER (ORDER BY ts) AS k FROM g) SELECT min(ts) AS start, max(ts) + INTERVAL 1 HOUR AS "end", count(*) AS requests FROM s GROUP BY k""",
+    """WITH e AS (SELECT ts, (event_id % 4)::INT AS model FROM events WHERE event_type = 'error'),
+g AS (SELECT ts, model, CASE WHEN ts - lag(ts) OVER (PARTITION BY model ORDER BY ts) < INTERVAL 1 HOUR THEN 0 ELSE 1 END AS fresh FROM e),
+s AS (SELECT ts, model, sum(fresh) OVER (PARTITION BY model ORDER BY ts) AS k FROM g) SELECT model, min(ts) AS start, max(ts) + INTERVAL 1 HOUR AS "end", count(*) AS requests FROM s GROUP BY model, k""",
 )
 def stream_sessions(spark, sf):
     batches = requests.drain(requests.session_counts(requests.requests(spark, sf, delay="40 days")), "complete")
-    return batches.where(F.col("batch") == batches.agg(F.max("batch")).first()[0]).select("start", "end", "requests")
+    return batches.where(F.col("batch") == batches.agg(F.max("batch")).first()[0]).select("model", "start", "end", "requests")

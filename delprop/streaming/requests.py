@@ -29,8 +29,11 @@ def window_counts(stream: DataFrame, size: str = "1 day", slide: str | None = No
     return stream.groupBy(frame.alias("w")).agg(F.count("*").alias("requests")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "requests")
 
 
-def session_counts(stream: DataFrame, gap: str = "1 hour") -> DataFrame:
-    return stream.groupBy(F.session_window("ts", gap).alias("w")).agg(F.count("*").alias("requests")).select(F.col("w.start").alias("start"), F.col("w.end").alias("end"), "requests")
+def session_counts(stream: DataFrame, gap: str = "1 hour", models: int = 4) -> DataFrame:
+    """Sessions of requests of each model shard; session windows need a key besides the window."""
+    keyed = stream.withColumn("model", F.pmod("request_id", F.lit(models)).cast("int"))
+    counts = keyed.groupBy(F.session_window("ts", gap).alias("w"), "model").agg(F.count("*").alias("requests"))
+    return counts.select("model", F.col("w.start").alias("start"), F.col("w.end").alias("end"), "requests")
 
 
 def running_sets(stream: DataFrame, models: int = 4) -> DataFrame:
