@@ -170,10 +170,10 @@ def search(embeddings: DataFrame, every: int = 20, k: int = 20, depth: int = 400
     right = rows.where(is_query).withColumn("q", F.pmod(F.xxhash64(F.lit("q"), "vec_id"), F.lit(n_sides)).cast("int")).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
 
     def task(block: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
-        block, asked = block.sort_values("vec_id"), asked.sort_values("vec_id")
-        vectors, queries = (np.array(x.v.tolist(), float).reshape(len(x), -1) for x in (block, asked))
         if not len(block) or not len(asked):
             return pd.DataFrame({"query_id": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0)})
+        block, asked = block.sort_values("vec_id"), asked.sort_values("vec_id")
+        vectors, queries = (np.array(x.v.tolist(), float) for x in (block, asked))
         codes = np.frombuffer(b"".join(block.code), np.uint8).reshape(len(block), -1)
         return scan_block(model, codes, vectors, block.vec_id.to_numpy(), queries, asked.vec_id.to_numpy(), k, depth)
 
