@@ -12,7 +12,7 @@ _BASE = 0x9E3779B97F4A7C15
 _INVERSE = pow(_BASE, -1, 1 << 64)
 
 #: Texts are joined until a buffer holds about this many bytes.
-BUFFER = 1 << 20
+BUFFER = 1 << 18
 
 
 def _table(pick) -> np.ndarray:
@@ -56,7 +56,7 @@ def runs(member: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
     """64-bit hashes of the slices, ASCII case ignored."""
-    size = 1 << max(21, len(data).bit_length())
+    size = 1 << max(19, len(data).bit_length())
     up, down = _powers(size)
     sums = np.zeros(len(data) + 1, np.uint64)
     np.cumsum((LOWER[data].astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=sums[1:])

@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import gc
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -11,6 +13,7 @@ from functools import reduce
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
 _SCRATCH: list[str] = []
 
@@ -54,10 +57,32 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
-def map_arrow(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str) -> DataFrame:
-    """Apply ``kernel`` to every Arrow batch of ``df``."""
+#: Emptied before a worker starts on another operator: name -> function.
+WORKER_CACHES: dict[str, Callable[[], None]] = {}
+
+
+def release_worker_memory() -> None:
+    """Python workers are reused; what an earlier operator cached there goes back to the system."""
+    if WORKER_CACHES:
+        for empty in WORKER_CACHES.values():
+            empty()
+        gc.collect()
+        try:
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+        except OSError:  # another C library: nothing to trim
+            return
+
+
+#: Rows of one Arrow batch: texts may be long, and a worker holds a batch several times over.
+BATCH_ROWS = 256
+
+
+def map_arrow(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str | StructType) -> DataFrame:
+    """Apply ``kernel`` to every Arrow batch of ``df``, in batches of a bounded number of rows."""
+    df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        release_worker_memory()
         for batch in batches:
             if batch.num_rows:
                 yield kernel(batch)
@@ -65,6 +90,11 @@ def map_arrow(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch],
     return df.mapInArrow(run, schema)
 
 
+def keep_rows(df: DataFrame, judge: Callable[[list[str | None]], list[bool]]) -> DataFrame:
+    """The rows of ``df`` whose text ``judge`` accepts, with all their columns."""
+    return map_arrow(df, lambda batch: batch.filter(pa.array(judge(batch.column("text").to_pylist()), pa.bool_())), df.schema)
+
+
 def unsigned_crc32(text: Column) -> Column:
     return F.crc32(F.coalesce(text, F.lit("")).cast("binary"))
 

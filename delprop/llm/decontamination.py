@@ -4,8 +4,8 @@ Words lose case and surrounding marks; numbers, names (capitalised words
 inside a sentence) and units after numbers become typed placeholders.  Every
 window of ``width`` such tokens of every document is hashed (rolling, whole
 batches at once) and joined with the hashed windows of the benchmark items.
-Windows that meet are aligned token by token with the item: literal tokens
-must be equal, and placeholders must map the item's values to the document's
+Windows that meet are aligned token by token with the item: words must be
+equal where they are literal, and placeholders must map the item's values to the document's
 one to one, so a question asked again with other numbers or names is caught
 while a coincidence of placeholders is not.  A document is contaminated by an
 item when an aligned stretch covers ``least_tokens`` tokens, or the whole item
@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from delprop.llm.bytescan import SPACE, buffers, runs, word_hashes
-from delprop.llm.common import map_arrow, union_all
+from delprop.llm.common import keep_rows, map_arrow, union_all
 
 NUMBER, NAME, UNIT = (np.uint64(k) for k in (1, 2, 3))
 # Units of measure that count as such after a number: fixed values.
@@ -159,7 +159,7 @@ class TemplateIndex:
         target = self.items[item]
         start, stop = max(0, -shift), min(len(target.code), len(tokens.code) - shift)
         own = slice(start + shift, stop + shift)
-        same = (tokens.code[own] == target.code[start:stop]) & (tokens.row[own] == row)
+        same = ((tokens.code[own] == target.code[start:stop]) | (tokens.word[own] == target.word[start:stop])) & (tokens.row[own] == row)
         begin = int(np.searchsorted(tokens.row, row))
         best = (0, 0, 0)
         for a, b in zip(*runs(same), strict=True):
@@ -227,14 +227,13 @@ def keep_clean(documents: DataFrame, benchmark: DataFrame, width: int = 8, least
     out = documents
     for items in _blocks(read_items(benchmark), block_windows):
         index = TemplateIndex(items, width)
-        rows = out.select("text", F.struct(*documents.columns).alias("row"))
 
-        def kernel(batch: pa.RecordBatch, index: TemplateIndex = index) -> pa.RecordBatch:
-            clean = np.ones(batch.num_rows, bool)
-            for first, data, begins in buffers(batch.column("text").to_pylist()):
+        def judge(texts: list[str | None], index: TemplateIndex = index) -> list[bool]:
+            clean = [True] * len(texts)
+            for first, data, begins in buffers(texts):
                 for row, *_ in index.matches(canonical(data, begins), least_tokens):
                     clean[first + row] = False
-            return pa.record_batch([batch.column("row").filter(pa.array(clean))], ["row"])
+            return clean
 
-        out = map_arrow(rows, kernel, f"row {rows.schema['row'].dataType.simpleString()}").select("row.*")
+        out = keep_rows(out, judge)
     return out

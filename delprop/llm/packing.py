@@ -39,10 +39,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from delprop.llm.common import map_arrow, materialise
+from delprop.llm.common import BATCH_ROWS, WORKER_CACHES, map_arrow, materialise
 
 #: Chunks kept per worker; the frequent ones are met first.
-CACHE = 500_000
+CACHE = 200_000
 _ODD_SPACE = regex.compile(r"[\x1c-\x1f]")
 _PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
 
@@ -103,10 +103,15 @@ class _Cache(dict):
 
 
 @lru_cache(maxsize=2)
-def encoder(path: str) -> Encoder:
+def _encoder(path: str) -> Encoder:
     return Encoder(path)
 
 
+def encoder(path: str) -> Encoder:
+    WORKER_CACHES["tokens"] = _encoder.cache_clear
+    return _encoder(path)
+
+
 class Schedule:
     """Which window and offset a queue's tokens get: phases of constant shares, in exact integer arithmetic."""
 
@@ -200,8 +205,8 @@ def tokenise(documents: DataFrame, tokenizer: str, end_id: int, max_queues: int)
         end, size = np.array([end_id], code.dtype).tobytes(), code.dtype.itemsize
         before: dict[str, int] = {}
         for batch in batches:
-            for at in range(0, batch.num_rows, 256):
-                piece = batch.slice(at, 256)
+            if batch.num_rows:
+                piece = batch
                 ids = [code.encode(t or "") + end for t in piece.column("text").to_pylist()]
                 counts, starts = [len(x) // size for x in ids], []
                 for q, n in zip(piece.column("queue").to_pylist(), counts, strict=True):
@@ -216,6 +221,7 @@ def tokenise(documents: DataFrame, tokenizer: str, end_id: int, max_queues: int)
     names = rows.select("queue").groupBy("queue").count().select("queue").limit(max_queues + 1).collect()
     if len(names) > max_queues:
         rows = rows.withColumn("queue", F.concat(F.lit("h"), F.pmod(F.xxhash64("queue"), F.lit(max_queues)).cast("string")))
+    rows.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
     return rows.mapInArrow(run, "doc_id long, queue string, part int, before long, tokens long, ids binary")
 
 

@@ -26,7 +26,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from delprop.llm.bytescan import LETTER, STOP, buffers, runs, word_hashes
-from delprop.llm.common import held_out, labelled_sample, map_arrow
+from delprop.llm.common import held_out, keep_rows, labelled_sample, map_arrow
 
 BITS = 20
 #: Rate of wrong labels in the likelihood.
@@ -157,11 +157,4 @@ def score(documents: DataFrame, model: NoisyOr, threshold: float = 0.5) -> DataF
 
 def keep_clean(documents: DataFrame, model: NoisyOr, threshold: float = 0.5) -> DataFrame:
     """The rows of ``documents`` whose score is below ``threshold``, with all their columns."""
-    rows = documents.select("text", F.struct(*documents.columns).alias("row"))
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            clean = model.score(batch.column("text").to_pylist()) < threshold
-            yield pa.record_batch([batch.column("row").filter(pa.array(clean))], ["row"])
-
-    return rows.mapInArrow(run, f"row {rows.schema['row'].dataType.simpleString()}").select("row.*")
+    return keep_rows(documents, lambda texts: (model.score(texts) < threshold).tolist())
