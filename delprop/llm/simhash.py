@@ -197,13 +197,19 @@ def connected(edges: DataFrame) -> DataFrame:
 
     # a is always the larger end
     current = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).mapInArrow(contract, "a long, b long"), "edges")
-    mark = None
+    salts, mark = 16, None
+
+    def meet(links: DataFrame, least: DataFrame) -> DataFrame:
+        """Join links (a, b) with one row per a; the links of a hub are dealt over salts."""
+        dealt = links.withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(salts)).cast("int"))
+        return dealt.join(least.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1)))), ["a", "salt"]).drop("salt")
+
     while True:
         both = union_all([current, current.select(F.col("b").alias("a"), F.col("a").alias("b"))])
         least = both.groupBy("a").agg(F.least(F.min("b"), F.col("a")).alias("m"))
-        large = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
+        large = meet(both.where("b > a"), least).select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
         low = large.groupBy("a").agg(F.min("b").alias("m"))
-        small = large.join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
+        small = meet(large, low).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
         current = materialise(union_all([small, low.select("a", F.col("m").alias("b"))]).distinct(), "stars")
         now = current.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if tuple(now) == mark:
