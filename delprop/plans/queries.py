@@ -253,26 +253,26 @@ _PACKED = "(i - 1) * {m} - (i - 1) * (i - 2) // 2 + j - i"
 
 def _packed_sql(m: int, by: str = "b AS block_id", weight: str = "1") -> str:
     key = by.split(" ")[0]
-    return f"SELECT {by}, count(*) AS cnt, ({_PACKED.format(m=m)})::INT AS pos, round(sum({weight} * x[i] * x[j]), 3) + 0.0 AS value FROM bl, range(1, {m + 1}) r(i), range(1, {m + 1}) s(j) WHERE i <= j GROUP BY {key}, i, j"
+    return f"SELECT {by}, count(*) AS cnt, ({_PACKED.format(m=m)})::INT AS pos, round(sum({weight} * x[i] * x[j]), 5) + 0.0 AS value FROM bl, range(1, {m + 1}) r(i), range(1, {m + 1}) s(j) WHERE i <= j GROUP BY {key}, i, j"
 
 
 @query("gram_blocks", f"WITH {sql.star(sql.star_columns())}, {sql.blocked('cyclic', 30, 6000)} {_packed_sql(18)}")
 def gram_blocks(spark, sf):
     """Arrow partial sums of eighteen columns by batch."""
     rows = star(spark, sf).select(fx.line_id().alias("sample_id"), F.array(*fx.eighteen_columns()).alias("features"), F.lit(0.0).alias("label"))
-    return cells_long(gram.arrow_gram(schedule.assign(rows, LINEAR.with_(m=18), table(spark, sf, "lineitem").count()), 18), ["block_id"])
+    return cells_long(gram.arrow_gram(schedule.assign(rows, LINEAR.with_(m=18), table(spark, sf, "lineitem").count()), 18), ["block_id"], digits=5)
 
 
 @query("gram_blocks_native", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 6000)} {_packed_sql(4)}")
 def gram_blocks_native(spark, sf):
     rows = fx.small(spark, sf)
-    return cells_long(gram.native_gram(schedule.assign(rows, LINEAR, rows.count()), 4), ["block_id"])
+    return cells_long(gram.native_gram(schedule.assign(rows, LINEAR, rows.count()), 4), ["block_id"], digits=5)
 
 
 @query("gram_weighted", f"WITH {sql.small()}, {sql.blocked('full', 1, None)} {_packed_sql(4, weight='(1 / (1 + exp(y)))')}")
 def gram_weighted(spark, sf):
     rows = fx.small(spark, sf).withColumn("block_id", F.lit(0))
-    return cells_long(gram.native_gram(rows, 4, weight=1.0 / (1.0 + F.exp("label"))), ["block_id"])
+    return cells_long(gram.native_gram(rows, 4, weight=1.0 / (1.0 + F.exp("label"))), ["block_id"], digits=5)
 
 
 _SLICE = "ints_n AS (SELECT n_regionkey, n_nationkey, x, y FROM ints JOIN supplier ON l_suppkey = s_suppkey JOIN nation ON s_nationkey = n_nationkey)"
