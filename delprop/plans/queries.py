@@ -256,11 +256,12 @@ def _packed_sql(m: int, by: str = "b AS block_id", weight: str = "1") -> str:
     return f"SELECT {by}, count(*) AS cnt, ({_PACKED.format(m=m)})::INT AS pos, round(sum({weight} * x[i] * x[j]), 5) + 0.0 AS value FROM bl, range(1, {m + 1}) r(i), range(1, {m + 1}) s(j) WHERE i <= j GROUP BY {key}, i, j"
 
 
-@query("gram_blocks", f"WITH {sql.star(sql.star_columns())}, {sql.blocked('cyclic', 30, 6000)} {_packed_sql(18)}")
+@query("gram_blocks", f"WITH {sql.star(sql.star_columns())}, {sql.blocked('cyclic', 30, 6000)} {_packed_sql(18, weight='0.7071067811865476')}")
 def gram_blocks(spark, sf):
-    """Arrow partial sums of eighteen columns by batch."""
+    """Arrow partial sums of eighteen columns by batch, over root two: as they stand, cells are decimals that end on rounding boundaries."""
     rows = star(spark, sf).select(fx.line_id().alias("sample_id"), F.array(*fx.eighteen_columns()).alias("features"), F.lit(0.0).alias("label"))
-    return cells_long(gram.arrow_gram(schedule.assign(rows, LINEAR.with_(m=18), table(spark, sf, "lineitem").count()), 18), ["block_id"], digits=5)
+    sums = gram.arrow_gram(schedule.assign(rows, LINEAR.with_(m=18), table(spark, sf, "lineitem").count()), 18)
+    return cells_long(sums.withColumn("gram", F.transform("gram", lambda v: v * 0.7071067811865476)), ["block_id"], digits=5)
 
 
 @query("gram_blocks_native", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 6000)} {_packed_sql(4)}")
