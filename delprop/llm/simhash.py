@@ -14,7 +14,8 @@ graph's nodes, so a group of equal texts costs one node.
 
 Edge cases: null or blank text has fingerprint zero and is linked like any
 other; a null doc_id gets its component's smallest id (null if there is none);
-repeated rows stay rows; extra columns are ignored; an empty table gives an
+repeated rows stay rows (:func:`deduplicate` keeps one of them, and drops no
+row for having no id or an id that repeats); extra columns are ignored; an empty table gives an
 empty result.
 """
 
@@ -28,6 +29,7 @@ import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from delprop.llm.common import map_arrow, materialise, union_all
 
@@ -217,40 +219,83 @@ def connected(edges: DataFrame) -> DataFrame:
         mark = tuple(now)
 
 
-def components(documents: DataFrame, words: int = 4, radius: int = 4, bucket_bound: int = 4096) -> DataFrame:
-    """(doc_id, fp, component_id) for every row of ``documents``; component_id is the smallest doc_id reachable."""
+def members(documents: DataFrame, words: int = 4, radius: int = 4, bucket_bound: int = 4096) -> DataFrame:
+    """(doc_id, fp, component_id, keeper) for every row of ``documents``.
+
+    component_id is the smallest doc_id reachable, ``NO_ID`` if there is none;
+    keeper is the fingerprint of the node that has it (the smallest of several).
+    """
     prints = materialise(fingerprints(documents, words), "fingerprints")
     keyed = prints.select("fp", F.coalesce("doc_id", F.lit(NO_ID)).alias("id"))
     nodes = materialise(keyed.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("n")), "nodes")
     roots = connected(close_links(nodes, radius, bucket_bound=bucket_bound))
     labelled = nodes.join(roots, F.col("fp") == F.col("node"), "left").select("fp", "n", "least", F.coalesce("root", "fp").alias("root"))
-    smallest = labelled.groupBy("root").agg(F.min("least").alias("component_id"))
-    owned = materialise(labelled.join(smallest, "root").select("fp", "n", "component_id"), "labels")
+    first = labelled.groupBy("root").agg(F.min(F.struct("least", "fp")).alias("first"))
+    smallest = first.select("root", F.col("first.least").alias("component_id"), F.col("first.fp").alias("keeper"))
+    owned = materialise(labelled.join(smallest, "root").select("fp", "n", "component_id", "keeper"), "labels")
     total = owned.agg(F.sum("n")).first()[0] or 0
     # at most a thousand fingerprints can each hold over a thousandth of the rows: that side is small by proof
     heavy = F.col("n") > F.lit(max(1, total // 1000))
-    hot = F.broadcast(owned.where(heavy).select("fp", "component_id"))
-    names = ["doc_id", "fp", "component_id"]
+    names = ["doc_id", "fp", "component_id", "keeper"]
+    hot = F.broadcast(owned.where(heavy).drop("n"))
     of_hot = prints.join(hot, "fp").select(*names)
-    of_rest = prints.join(hot, "fp", "left_anti").join(owned.where(~heavy).select("fp", "component_id"), "fp").select(*names)
-    out = union_all([of_hot, of_rest])
+    of_rest = prints.join(hot, "fp", "left_anti").join(owned.where(~heavy).drop("n"), "fp").select(*names)
+    return union_all([of_hot, of_rest])
+
+
+def components(documents: DataFrame, words: int = 4, radius: int = 4, bucket_bound: int = 4096) -> DataFrame:
+    """(doc_id, fp, component_id) for every row of ``documents``; component_id is the smallest doc_id reachable."""
+    out = members(documents, words, radius, bucket_bound).select("doc_id", "fp", "component_id")
     return out.withColumn("component_id", F.when(F.col("component_id") != NO_ID, F.col("component_id")))
 
 
+def _with_prints(rows: DataFrame, words: int) -> DataFrame:
+    """``rows`` with their fingerprints as ``__fp``."""
+
+    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
+        values = np.array([fingerprint(x, words) for x in batch.column("text").to_pylist()], np.uint64).view(np.int64)
+        return pa.RecordBatch.from_arrays([*batch.columns, pa.array(values)], [*batch.schema.names, "__fp"])
+
+    return map_arrow(rows, kernel, StructType([*rows.schema.fields, StructField("__fp", LongType())]))
+
+
 def deduplicate(documents: DataFrame, words: int = 4, radius: int = 4) -> DataFrame:
-    """One document of each group of near copies stays: the one with the smallest id; all its columns stay."""
-    found = materialise(components(documents, words, radius), "components").select(
-        F.coalesce("doc_id", F.lit(NO_ID)).alias("__id"), F.coalesce("component_id", F.lit(NO_ID)).alias("__root")
+    """One document of each group of near copies stays: the one with the smallest id (null last); all its columns stay.
+
+    Rows are told apart by id where an id has one fingerprint.  Rows without
+    an id, and rows of an id that stands for different texts, are told apart by id and fingerprint.
+    """
+    mine = F.coalesce("doc_id", F.lit(NO_ID))
+    found = members(documents, words, radius).select(
+        mine.alias("__id"), F.col("fp").alias("__fp"), ((mine == F.col("component_id")) & (F.col("fp") == F.col("keeper"))).alias("stays"), F.col("doc_id").isNull().alias("null_id")
     )
-    gone = materialise(found.where("__id <> __root").select("__id").distinct(), "near-copies")
-    again = materialise(found.where("__id = __root").groupBy("__id").count().where("count > 1").select("__id"), "repeated-ids")
+    found = materialise(found, "components")
+    by_id = found.where("not null_id").groupBy("__id").agg(F.max("stays").alias("stays"), F.count("*").alias("n"), F.min("__fp").alias("low"), F.max("__fp").alias("high"))
+    kind = F.when(~F.col("stays"), "gone").when(F.col("low") != F.col("high"), "mixed").when(F.col("n") > 1, "again")
+    special = materialise(by_id.select("__id", kind.alias("kind")).where("kind is not null"), "near-copies")
+    sizes = {r["kind"]: r["count"] for r in special.groupBy("kind").count().collect()}  # three rows at most
+
+    def side(frame: DataFrame, size: int) -> DataFrame:
+        """Ids of eight bytes: broadcast only within a checked number of rows, else both sides are shuffled."""
+        return F.broadcast(frame) if size <= 1_000_000 else frame
+
+    def of(kind: str) -> DataFrame:
+        return side(special.where(F.col("kind") == kind).select("__id"), sizes[kind])
+
     rows = documents.withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
-    n_gone, n_again = gone.count(), again.count()
-    # ids of eight bytes: a side is broadcast only within a checked number of rows, else both sides are shuffled
-    side = F.broadcast(gone) if n_gone <= 1_000_000 else gone
-    kept = rows.join(side, "__id", "left_anti")
-    if n_again:
-        side = F.broadcast(again) if n_again <= 1_000_000 else again
-        once = kept.join(side, "__id", "left_semi").dropDuplicates(["__id"])
-        kept = union_all([kept.join(side, "__id", "left_anti"), once])
-    return kept.select(*documents.columns)
+    has_id = F.col("doc_id").cast("long").isNotNull()
+    named = rows.where(has_id)
+    kept = [named.join(side(special.select("__id"), sum(sizes.values())), "__id", "left_anti")]
+    if "again" in sizes:
+        kept.append(named.join(of("again"), "__id", "left_semi").dropDuplicates(["__id"]))
+    if "mixed" in sizes:
+        kept.append(_survivors(named.join(of("mixed"), "__id", "left_semi"), found.where("stays and not null_id").join(of("mixed"), "__id", "left_semi"), words, side))
+    if found.where("null_id").limit(1).count():
+        kept.append(_survivors(rows.where(~has_id), found.where("stays and null_id"), words, side))
+    return union_all([k.select(*documents.columns) for k in kept])
+
+
+def _survivors(rows: DataFrame, stay: DataFrame, words: int, side) -> DataFrame:
+    """One row for each (id, fingerprint) of ``stay``."""
+    stay = materialise(stay.select("__id", "__fp").distinct(), "survivors")
+    return _with_prints(rows, words).join(side(stay, stay.count()), ["__id", "__fp"], "left_semi").dropDuplicates(["__id", "__fp"])

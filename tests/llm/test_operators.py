@@ -87,6 +87,16 @@ def test_deduplicate_keeps_one_of_each_group(odd):
     assert sorted(kept) == sorted(roots) and simhash.deduplicate(odd).columns == odd.columns
 
 
+def test_deduplicate_tells_rows_without_an_own_id_apart(spark):
+    other = ["seven grey herons stood in the shallow river while rain fell over the far northern hills", "a baker in town sells warm rye bread to every early guest before the market opens", "old maps of the coast show three small islands that nobody has ever found again since"]
+    # unrelated null ids, a null id that copies an id, an id with two texts of which one copies a smaller id, repeated rows
+    rows = [(1, BASE), (None, BASE), (None, other[0]), (None, other[1]), (None, other[1]), (2, BASE), (2, other[2]), (3, "x " * 40), (3, "y " * 40), (3, "y " * 40)]
+    docs = spark.createDataFrame([(i, t, k) for k, (i, t) in enumerate(rows)], "doc_id long, text string, fp int")
+    got = simhash.deduplicate(docs)
+    assert got.columns == docs.columns
+    assert Counter((r.doc_id, r.text) for r in got.collect()) == Counter([(1, BASE), (None, other[0]), (None, other[1]), (2, other[2]), (3, "x " * 40), (3, "y " * 40)])
+
+
 def test_scores_and_filters(spark, odd, none, sf):
     labels = spark.createDataFrame([(1, 1, None), (2, None, 0), (None, 1, 1), (100, 0, 1)], "doc_id long, quality int, toxic int")
     for module, target in ((toxicity, "toxic"), (quality, "quality")):
