@@ -9,20 +9,24 @@ equal where they are literal, and placeholders must map the item's values to the
 one to one, so a question asked again with other numbers or names is caught
 while a coincidence of placeholders is not.  A document is contaminated by an
 item when an aligned stretch covers ``least_tokens`` tokens, or the whole item
-if that is shorter.
+if that is shorter.  Windows that are mostly placeholders (tables, arithmetic,
+lists of names) say too little as templates; they are hashed on the words
+themselves and aligned by equal words, so verbatim copies of such passages are
+found as well, while copies of them with other values are not.
 
 The benchmark's windows are the hash join's built side.  They go to the
 workers in blocks of at most ``block_windows`` windows (a checked size); a
 larger benchmark makes further passes over the documents.
 
 Edge cases: null or blank texts match nothing; null ids stay (as null); items
-without ``min(width, 3)`` literal tokens match nothing; repeated rows are
+shorter than ``width`` tokens and without three literal ones match nothing; repeated rows are
 judged each; extra columns are ignored (:func:`keep_clean` keeps them); empty
 tables give an empty result.
 """
 
 from __future__ import annotations
 
+from collections import deque
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -42,6 +46,8 @@ _DIGIT = np.array([48 <= b <= 57 for b in range(256)])
 _UPPER = np.array([65 <= b <= 90 for b in range(256)])
 _CLOSE = np.array([b in b".!?:" for b in range(256)])
 _STEP = 0xD6E8FEB86659FD93
+#: Keeps windows of words apart from windows of templates.
+_EXACT = np.uint64(0x9E3779B97F4A7C15)
 
 
 def _hash_of(words: list[str]) -> np.ndarray:
@@ -84,23 +90,42 @@ def canonical(data: np.ndarray, begins: np.ndarray) -> Tokens:
     return Tokens(row, code, word)
 
 
-def windows(tokens: Tokens, width: int) -> tuple[np.ndarray, np.ndarray]:
-    """(position, hash) of every window of ``width`` tokens of one text, at least half of them literal."""
+def _window_sums(values: np.ndarray, at: np.ndarray, width: int) -> np.ndarray:
+    out, step = np.zeros(len(at), np.uint64), np.uint64(1)
+    for k in range(width):
+        out += values[at + k] * step
+        step = np.uint64(int(step) * _STEP % (1 << 64))
+    return out
+
+
+def _mixed(sums: np.ndarray) -> np.ndarray:
+    sums = sums ^ (sums >> np.uint64(33))
+    return sums * np.uint64(0xFF51AFD7ED558CCD)
+
+
+def windows(tokens: Tokens, width: int, item: bool = False) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(position, hash, on words) of every window of ``width`` tokens of one text.
+
+    Windows at least half of whose tokens are literal are hashed as templates, the others on their words.
+    An ``item``'s first token may turn out a placeholder inside a document: where that decides, its window is hashed both ways.
+    """
     n = len(tokens.code) - width + 1
     if n <= 0:
-        return np.zeros(0, np.int64), np.zeros(0, np.uint64)
-    out, literal = np.zeros(n, np.uint64), np.zeros(n, np.int8)
+        return np.zeros(0, np.int64), np.zeros(0, np.uint64), np.zeros(0, bool)
+    sums, literal = np.zeros(n, np.uint64), np.zeros(n, np.int16)
     step = np.uint64(1)
     for k in range(width):
         part = tokens.code[k : k + n]
-        out += part * step
+        sums += part * step
         literal += part > UNIT
         step = np.uint64(int(step) * _STEP % (1 << 64))
-    out ^= out >> np.uint64(33)
-    out *= np.uint64(0xFF51AFD7ED558CCD)
-    good = (tokens.row[:n] == tokens.row[width - 1 :]) & (literal * 2 >= width)
-    at = np.flatnonzero(good)
-    return at, out[at]
+    whole = tokens.row[:n] == tokens.row[width - 1 :]
+    at = np.flatnonzero(whole & (literal * 2 >= width))
+    if item:
+        literal[0] -= tokens.code[0] > UNIT
+    exact = np.flatnonzero(whole & (literal * 2 < width))
+    hashes = np.r_[_mixed(sums[at]), _mixed(_window_sums(tokens.word, exact, width) ^ _EXACT)]
+    return np.r_[at, exact], hashes, np.arange(len(hashes)) >= len(at)
 
 
 @dataclass
@@ -120,12 +145,12 @@ class TemplateIndex:
         self.by_width: dict[int, tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = {}
         groups: dict[int, list[int]] = {}
         for i, item in enumerate(items):
-            if (item.code > UNIT).sum() >= min(width, 3):
+            if len(item.code) >= width or (item.code > UNIT).sum() >= 3:
                 groups.setdefault(min(width, len(item.code)), []).append(i)
         for w, members in groups.items():
             hashes, owners, places = [], [], []
             for i in members:
-                at, h = windows(Tokens(np.zeros(len(items[i].code), np.int64), items[i].code, items[i].word), w)
+                at, h, _ = windows(Tokens(np.zeros(len(items[i].code), np.int64), items[i].code, items[i].word), w, item=True)
                 hashes.append(h)
                 owners.append(np.full(len(h), i))
                 places.append(at)
@@ -139,41 +164,54 @@ class TemplateIndex:
         """(row, item, first token, covered tokens, changed slots) of every contaminated (row, item), once each."""
         best: dict[tuple[int, int], tuple[int, int, int]] = {}
         for w, (hashes, owners, places, seen) in self.by_width.items():
-            at, h = windows(tokens, w)
+            at, h, exact = windows(tokens, w)
             maybe = seen[(h >> np.uint64(64 - self.BITS)).astype(np.int64)]
-            at, h = at[maybe], h[maybe]
+            at, h, exact = at[maybe], h[maybe], exact[maybe]
             low, high = np.searchsorted(hashes, h, "left"), np.searchsorted(hashes, h, "right")
-            lines: set[tuple[int, int, int]] = set()
+            lines: set[tuple[int, int, int, bool]] = set()
             for i in np.flatnonzero(low < high).tolist():
                 for j in range(low[i], high[i]):
-                    lines.add((int(tokens.row[at[i]]), int(owners[j]), int(at[i] - places[j])))
-            for row, item, shift in sorted(lines):
-                first, covered, changed = self._aligned(tokens, row, item, shift)
+                    lines.add((int(tokens.row[at[i]]), int(owners[j]), int(at[i] - places[j]), bool(exact[i])))
+            for row, item, shift, on_words in sorted(lines):
+                first, covered, changed = self._aligned(tokens, row, item, shift, on_words)
                 key = (row, item)
                 if covered >= min(least_tokens, len(self.items[item].code)) and covered > best.get(key, (0, 0, 0))[1]:
                     best[key] = (first, covered, changed)
         return [(row, item, *value) for (row, item), value in sorted(best.items())]
 
-    def _aligned(self, tokens: Tokens, row: int, item: int, shift: int) -> tuple[int, int, int]:
-        """Longest stretch on one diagonal with equal templates and a one-to-one mapping of slot values."""
+    def _aligned(self, tokens: Tokens, row: int, item: int, shift: int, on_words: bool) -> tuple[int, int, int]:
+        """Longest stretch on one diagonal with equal words, or equal templates and a one-to-one mapping of slot values."""
         target = self.items[item]
         start, stop = max(0, -shift), min(len(target.code), len(tokens.code) - shift)
         own = slice(start + shift, stop + shift)
-        same = ((tokens.code[own] == target.code[start:stop]) | (tokens.word[own] == target.word[start:stop])) & (tokens.row[own] == row)
+        same = (tokens.word[own] == target.word[start:stop]) & (tokens.row[own] == row)
+        if not on_words:
+            same |= (tokens.code[own] == target.code[start:stop]) & (tokens.row[own] == row)
         begin = int(np.searchsorted(tokens.row, row))
         best = (0, 0, 0)
         for a, b in zip(*runs(same), strict=True):
-            forward: dict[int, int] = {}
-            backward: dict[int, int] = {}
-            changed, left = 0, a
+            # slot value -> (its partner, the last place it was seen)
+            forward: dict[int, tuple[int, int]] = {}
+            backward: dict[int, tuple[int, int]] = {}
+            changed: deque[int] = deque()
+            left = a
             for k in range(a, b):
                 if target.code[start + k] <= UNIT:
                     x, y = int(target.word[start + k]), int(tokens.word[start + shift + k])
-                    if forward.setdefault(x, y) != y or backward.setdefault(y, x) != x:
-                        best = max(best, (k - left, start + shift + left - begin, changed))
-                        forward, backward, changed, left = {x: y}, {y: x}, 0, k
-                    changed += x != y
-            best = max(best, (int(b - left), int(start + shift + left - begin), changed))
+                    cut = left
+                    for partner, last, due in ((*forward.get(x, (y, -1)), y), (*backward.get(y, (x, -1)), x)):
+                        if partner != due:
+                            cut = max(cut, last + 1)
+                    if cut > left:
+                        # go on just after the slot that conflicts: what follows it agrees with this one
+                        best = max(best, (int(k - left), int(start + shift + left - begin), len(changed)))
+                        left = cut
+                        while changed and changed[0] < left:
+                            changed.popleft()
+                    forward[x], backward[y] = (y, k), (x, k)
+                    if x != y:
+                        changed.append(k)
+            best = max(best, (int(b - left), int(start + shift + left - begin), len(changed)))
         return best[1], best[0], best[2]
 
 

@@ -235,6 +235,30 @@ def test_templates_catch_new_numbers_and_names_only_if_consistent():
     assert not hits("") and not hits("Alice sold 12 kg")
 
 
+def leaks(item, text):
+    made = decontamination.canonical(*next(iter(buffers([item])))[1:])
+    index = decontamination.TemplateIndex([decontamination.Item(5, made.code, made.word)], 8)
+    return [m for _, data, begins in buffers([text]) for m in index.matches(decontamination.canonical(data, begins), 13)]
+
+
+def test_verbatim_passages_dense_in_placeholders_are_found():
+    numbers = "3 14 15 92 65 35 89 79 32 38 46 26 43 38"
+    names = "we met Anna Bert Carl Dora Emil Fred Gina Hugo Ivan Jane Karl Lena Mike Nora"
+    for item in (numbers, names, "Total 7 Anna 9 Bert 3 Carl 8"):
+        assert leaks(item, "some words before: " + item + ", and other words after it")
+        assert leaks(item, item)
+    # other values in a passage that is all slots are a coincidence
+    assert not leaks(numbers, "2 71 82 81 84 59 45 23 53 60 28 74 71 35") and not leaks(numbers, "3 14 15 92 65 35 89 79 1 2 5 6 7 8")
+
+
+def test_a_slot_conflict_costs_only_the_slot_it_conflicts_with():
+    words = "the old boat left with nine tons of grain from its small port to the far coast".split()
+    item = " ".join(["Then", "Alice", *words[:8], "Alice", *words[8:16]])
+    text = " ".join(["Then", "Carol", *words[:8], "Dora", *words[8:16]])
+    # only the first of the two slots must go: 17 tokens follow it
+    assert [m[3] for m in leaks(item, text)] == [17]
+
+
 def test_html_model_on_unseen_layouts():
     model = htmltext.trained()
     wrong = total = 0
