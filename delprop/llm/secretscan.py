@@ -115,8 +115,8 @@ def stretches(text: str) -> list[tuple[list[tuple[int, int]], np.ndarray]]:
             left -= 1
         while right < len(text) and not text[right].isspace():
             right += 1
-        # join white-space separated chunks while the next one is odd as well
-        while (more := re.compile(r"\s{1,3}(?=\S*[0-9])\S{1,200}").match(text, right)) is not None and right - left < 4000:
+        # join white-space separated chunks, always whole, while the next one is odd as well
+        while (more := re.compile(r"\s{1,3}(?=\S*[0-9])\S+").match(text, right)) is not None and right - left < 4000:
             right = more.end()
         seen = right
         tokens = [(m.start(), m.end()) for m in _TOKEN.finditer(text, left, right)]

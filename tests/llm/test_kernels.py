@@ -133,6 +133,16 @@ def chain():
     return secretscan.Chain().fit([x for line, spans in secretscan.generated(300) for x in secretscan.tagged(line, spans)], turns=40)
 
 
+def test_stretches_never_end_inside_a_token(chain):
+    draw = np.random.default_rng(1)
+    key = "".join(draw.choice(list("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789"), 301))
+    text = f"id 42 {key} then words"
+    assert [(6, 307)] == [t for tokens, _ in secretscan.stretches(text) for t in tokens if t[0] >= 6]
+    text = f"password 42 {key} then words"
+    found = secretscan.crf_spans(text, chain)
+    assert found and found[-1][1] == 12 + 301 and secretscan.masked(text, chain).endswith("[SECRET] then words")
+
+
 def test_viterbi_is_the_best_tagging(chain):
     for line, _ in secretscan.generated(40, seed=99):
         for _, rows in secretscan.stretches(line):
