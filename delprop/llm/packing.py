@@ -19,8 +19,9 @@ as two-byte numbers in the shared scratch folder and cut there, so texts and
 ids are never shuffled.
 
 Edge cases: a null text counts as empty (its one token is the end mark); a null
-source is a queue of its own; sources beyond ``max_queues`` share queues by
-hash; a null doc_id stays null; repeated rows are documents of their own; an
+source is a queue of its own; with more than ``max_queues`` sources, those with
+a target and the largest (half of ``max_queues``) keep queues of their own, and
+only the others, which have no target, share the remaining queues by hash; a null doc_id stays null; repeated rows are documents of their own; an
 empty table gives an empty result; extra columns are ignored.
 """
 
@@ -28,7 +29,7 @@ from __future__ import annotations
 
 import unicodedata
 import zlib
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -197,8 +198,11 @@ class Schedule:
         return self.served(queue, min((window + 1) * self.length, self.total)) - self.served(queue, window * self.length)
 
 
-def tokenise(documents: DataFrame, tokenizer: str, end_id: int, max_queues: int) -> DataFrame:
-    """(doc_id, queue, part, before, tokens, ids): ``before`` counts the tokens of the same queue earlier in the same partition."""
+def tokenise(documents: DataFrame, tokenizer: str, end_id: int, max_queues: int, named: Iterable[str] = ()) -> DataFrame:
+    """(doc_id, queue, part, before, tokens, ids): ``before`` counts the tokens of the same queue earlier in the same partition.
+
+    Queues in ``named`` are never shared.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         part, code = TaskContext.get().partitionId(), encoder(tokenizer)
@@ -220,7 +224,10 @@ def tokenise(documents: DataFrame, tokenizer: str, end_id: int, max_queues: int)
     rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("-")).alias("queue"), "text")
     names = rows.select("queue").groupBy("queue").count().select("queue").limit(max_queues + 1).collect()
     if len(names) > max_queues:
-        rows = rows.withColumn("queue", F.concat(F.lit("h"), F.pmod(F.xxhash64("queue"), F.lit(max_queues)).cast("string")))
+        sizes = rows.groupBy("queue").agg(F.sum(F.length(F.coalesce("text", F.lit(""))) + 1).alias("size"))
+        own = {r.queue for r in sizes.orderBy(F.desc("size"), "queue").limit(max_queues // 2).collect()} | set(named)
+        shared = F.concat(F.lit("h"), F.pmod(F.xxhash64("queue"), F.lit(max(1, max_queues - len(own)))).cast("string"))
+        rows = rows.withColumn("queue", F.when(F.col("queue").isin(sorted(own)), F.col("queue")).otherwise(shared))
     rows.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
     return rows.mapInArrow(run, "doc_id long, queue string, part int, before long, tokens long, ids binary")
 
@@ -230,14 +237,12 @@ def pack(documents: DataFrame, tokenizer: str, end_id: int = 2, length: int = 40
 
     ``targets`` maps sources to weights; without it shares are measured.
     """
-    tokens = materialise(tokenise(documents, tokenizer, end_id, max_queues), "tokens")
+    named = {"-" if s is None else f"s{s}": w for s, w in (targets or {}).items()}
+    tokens = materialise(tokenise(documents, tokenizer, end_id, max_queues, named), "tokens")
     parts = materialise(tokens.groupBy("queue", "part").agg(F.sum("tokens").alias("n")), "queue-parts")
-    totals = {r.queue: r.n for r in parts.groupBy("queue").agg(F.sum("n").alias("n")).collect()}  # at most max_queues + 1 rows
+    totals = {r.queue: r.n for r in parts.groupBy("queue").agg(F.sum("n").alias("n")).collect()}  # bounded by max_queues and the targets
     queues = sorted(totals)
-    weights = None
-    if targets:
-        named = {"-" if s is None else f"s{s}": w for s, w in targets.items()}
-        weights = [float(named.get(q, 0.0)) for q in queues]
+    weights = [float(named.get(q, 0.0)) for q in queues] if targets else None
     plan = Schedule([totals[q] for q in queues], weights, length)
     number = {q: i for i, q in enumerate(queues)}
     width = 2 if encoder(tokenizer).dtype.itemsize == 2 else 4
