@@ -1,9 +1,10 @@
 """Main text of web pages by a tree-structured graphical model.
 
 A tolerant reader turns a page into its tree of block elements (inline markup
-melts into the text).  Each element is content or boilerplate.  Node
-potentials come from tag, class and id words, link density, amount of text and
-position; edge potentials tie a child to its parent, by the child's kind.
+melts into the text; an inline element that is hidden stays an element of its
+own).  Each element is content or boilerplate.  Node
+potentials come from tag, class and id words, link density, amount of text,
+position and a ``hidden`` attribute or ``display:none`` style, which descendants inherit; edge potentials tie a child to its parent, by the child's kind.
 Sum-product messages, upward then downward, give each element's exact
 marginal.  Weights maximise the exact likelihood of labelled pages: generated
 layouts with articles among menus, headers, footers, sidebars, notices,
@@ -12,6 +13,9 @@ adverts, forms and reader comments, in plain and in semantic markup.
 The text of content elements, white space folded, goes out block by block in
 page order, joined by a line feed.
 
+Text of scripts, styles, templates, frames, drawings, form values and the
+source annotations of formulas is not page text and is not read.
+
 Edge cases: null or empty html gives an empty text; null ids and urls stay;
 malformed, unclosed or cut-off markup is read as far as it goes; repeated rows
 stay rows; extra columns are ignored; an empty table gives an empty result.
@@ -24,6 +28,8 @@ import math
 import random
 import re
 from functools import lru_cache
+from itertools import groupby
+from operator import itemgetter
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -32,8 +38,8 @@ from pyspark.sql import functions as F
 from delprop.llm.common import map_arrow
 
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-_DROP = frozenset("script style noscript template iframe object svg math select textarea title".split())
-_INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var".split())
+_DROP = frozenset("script style noscript template iframe svg select textarea title annotation annotation-xml".split())
+_INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var math semantics mrow mi mn mo ms mtext msup msub msubsup mfrac msqrt mroot mover munder munderover mstyle mspace mpadded mfenced".split())
 #: Opening one of these ends an open paragraph.
 _ENDS_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section table ul li dt dd".split())
 #: Opening the key ends an open element of the first set, up to an element of the second.
@@ -43,7 +49,8 @@ _SIBLINGS = {
 }
 _PIECE = re.compile(r"<!--.*?(?:-->|$)|<(?P<close>/?)(?P<tag>[a-zA-Z][^\s/>]*)(?P<rest>(?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$)|<[!?][^>]*(?:>|$)|<[^>]*$", re.DOTALL)
 _NAMES = re.compile(r"(?:class|id|role|itemprop)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.IGNORECASE)
-_HIDDEN = re.compile(r"(?:^|\s)hidden(?:\s|=|/|$)|display\s*:\s*none|aria-hidden\s*=\s*[\"']?true", re.IGNORECASE)
+_ATTRIBUTE = re.compile(r"([^\s\"'=/>]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
+_NO_DISPLAY = re.compile(r"(?:^|;)\s*display\s*:\s*none", re.IGNORECASE)
 
 #: Words of class, id and role that the node potentials know, by theme: fixed values.
 _THEMES = {
@@ -64,11 +71,11 @@ _TAG_GROUPS = {
     "footer": "footer", "aside": "aside", "form": "form", "fieldset": "form", "button": "form", "dialog": "aside", "article": "article", "main": "main", "section": "section", "blockquote": "quote", "pre": "quote", "table": "table", "tbody": "table",
     "thead": "table", "tr": "table", "td": "cell", "th": "cell", "figure": "figure", "figcaption": "figure", "body": "root", "html": "root", "#page": "root", "head": "root",
 }
-_EDGE_KINDS = ("leaf", "list", "box", "marked")
+_EDGE_KINDS = ("leaf", "list", "box", "marked", "hidden")
 
 
 class Node:
-    __slots__ = ("tag", "parent", "names", "pieces", "links", "children", "size", "own_links", "place")
+    __slots__ = ("tag", "parent", "names", "pieces", "links", "children", "size", "own_links", "place", "hidden")
 
     def __init__(self, tag: str, parent: Node | None, names: str) -> None:
         self.tag, self.parent, self.names = tag, parent, names
@@ -76,25 +83,51 @@ class Node:
         self.links = self.own_links = self.size = 0
         self.children: list[Node] = []
         self.place = 0
+        self.hidden = False
+
+
+def _hides(rest: str) -> bool:
+    """Whether a tag's attributes, read by name, hide the element."""
+    low = rest.lower()
+    if "hidden" not in low and "none" not in low:
+        return False
+    for name, a, b, c in _ATTRIBUTE.findall(rest):
+        if name.lower() == "hidden" or (name.lower() == "style" and _NO_DISPLAY.search(a or b or c)):
+            return True
+    return False
 
 
 def read_tree(page: str) -> tuple[list[Node], list[tuple[Node, str]]]:
     """Block elements in page order (parents first) and the text blocks as (element, text)."""
+    return _read(page)[:2]
+
+
+def _read(page: str) -> tuple[list[Node], list[tuple[Node, str]], list[tuple[int, bool]]]:
+    """As :func:`read_tree`, with each block's line and whether white space parts it from the line's last block."""
     root = Node("#page", None, "")
     nodes, blocks = [root], []
     stack: list[tuple[str, Node]] = [("#page", root)]
-    held: list[str] = []
+    held: list[tuple[Node, str]] = []
+    lines: list[tuple[int, bool]] = []
+    line = 0
     in_link = 0
     at, end = 0, len(page)
 
     def flush() -> None:
-        if held:
-            text = " ".join(html.unescape("".join(held)).split())
-            held.clear()
+        nonlocal line
+        gap = False
+        for owner, run in groupby(held, key=itemgetter(0)):
+            raw = html.unescape("".join([x for _, x in run]))
+            text = " ".join(raw.split())
             if text:
-                owner = stack[-1][1]
                 owner.size += len(text)
                 blocks.append((owner, text))
+                lines.append((line, gap or raw[0].isspace()))
+                gap = raw[-1].isspace()
+            else:
+                gap = gap or bool(raw)
+        held.clear()
+        line += 1
 
     def close(k: int) -> None:
         nonlocal in_link
@@ -106,7 +139,7 @@ def read_tree(page: str) -> tuple[list[Node], list[tuple[Node, str]]]:
 
     def add(text: str) -> None:
         if text:
-            held.append(text)
+            held.append((stack[-1][1], text))
             if in_link:
                 stack[-1][1].own_links += len(text)
 
@@ -130,10 +163,10 @@ def read_tree(page: str) -> tuple[list[Node], list[tuple[Node, str]]]:
                     break  # a stray inline end tag does not end blocks
             continue
         if tag == "br":
-            held.append(" ")
+            held.append((stack[-1][1], " "))
             continue
         rest = hit["rest"] or ""
-        if tag in _DROP or (rest and _HIDDEN.search(rest)):
+        if tag in _DROP:
             if tag not in _VOID and not rest.endswith("/"):
                 at = _skip(page, tag, at)
             continue
@@ -156,16 +189,19 @@ def read_tree(page: str) -> tuple[list[Node], list[tuple[Node, str]]]:
                 if stack[k][0] in ends:
                     close(k)
                     break
+        hidden = bool(rest) and _hides(rest)
         if tag in _INLINE:
             if tag == "a":
                 in_link += 1
-            stack.append((tag, stack[-1][1]))
-            continue
-        flush()
+            if not hidden:
+                stack.append((tag, stack[-1][1]))
+                continue
+        else:
+            flush()
         parent = stack[-1][1]
         names = " ".join(a or b or c for a, b, c in _NAMES.findall(rest)).lower() if rest else ""
         node = Node(tag, parent, names)
-        node.place = len(parent.children)
+        node.place, node.hidden = len(parent.children), hidden
         parent.children.append(node)
         nodes.append(node)
         stack.append((tag, node))
@@ -174,7 +210,7 @@ def read_tree(page: str) -> tuple[list[Node], list[tuple[Node, str]]]:
         node.links += node.own_links
         if node.parent is not None:
             node.parent.links += node.links
-    return nodes, blocks
+    return nodes, blocks, lines
 
 
 def _skip(page: str, tag: str, at: int) -> int:
@@ -208,6 +244,7 @@ def features(nodes: list[Node]) -> tuple[list[list[str]], list[int], list[str]]:
     for i in range(len(nodes) - 1, 0, -1):
         total[parents[i]] += total[i]
     rows, kinds = [], []
+    unseen: list[bool] = []
     below: list[str] = []  # nearest marked surroundings of each element's children
     for i, (n, size) in enumerate(zip(nodes, total, strict=True)):
         group, themes = _TAG_GROUPS.get(n.tag, "box"), _themes(n.names)
@@ -216,8 +253,11 @@ def features(nodes: list[Node]) -> tuple[list[list[str]], list[int], list[str]]:
         row = ["bias", "tag " + group, "under " + around, *("theme " + t for t in themes), f"size {_bucket(size, (1, 25, 80, 200, 600))}", f"link {_bucket(n.links / max(size, 1), (0.05, 0.3, 0.6))}"]
         if "content" in themes and len(themes) > 1:
             row.append("theme mixed")
+        unseen.append(n.hidden or (i > 0 and unseen[parents[i]]))
+        if unseen[i]:
+            row.append("hidden")
         rows.append(row)
-        kinds.append("marked" if themes or group in ("nav", "header", "footer", "aside", "form", "article", "main") else "leaf" if group in ("p", "head", "quote", "cell", "figure") else "list" if group in ("li", "list", "table") else "box")
+        kinds.append("hidden" if unseen[i] else "marked" if themes or group in ("nav", "header", "footer", "aside", "form", "article", "main") else "leaf" if group in ("p", "head", "quote", "cell", "figure") else "list" if group in ("li", "list", "table") else "box")
     return rows, parents, kinds
 
 
@@ -266,6 +306,8 @@ class TreeModel:
                     for f in row:
                         grads[f] = grads.get(f, 0.0) + y - p
                 for i in range(1, len(rows)):
+                    if kinds[i] == "hidden":  # says nothing of the element around it: its scores stay zero
+                        continue
                     seen = 2 * labels[parents[i]] + labels[i]
                     for k in range(4):
                         key = (kinds[i], k)
@@ -366,6 +408,29 @@ def labelled_pages(count: int = 160, seed: int = 11) -> list[str]:
     return out
 
 
+def hidden_pages(count: int = 40, seed: int = 13) -> list[str]:
+    """Generated pages with hidden paragraphs, boxes and inline elements among their blocks."""
+    draw = random.Random(seed)
+
+    def words(low: int, high: int) -> str:
+        return " ".join("".join(draw.choice("abcdeinorstu") for _ in range(draw.randint(1, 8))) for _ in range(draw.randint(low, high)))
+
+    def hide() -> str:
+        return draw.choice(["hidden", 'hidden=""', 'style="display:none"', "style='color:red; display: none'"])
+
+    out = []
+    for page in labelled_pages(count, seed):
+        parts = page.split("<p>")
+        for k in range(1, len(parts)):
+            kind = draw.random()
+            if kind < 0.2:
+                parts[k - 1] += draw.choice([f"<p {hide()}>{words(4, 60)}.</p>", f"<p {hide()}>{words(4, 40)}", f"<div {hide()}><p>{words(4, 60)}.</p></div>", f"<section {hide()}>{words(4, 30)}</section>"])
+            elif kind < 0.35:
+                parts[k] = parts[k].replace("\x03</p>", f"\x03 <span {hide()}>{words(1, 12)}</span></p>", 1)
+        out.append("<p>".join(parts))
+    return out
+
+
 def _labelled_tree(page: str) -> tuple[list[list[str]], list[int], list[str], list[int]]:
     """Trees of a marked page: text blocks in marks are content; an element is content if most of its text is."""
     nodes, blocks = read_tree(page)
@@ -387,16 +452,25 @@ def _ancestors(node: Node | None):
 
 @lru_cache(maxsize=2)
 def trained(count: int = 160, seed: int = 11) -> TreeModel:
-    return TreeModel().fit([_labelled_tree(page) for page in labelled_pages(count, seed)])
+    return TreeModel().fit([_labelled_tree(page) for page in labelled_pages(count, seed) + hidden_pages()])
 
 
 def main_text(page: str | None, model: TreeModel, threshold: float = 0.5) -> str:
     if not page:
         return ""
-    nodes, blocks = read_tree(page)
+    nodes, blocks, lines = _read(page)
     _, chance, _ = model.messages(*features(nodes))
     good = {id(n) for n, p in zip(nodes, chance, strict=True) if p >= threshold}
-    return "\n".join([text for node, text in blocks if id(node) in good])
+    out: list[str] = []
+    last, parted = -1, False
+    for (node, text), (line, gap) in zip(blocks, lines, strict=True):
+        parted = line == last and (parted or gap)
+        if id(node) in good:
+            if out:
+                out.append("\n" if line != last else " " if parted else "")
+            out.append(text)
+            last, parted = line, False
+    return "".join(out)
 
 
 def extract(pages: DataFrame, model: TreeModel | None = None, threshold: float = 0.5) -> DataFrame:

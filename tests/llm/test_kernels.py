@@ -320,3 +320,13 @@ def test_word_hashes_ignore_case_and_place():
     h = word_hashes(data, *runs(~SPACE[data]))
     assert h[0] == h[2] == h[3] != h[1]
     assert zlib.crc32(b"") == 0
+
+
+def test_words_in_attributes_hide_nothing_and_hidden_elements_end_where_they_do():
+    model, prose = htmltext.trained(), "A long first sentence of the article that says what it is all about, in quite plain words."
+    for head in ('<article title="The hidden cost of tea">', '<article class="md hidden lg:block" data-note="display:none">'):
+        page = f'<body>{head}<h1>Tea</h1><p>{prose} See <a href="/x" title="a hidden gem">this place</a> too.</p><p>{prose}</p></article></body>'
+        assert htmltext.main_text(page, model) == f"Tea\n{prose} See this place too.\n{prose}"
+    page = f"<body><article><h1>Tea</h1><p hidden>Never shown here.<p>{prose}<p>Half <math><mi>x</mi><mo>+</mo><mn>1</mn></math> of<span style='display:none'>no</span> it. {prose}</article></body>"
+    got = htmltext.main_text(page, model)
+    assert got == f"Tea\n{prose}\nHalf x+1 of it. {prose}"
