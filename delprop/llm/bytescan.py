@@ -13,6 +13,8 @@ _INVERSE = pow(_BASE, -1, 1 << 64)
 
 #: Texts are joined until a buffer holds about this many bytes.
 BUFFER = 1 << 18
+#: Bytes hashed at a time.
+BLOCK = 1 << 19
 
 
 def _table(pick) -> np.ndarray:
@@ -54,13 +56,52 @@ def runs(member: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
 
 
-def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hashes of the slices, ASCII case ignored."""
-    size = 1 << max(19, len(data).bit_length())
-    up, down = _powers(size)
+def _mixed(sums: np.ndarray) -> np.ndarray:
+    sums = sums ^ (sums >> np.uint64(31))
+    sums *= np.uint64(0xBF58476D1CE4E5B9)
+    return sums ^ (sums >> np.uint64(29))
+
+
+def _polynomials(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Polynomial of each slice of ``data``, which holds at most ``BLOCK`` bytes."""
+    up, down = _powers(BLOCK)
     sums = np.zeros(len(data) + 1, np.uint64)
     np.cumsum((LOWER[data].astype(np.uint64) + np.uint64(1)) * up[: len(data)], out=sums[1:])
-    mixed = (sums[ends] - sums[starts]) * down[starts]
-    mixed ^= mixed >> np.uint64(31)
-    mixed *= np.uint64(0xBF58476D1CE4E5B9)
-    return mixed ^ (mixed >> np.uint64(29))
+    return (sums[ends] - sums[starts]) * down[starts]
+
+
+def _long_polynomial(data: np.ndarray) -> np.uint64:
+    total = 0
+    for at in range(0, len(data), BLOCK):
+        part = data[at : at + BLOCK]
+        own = int(_polynomials(part, np.zeros(1, np.int64), np.array([len(part)]))[0])
+        total += own * pow(_BASE, at, 1 << 64)
+    return np.uint64(total % (1 << 64))
+
+
+def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of the slices, ASCII case ignored; slices come in order and working memory is bounded whatever their lengths."""
+    out = np.empty(len(starts), np.uint64)
+    i = 0
+    while i < len(starts):
+        low = starts[i]
+        j = int(np.searchsorted(ends, low + BLOCK, "right"))
+        if j > i:
+            out[i:j] = _polynomials(data[low : ends[j - 1]], starts[i:j] - low, ends[i:j] - low)
+        else:  # one slice longer than a block
+            out[i], j = _long_polynomial(data[low : ends[i]]), i + 1
+        i = j
+    return _mixed(out)
+
+
+def prefix_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray, lengths: tuple[int, ...]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """(slices longer than a length, hashes of their first bytes) for each of the growing ``lengths``; a prefix hashes as the word it spells."""
+    up, _ = _powers(BLOCK)
+    chosen, sums, done = np.arange(len(starts)), np.zeros(len(starts), np.uint64), 0
+    for length in lengths:
+        longer = ends[chosen] - starts[chosen] > length
+        chosen, sums = chosen[longer], sums[longer]
+        for k in range(done, length):
+            sums = sums + (LOWER[data[starts[chosen] + k]].astype(np.uint64) + np.uint64(1)) * up[k]
+        done = length
+        yield chosen, _mixed(sums)

@@ -1,13 +1,15 @@
 """Toxicity by multiple-instance learning: sentence scores combined by noisy-or.
 
 A document is a bag of sentences.  A sentence's chance of being offensive is
-logistic in the words it holds; the document is toxic unless every sentence is
-harmless, so P = 1 - prod(1 - p).  Only document labels are known: weights are
-learnt through the noisy-or, with a small rate of wrong labels in the
-likelihood and an L1 penalty that leaves weight on few words.  The sentence
+logistic in its marks: the words it holds and their first bytes, so that an
+offensive stem counts under any ending; the document is toxic unless every
+sentence is harmless, so P = 1 - prod(1 - p).  Only document labels are known:
+weights are learnt through the noisy-or, with a small rate of wrong labels in
+the likelihood and an L1 penalty that leaves weight on few marks.  The sentence
 chances then locate the offending sentences.
 
-Words are maximal runs of letters, hashed to ``1 << BITS`` slots.
+Words are maximal runs of letters.  Marks are hashed to ``1 << BITS`` slots; a
+prefix shares the slot of the word it spells.
 
 Edge cases: null, empty or wordless texts have no sentences and score 0; null
 ids count as held out; rows with null labels are not learnt from; with no
@@ -25,27 +27,35 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from delprop.llm.bytescan import LETTER, STOP, buffers, runs, word_hashes
+from delprop.llm.bytescan import LETTER, STOP, buffers, prefix_hashes, runs, word_hashes
 from delprop.llm.common import held_out, keep_rows, labelled_sample, map_arrow
 
 BITS = 20
+#: Bytes of the prefixes that count as marks besides the whole word.
+PREFIXES = (4, 5, 6)
 #: Rate of wrong labels in the likelihood.
 WRONG = 0.04
 
 
 def bags(texts: list[str | None]) -> Iterator[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """(first row, rows, sentence, word slot, (start, end) bytes) per run of texts: one entry per word.
+    """(first row, row of each sentence, sentence of each mark, slot of each mark, (start, end) byte of each sentence) per run of texts.
 
-    ``sentence`` numbers sentences within the run; ``rows`` gives each sentence's row in the run.
+    Sentences are numbered, and rows and bytes counted, within the run.
     """
     for first, data, begins in buffers(texts):
         starts, ends = runs(LETTER[data])
-        slots = (word_hashes(data, starts, ends) >> np.uint64(64 - BITS)).astype(np.int64)
-        raw = np.cumsum(STOP[data])[starts]
-        fresh = np.flatnonzero(np.r_[True, raw[1:] != raw[:-1]]) if len(raw) else np.zeros(0, np.int64)
-        sentence = np.cumsum(np.r_[False, raw[1:] != raw[:-1]]) if len(raw) else raw
+        if not len(starts):
+            continue
+        raw = np.cumsum(STOP[data], dtype=np.int32)[starts]
+        change = np.r_[True, raw[1:] != raw[:-1]]
+        fresh, sentence = np.flatnonzero(change), np.cumsum(change) - 1
         rows = np.searchsorted(begins, starts[fresh], "right") - 1
-        yield first, rows, sentence, slots, np.c_[starts, ends]
+        marks, owners = [word_hashes(data, starts, ends)], [sentence]
+        for longer, hashes in prefix_hashes(data, starts, ends, PREFIXES):
+            marks.append(hashes)
+            owners.append(sentence[longer])
+        slots = (np.concatenate(marks) >> np.uint64(64 - BITS)).astype(np.int64)
+        yield first, rows, np.concatenate(owners), slots, np.c_[starts[fresh], ends[np.r_[fresh[1:] - 1, len(ends) - 1]]]
 
 
 @dataclass
@@ -61,38 +71,35 @@ class NoisyOr:
     def score(self, texts: list[str | None]) -> np.ndarray:
         out = np.zeros(len(texts))
         for first, rows, sentence, slots, _ in bags(texts):
-            if len(rows):
-                total = np.bincount(rows, self.hazards(sentence, slots, len(rows)))
-                out[first : first + len(total)] = -np.expm1(-total)
+            total = np.bincount(rows, self.hazards(sentence, slots, len(rows)))
+            out[first : first + len(total)] = -np.expm1(-total)
         return out
 
     def offending(self, text: str, least: float = 0.5) -> list[tuple[int, int, float]]:
         """(start byte, end byte, chance) of the sentences at or above ``least``."""
         out = []
         for _, rows, sentence, slots, spans in bags([text]):
-            chance = -np.expm1(-self.hazards(sentence, slots, len(rows))) if len(rows) else np.zeros(0)
-            for k in np.flatnonzero(chance >= least).tolist():
-                own = spans[sentence == k]
-                out.append((int(own[0, 0]), int(own[-1, 1]), float(chance[k])))
+            chance = -np.expm1(-self.hazards(sentence, slots, len(rows)))
+            out += [(int(spans[k, 0]), int(spans[k, 1]), float(chance[k])) for k in np.flatnonzero(chance >= least).tolist()]
         return out
 
 
-def fit(texts: list[str], labels: np.ndarray, turns: int = 600, rate: float = 0.3, penalty: float = 5e-4, least_documents: int = 5, least_z: float = 4.0) -> NoisyOr:
+def fit(texts: list[str], labels: np.ndarray, turns: int = 600, rate: float = 0.3, penalty: float = 1e-4, least_documents: int = 8, least_z: float = 6.0) -> NoisyOr:
     """Proximal Adagrad on the noisy-or likelihood.
 
-    Only words in at least ``least_documents`` sample texts, and so much more
+    Only marks in at least ``least_documents`` sample texts, and so much more
     frequent among the toxic ones that their two-proportion z is ``least_z``,
-    can get weight; sentences without such a word differ by nothing and are
+    can get weight; sentences without such a mark differ by nothing and are
     counted, not listed.
     """
     model = NoisyOr(np.zeros(1 << BITS, np.float32), -30.0)
     if not len(texts) or labels.min() == labels.max():
         return model
     y, n = labels.astype(float), len(texts)
-    held = []  # (text, word slot) once each, and each text's sentences
+    held = [np.zeros(0, np.int64)]  # (text, slot) once each, and each text's sentences
     sentences = np.zeros(n)
     for first, rows, sentence, slots, _ in bags(texts):
-        held.append(np.unique((rows[sentence] + first) << BITS | slots) if len(slots) else slots)
+        held.append(np.unique((rows[sentence] + first) << BITS | slots))
         np.add.at(sentences, rows + first, 1)
     pairs = np.concatenate(held)
     slot, mark = pairs & ((1 << BITS) - 1), y[pairs >> BITS]
@@ -114,7 +121,7 @@ def fit(texts: list[str], labels: np.ndarray, turns: int = 600, rate: float = 0.
         offset += len(fresh)
     doc, sent, word = map(np.concatenate, (doc_of, sent_of, word_of))
     bare = sentences - np.bincount(doc, minlength=n)
-    theta, bias = np.full(len(known), 8.0), -8.0  # every screened word starts as suspect: from zero the likelihood is flat
+    theta, bias = np.full(len(known), 8.0), -8.0  # every screened mark starts as suspect: from zero the likelihood is flat
     squares, square = np.full(len(known), 1e-6), 1e-6
     for _ in range(turns):
         z = bias + np.bincount(sent, theta[word], len(doc))
