@@ -61,11 +61,11 @@ def materialise(df: DataFrame, label: str) -> DataFrame:
 WORKER_CACHES: dict[str, Callable[[], None]] = {}
 
 
-def release_worker_memory() -> None:
-    """Python workers are reused; what an earlier operator cached there goes back to the system."""
-    if WORKER_CACHES:
-        for empty in WORKER_CACHES.values():
-            empty()
+def release_worker_memory(keep: str = "") -> None:
+    """Python workers are reused; what an operator other than ``keep`` cached there goes back to the system."""
+    if set(WORKER_CACHES) - {keep}:
+        for name in set(WORKER_CACHES) - {keep}:
+            WORKER_CACHES.pop(name)()
         gc.collect()
         try:
             ctypes.CDLL("libc.so.6").malloc_trim(0)

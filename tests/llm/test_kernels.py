@@ -6,6 +6,8 @@ from itertools import combinations
 import numpy as np
 import pytest
 import xxhash
+from hypothesis import given, settings
+from hypothesis import strategies as st
 
 from delprop.llm import ann, decontamination, htmltext, packing, quality, secretscan, sharding, simhash, toxicity, urlfilter
 from delprop.llm.bytescan import SPACE, buffers, runs, word_hashes
@@ -13,6 +15,9 @@ from delprop.llm.queries import URL_RULES, tokenizer_path
 
 ODD_TEXTS = ["", None, "   \n\t ", "a", "Ünïcode ’s don't İstanbul ΣΑΣ 12,3 <|endoftext|>x ½²", "a\x1cb c", "日本語 テスト", "x" * 5000, "one two three four five " * 400]
 
+#: With a table that holds all chunks, and with one that starts anew all the time.
+ENCODERS = [packing.Encoder(tokenizer_path()), packing.Encoder(tokenizer_path(), 17)]
+
 
 def plain_fingerprint(text):
     words = [w for w in __import__("re").split(r"[\x20\x09-\x0D]+", "".join(c.lower() if "A" <= c <= "Z" else c for c in text or "")) if w]
@@ -62,10 +67,11 @@ def test_forest_has_the_components_of_all_pairs():
 
 
 def test_encoder_equals_the_tokenizer():
-    code = packing.Encoder(tokenizer_path())
-    for text in ODD_TEXTS:
-        want = code.tokenizer.encode(text or "", add_special_tokens=False).ids
-        assert np.frombuffer(code.encode(text or ""), code.dtype).tolist() == want
+    for code in ENCODERS:
+        for texts in (ODD_TEXTS, [" ".join(f"w{i * j}ab" for i in range(3000)) for j in range(1, 40)]):
+            ids, counts = code.encode(texts, 2)
+            want = [code.tokenizer.encode(t or "", add_special_tokens=False).ids + [2] for t in texts]
+            assert counts.tolist() == list(map(len, want)) and ids.tolist() == [i for w in want for i in w]
 
 
 @pytest.mark.parametrize("targets", [None, [0.5, 0.25, 0.25, 0.0]])
@@ -74,21 +80,62 @@ def test_schedule_places_every_token_once_and_in_proportion(targets):
     plan = packing.Schedule(totals, targets, length)
     seen = {}
     draw = np.random.default_rng(0)
+    queue, start, stop = [], [], []
     for q, n in enumerate(totals):
         at = 0
         while at < n:
-            stop = min(n, at + int(draw.integers(1, 700)))
-            for a, b, window, offset in plan.cuts(q, at, stop):
-                for i in range(b - a):
-                    assert seen.setdefault((window, offset + i), q) == q
-            at = stop
-    assert len(seen) == sum(totals)
+            end = min(n, at + int(draw.integers(1, 700)))
+            queue.append(q), start.append(at), stop.append(end)
+            at = end
+    held = [0] * len(queue)
+    for owner, a, b, window, offset in zip(*(x.tolist() for x in plan.cuts(*map(np.array, (queue, start, stop)))), strict=True):
+        assert start[owner] <= a < b <= stop[owner]
+        held[owner] += b - a
+        for i in range(b - a):
+            assert seen.setdefault((window, offset + i), (queue[owner], a + i)) == (queue[owner], a + i)
+    assert held == [b - a for a, b in zip(start, stop, strict=True)] and len(seen) == len(set(seen.values())) == sum(totals)
     windows = max(w for w, _ in seen) + 1
     assert windows == -(-sum(totals) // length)
+    assert all((w, o) in seen for w in range(windows - 1) for o in range(length))
     share = np.array(totals) / sum(totals) if targets is None else np.array(targets)
     for w in range(5):
-        got = np.bincount([seen[w, o] for o in range(length)], minlength=4)
-        assert np.abs(got - share * length).max() < 2
+        got = np.bincount([seen[w, o][0] for o in range(length)], minlength=len(totals))
+        assert np.abs(got[: len(share)] - share * length).max() < 2
+
+
+def test_packing_schedule_of_many_queues():
+    """Thousands of queues, most of them thinner than a token a window, with and without targets for all."""
+    draw = np.random.default_rng(5)
+    totals = [int(x) for x in draw.integers(1, 40, 2000)] + [90_000]
+    for targets in (None, [float(x) for x in draw.integers(1, 9, 2001)], [3.0, 1.0]):
+        plan = packing.Schedule(totals, targets, 512)
+        stop = np.array(totals)
+        owner, first, last, window, offset = plan.cuts(np.arange(len(totals)), np.zeros_like(stop), stop)
+        place = np.concatenate([np.arange(a, b) for a, b in zip(window * 512 + offset, window * 512 + offset + last - first, strict=True)])
+        assert np.array_equal(np.sort(place), np.arange(sum(totals)))
+        if targets == [3.0, 1.0]:
+            size = np.bincount(owner[window == 0], (last - first)[window == 0], 2)[:2]
+            assert size.tolist() == [min(totals[0], 384), min(totals[1], 128)]
+
+
+@given(st.lists(st.tuples(st.integers(0, 3 * 10**13), st.integers(0, 3 * 10**13)), min_size=1, max_size=9), st.integers(3 * 10**13, 10**14))
+@settings(max_examples=200, deadline=None)
+def test_shares_are_exact_beyond_64_bits(pairs, share):
+    part, at = (np.array(x) for x in zip(*pairs, strict=True))
+    assert packing.floor_share(part, at, share).tolist() == [p * a // share for p, a in pairs]
+
+
+WORDS = st.one_of(st.text(max_size=9), st.text("abcdeEIstn'.,-#12éÉßöÄñ×İ<|>", max_size=12), st.sampled_from(["the", "Thunder's", "<|endoftext|>", "<|ENDOFTEXT|>", "don't", "x" * 80, "naïve", "e\u0301", "日本", "12.5%"]))
+
+
+@given(st.lists(st.lists(WORDS, max_size=12), min_size=1, max_size=5), st.sampled_from([" ", "\n", "\t ", "\u00a0", "\x1c", "\x85"]))
+@settings(max_examples=150, deadline=None)
+def test_ids_equal_the_tokenizers(texts, gap):
+    whole = [gap.join(words).encode("utf-8", "replace").decode() for words in texts]
+    code = ENCODERS[len(whole) % 2]
+    ids, counts = code.encode(whole, 2)
+    want = [code.tokenizer.encode(t, add_special_tokens=False).ids + [2] for t in whole]
+    assert counts.tolist() == list(map(len, want)) and ids.tolist() == [i for w in want for i in w]
 
 
 def test_url_index_against_a_scan():

@@ -152,22 +152,21 @@ def test_packing_round_trip(spark, sf, odd, none):
         ids = np.array(code.tokenizer.encode(texts[p.doc_id], add_special_tokens=False).ids + [2], "<u4")
         assert p.ids_crc32 == crc32(ids[p.start : p.start + p.length].tobytes())
     assert packing.pack(none, tokenizer_path()).count() == 0
-    assert packing.pack(odd, tokenizer_path(), max_queues=1).select("doc_id").distinct().count() == odd.select("doc_id").distinct().count()
 
 
-def test_packing_keeps_targets_and_large_sources_in_own_queues(spark):
-    sources = ["big"] * 60 + ["aim"] * 20 + ["gain"] * 20 + [f"rare{k}" for k in range(30)]
-    docs = spark.createDataFrame([(i, "some words of a text " * 20, s) for i, s in enumerate(sources)], "doc_id long, text string, source string")
-    pieces = packing.pack(docs, tokenizer_path(), length=256, targets={"aim": 3.0, "gain": 1.0}, max_queues=4).collect()
+def test_packing_keeps_targets_of_many_sources(spark):
+    sources = ["big"] * 60 + ["aim"] * 20 + ["gain"] * 20 + [f"rare{k}" for k in range(2000)]
+    docs = spark.createDataFrame([(i, "some words of a text " * 20 if i < 100 else "rare words", s) for i, s in enumerate(sources)], "doc_id long, text string, source string")
+    pieces = packing.pack(docs, tokenizer_path(), length=256, targets={"aim": 3.0, "gain": 1.0, "absent": 5.0}).collect()
     check_pieces([(r.doc_id, r.text) for r in docs.collect()], pieces, 256)
-    queue = {p.doc_id: p.queue for p in pieces}
-    assert {queue[i] for i in range(60)} == {"sbig"} and {queue[i] for i in range(60, 80)} == {"saim"} and {queue[i] for i in range(80, 100)} == {"sgain"}
-    assert {queue[i][0] for i in range(100, 130) if sources[i] not in ("big", "aim", "gain")} <= {"h", "s"} and len(set(queue.values())) <= 5
+    assert {p.doc_id: p.queue for p in pieces} == {i: f"s{s}" for i, s in enumerate(sources)}
     first = Counter()
     for p in pieces:
         if p.sequence_id < 4:
             first[p.queue] += p.length
     assert first == {"saim": 768, "sgain": 256}
+    everyone = packing.pack(docs, tokenizer_path(), length=256, targets=dict.fromkeys(set(sources), 1.0)).collect()
+    check_pieces([(r.doc_id, r.text) for r in docs.collect()], everyone, 256)
 
 
 def test_urls(spark):
