@@ -4,9 +4,12 @@ Text is read as tokens: runs of value characters, or single other characters.
 A token is tagged Begin, Inside or Outside of a secret.  Features of a token
 are its shape class, the classes of its neighbours, whether a credential word
 stands in the words before it, and features of the whole file.  Words without
-a digit that are short are *plain*: the label set allows them Outside only.
-The chain therefore falls apart at plain words, and exact Viterbi decoding
-needs to visit only the stretches around the other tokens.
+a digit and of fewer than 24 characters are *plain*: the label set allows them
+Outside only, and single marks may not Begin.  So every token between a plain
+word and the next token that may Begin is Outside, and the chain over the
+whole text falls apart, without approximation, into stretches that run from
+such a token to the next plain word, Outside on either side.  Stretches have
+no greatest length; Viterbi decoding of each, in linear time, is that of the text.
 
 Weights are the maximum-likelihood ones (forward-backward gradients), learnt
 from stretches of generated configuration lines and from stretches of a
@@ -25,6 +28,7 @@ import hashlib
 import random
 import re
 from functools import lru_cache
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -43,7 +47,9 @@ CRF = "crf"
 Span = tuple[int, int, int]
 
 _TOKEN = re.compile(r"[A-Za-z0-9+/_.=-]+|[^\sA-Za-z0-9+/_.=-]")
-_ODD = re.compile(r"[0-9]|[A-Za-z0-9+/_=-]{24,}")
+#: What every token that may begin a secret holds.
+_ODD = re.compile(r"[0-9]|[A-Za-z0-9+/_.=-]{24,}")
+_LAST = re.compile(r"(?:[A-Za-z0-9+/_.=-]+|[^\sA-Za-z0-9+/_.=-])\Z")
 _RUN = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_.=-")
 _CREDENTIAL = re.compile(r"pass(word|wd|phrase)?|secret|token|api_?key|access_?key|private|credential|auth|bearer|signature", re.IGNORECASE)
 SHAPES = ("plain", "word", "punct", "assign", "number", "phone", "dotted", "long_number", "hex", "hex_long", "mixed", "mixed_long", "base64", "mail", "uuid")
@@ -104,46 +110,56 @@ _S = len(SHAPES)
 _WIDTH = 3 * _S + 2 * _S + 4 * _S
 
 
+def _words_before(text: str, at: int) -> list[str]:
+    """The last ``REACH`` white-space separated words of ``text[:at]``, whole; the last one may touch ``at``."""
+    size = 64
+    while True:
+        begin = max(0, at - size)
+        words = text[begin:at].split()
+        if begin == 0 or len(words) > REACH:
+            return words[-REACH:]
+        size *= 2
+
+
 def stretches(text: str) -> list[tuple[list[tuple[int, int]], np.ndarray]]:
-    """Maximal runs of tokens that are not plain words: their spans and their feature indices (n x 5)."""
-    found, out, seen = file_class(text), [], -1
+    """The stretches of the chain: their tokens' spans and feature indices (n x 5)."""
+    found, out, seen = file_class(text), [], 0
     for hit in _ODD.finditer(text):
         if hit.start() < seen:
             continue
-        left, right = hit.start(), hit.end()
-        while left > 0 and not text[left - 1].isspace():
+        left = hit.start()
+        while left > seen and not text[left - 1].isspace():
             left -= 1
-        while right < len(text) and not text[right].isspace():
-            right += 1
-        # join white-space separated chunks, always whole, while the next one is odd as well
-        while (more := re.compile(r"\s{1,3}(?=\S*[0-9])\S+").match(text, right)) is not None and right - left < 4000:
-            right = more.end()
-        seen = right
-        tokens = [(m.start(), m.end()) for m in _TOKEN.finditer(text, left, right)]
-        shapes = [shape(text[a:b]) for a, b in tokens]
-        before = text[max(0, left - 40) : left]
-        near_before = bool(_CREDENTIAL.search(" ".join(before.split()[-REACH:])))
-        prior = _TOKEN.findall(before)
-        previous = shape(prior[-1]) if prior else SHAPE["plain"]
-        rows, words = [], []
+        tokens, shapes = [], []
+        seen = len(text)
+        for m in _TOKEN.finditer(text, left):
+            kind = shape(m[0])
+            if kind == SHAPE["plain"] and m.start() >= hit.end():
+                seen = m.start()
+                break
+            tokens.append((m.start(), m.end()))
+            shapes.append(kind)
+        before = _words_before(text, left)
+        flags = [False] * (REACH - len(before)) + [bool(_CREDENTIAL.search(w)) for w in before]
+        prior = _LAST.search(before[-1]) if before else None
+        previous = shape(prior[0]) if prior else SHAPE["plain"]
+        rows = []
         for i, ((a, b), s) in enumerate(zip(tokens, shapes, strict=True)):
-            near = near_before if i < REACH else False
-            near = near or any(_CREDENTIAL.search(w) for w in words[-REACH:])
+            near = any(flags[-REACH:])
             p = shapes[i - 1] if i else previous
             n = shapes[i + 1] if i + 1 < len(shapes) else SHAPE["plain"]
             rows.append((s, _S + p, 2 * _S + n, 3 * _S + 2 * s + near, 5 * _S + 4 * s + found))
-            words.append(text[a:b])
+            flags.append(bool(_CREDENTIAL.search(text, a, b)))
         out.append((tokens, np.array(rows, np.int64)))
     return out
 
 
 class Chain:
-    """Weights of the field and its two recursions; plain words and single marks may not begin a secret."""
+    """Weights of the field and its two recursions; plain words and single marks may not begin a secret, and a stretch is Outside on either side."""
 
     def __init__(self) -> None:
         self.unary = np.zeros((_WIDTH, 3))
         self.step = np.zeros((3, 3))
-        self.start = np.zeros(3)
 
     def scores(self, rows: np.ndarray) -> np.ndarray:
         out = self.unary[rows].sum(1)
@@ -151,20 +167,20 @@ class Chain:
         out[np.isin(rows[:, 0], (SHAPE["punct"], SHAPE["assign"])), BEGIN] = -np.inf
         return out
 
-    def _transition(self) -> tuple[np.ndarray, np.ndarray]:
-        step, start = self.step.copy(), self.start.copy()
-        step[OUTSIDE, INSIDE] = start[INSIDE] = -np.inf
-        return step, start
+    def _transition(self) -> np.ndarray:
+        step = self.step.copy()
+        step[OUTSIDE, INSIDE] = -np.inf
+        return step
 
     def viterbi(self, rows: np.ndarray) -> list[int]:
-        scores, (step, best) = self.scores(rows), self._transition()
-        best = best + scores[0]
+        scores, step = self.scores(rows), self._transition()
+        best = step[OUTSIDE] + scores[0]
         back = []
         for s in scores[1:]:
             through = best[:, None] + step
             back.append(through.argmax(0))
             best = through.max(0) + s
-        tags = [int(best.argmax())]
+        tags = [int((best + step[:, OUTSIDE]).argmax())]
         for b in reversed(back):
             tags.append(int(b[tags[-1]]))
         return tags[::-1]
@@ -176,32 +192,33 @@ class Chain:
             held = grouped.setdefault(rows.tobytes() + bytes(tags), [rows, tags, 0])
             held[2] += 1
         total = sum(h[2] for h in grouped.values())
-        squares = [np.full_like(x, 1e-8) for x in (self.unary, self.step, self.start)]
+        squares = [np.full_like(x, 1e-8) for x in (self.unary, self.step)]
         for _ in range(turns):
-            grads = [decay * self.unary, decay * self.step, decay * self.start]
+            grads = [decay * self.unary, decay * self.step]
             for rows, tags, times in grouped.values():
                 self._gradient(rows, tags, times / total, grads)
-            for value, grad, square in zip((self.unary, self.step, self.start), grads, squares, strict=True):
+            for value, grad, square in zip((self.unary, self.step), grads, squares, strict=True):
                 square += grad**2
                 value -= rate * grad / np.sqrt(square)
         return self
 
     def _gradient(self, rows: np.ndarray, tags: list[int], weight: float, grads: list[np.ndarray]) -> None:
-        scores, (step, start) = self.scores(rows), self._transition()
+        scores, step = self.scores(rows), self._transition()
         n = len(scores)
-        ahead, behind = np.empty((n, 3)), np.zeros((n, 3))
+        ahead, behind = np.empty((n, 3)), np.empty((n, 3))
         with np.errstate(invalid="ignore"):
-            ahead[0] = start + scores[0]
+            ahead[0], behind[-1] = step[OUTSIDE] + scores[0], step[:, OUTSIDE]
             for i in range(1, n):
                 ahead[i] = np.logaddexp.reduce(ahead[i - 1][:, None] + step, 0) + scores[i]
             for i in range(n - 2, -1, -1):
                 behind[i] = np.logaddexp.reduce(step + (scores[i + 1] + behind[i + 1])[None, :], 1)
-            norm = np.logaddexp.reduce(ahead[-1])
+            norm = np.logaddexp.reduce(ahead[-1] + behind[-1])
             single = np.nan_to_num(np.exp(ahead + behind - norm))
         single[np.arange(n), tags] -= 1
         for block in rows.T:
             np.add.at(grads[0], block, weight * single)
-        grads[2] += weight * single[0]
+        grads[1][OUTSIDE] += weight * single[0]
+        grads[1][:, OUTSIDE] += weight * single[-1]
         for i in range(1, n):
             with np.errstate(invalid="ignore"):
                 pair = np.nan_to_num(np.exp(ahead[i - 1][:, None] + step + (scores[i] + behind[i])[None, :] - norm))
@@ -215,7 +232,7 @@ def tagged(text: str, spans: list[tuple[int, int]]) -> list[tuple[np.ndarray, li
     for tokens, rows in stretches(text):
         tags, held = [], None
         for a, b in tokens:
-            owner = next(((x, y) for x, y in spans if a < y and x < b), None)
+            owner = next(((x, y) for x, y in spans if a < y and x < b), None)  # few spans: training texts only
             if owner is None or rows[len(tags), 0] == SHAPE["plain"]:
                 tags.append(OUTSIDE)
             elif owner == held:
@@ -284,7 +301,14 @@ def crf_spans(text: str, chain: Chain) -> list[tuple[int, int]]:
 def find(text: str, chain: Chain) -> tuple[list[Span], list[tuple[int, int]]]:
     """Fixed spans, and decoded spans that overlap none of them."""
     base = base_spans(text)
-    extra = [(a, b) for a, b in crf_spans(text, chain) if not any(a < y and x < b for x, _, y in base)] if _ODD.search(text) else []
+    extra, k = [], 0
+    reach = list(accumulate((y for _, _, y in base), max))
+    for a, b in crf_spans(text, chain):
+        while k < len(base) and base[k][0] < b:
+            k += 1
+        # base spans that start before b; one of them overlaps if the furthest end lies beyond a
+        if not k or reach[k - 1] <= a:
+            extra.append((a, b))
     return base, extra
 
 
