@@ -5,6 +5,7 @@ from __future__ import annotations
 import atexit
 import ctypes
 import gc
+import re
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
@@ -23,12 +24,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder the session names for checkpoints; a local one only where none is named."""
+    """The shared folder the session names for checkpoints; a local one only where none is named and all runs in one process."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         root = held.get() if held.isDefined() else None
     if not root:
+        if not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+            raise RuntimeError("name a folder that all executors share in spark.checkpoint.dir")
         root = f"file://{tempfile.mkdtemp(prefix='delprop-')}"
         spark.sparkContext.setCheckpointDir(root)
     return root.rstrip("/")
@@ -73,13 +76,18 @@ def release_worker_memory(keep: str = "") -> None:
             return
 
 
-#: Rows of one Arrow batch: texts may be long, and a worker holds a batch several times over.
-BATCH_ROWS = 256
+#: Bytes of one Arrow batch: texts may be long, and a worker holds a batch several times over.
+BATCH_BYTES = 2 << 20
+
+
+def bound_batches(spark: SparkSession) -> None:
+    """Arrow batches close at ``BATCH_BYTES`` (or the session's number of rows); narrow rows hardly notice."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", BATCH_BYTES)
 
 
 def map_arrow(df: DataFrame, kernel: Callable[[pa.RecordBatch], pa.RecordBatch], schema: str | StructType) -> DataFrame:
-    """Apply ``kernel`` to every Arrow batch of ``df``, in batches of a bounded number of rows."""
-    df.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
+    """Apply ``kernel`` to every Arrow batch of ``df``, in batches of bounded bytes."""
+    bound_batches(df.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         release_worker_memory()

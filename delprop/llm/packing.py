@@ -46,7 +46,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from delprop.llm.bytescan import LOWER, SPACE, runs, word_hashes
-from delprop.llm.common import BATCH_ROWS, WORKER_CACHES, map_arrow, materialise, release_worker_memory
+from delprop.llm.common import WORKER_CACHES, bound_batches, map_arrow, materialise, release_worker_memory
 
 #: Bytes of text that are tokenised at a time.
 SEGMENT = 1 << 18
@@ -537,7 +537,7 @@ def tokenise(documents: DataFrame, tokenizer: str, end_id: int) -> DataFrame:
             )
 
     rows = documents.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.concat(F.lit("s"), F.col("source").cast("string")), F.lit("-")).alias("queue"), "text")
-    rows.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", BATCH_ROWS)
+    bound_batches(rows.sparkSession)
     return rows.mapInArrow(run, "doc_id long, queue string, part int, before long, tokens long, ids binary")
 
 

@@ -35,6 +35,8 @@ from delprop.llm.common import map_arrow, materialise, union_all
 
 NO_ID = (1 << 63) - 1
 SEED = 42
+#: Nodes that a task holds while it contracts edges.
+FOREST = 1 << 18
 
 
 def fingerprint(text: str | None, words: int = 4) -> int:
@@ -172,7 +174,7 @@ def close_links(nodes: DataFrame, radius: int = 4, blocks: int | None = None, bu
 def connected(edges: DataFrame) -> DataFrame:
     """(node, root): the smallest node of the component for every node of ``edges``, by alternating stars.
 
-    Each partition first contracts its own edges to a forest; then every node
+    Each partition first contracts its own edges, ``FOREST`` nodes at a time, to forests; then every node
     links its larger neighbours to its smallest one, and its smaller ones to
     the smallest, until nothing changes.  Each round is written to the shared
     scratch folder, so lineage stays short.
@@ -187,15 +189,20 @@ def connected(edges: DataFrame) -> DataFrame:
                 x = up
             return x
 
+        def forest() -> Iterator[pa.RecordBatch]:
+            out = [(x, r) for x in list(parent) if (r := find(x)) != x]
+            parent.clear()
+            if out:
+                yield pa.record_batch([pa.array([x for x, _ in out], pa.int64()), pa.array([r for _, r in out], pa.int64())], ["a", "b"])
+
         for batch in batches:
             for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 ra, rb = find(a), find(b)
                 if ra != rb:
                     parent[max(ra, rb)] = min(ra, rb)
-        out = [(x, find(x)) for x in list(parent)]
-        out = [(x, r) for x, r in out if x != r]
-        if out:
-            yield pa.record_batch([pa.array([x for x, _ in out], pa.int64()), pa.array([r for _, r in out], pa.int64())], ["a", "b"])
+            if len(parent) >= FOREST:
+                yield from forest()
+        yield from forest()
 
     # a is always the larger end
     current = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).mapInArrow(contract, "a long, b long"), "edges")
