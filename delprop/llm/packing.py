@@ -201,7 +201,7 @@ class Encoder:
     by its merges; any other chunk goes to the tokenizer whole.
     """
 
-    def __init__(self, path: str, bits: int = 21) -> None:
+    def __init__(self, path: str, bits: int = 20) -> None:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)

@@ -108,6 +108,32 @@ def forest(fps: np.ndarray, radius: int) -> list[tuple[int, int]]:
     return [(int(fps[i]), int(fps[r])) for i, r in enumerate(root) if i != r]
 
 
+def _forests(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Edges (a, b) of a task contracted, ``FOREST`` nodes at a time, to forests (member, smaller root)."""
+    parent: dict[int, int] = {}
+
+    def find(x: int) -> int:
+        while (up := parent.setdefault(x, x)) != x:
+            parent[x] = parent[up]
+            x = up
+        return x
+
+    def forest() -> Iterator[pa.RecordBatch]:
+        out = [(x, r) for x in list(parent) if (r := find(x)) != x]
+        parent.clear()
+        if out:
+            yield pa.record_batch([pa.array([x for x, _ in out], pa.int64()), pa.array([r for _, r in out], pa.int64())], ["a", "b"])
+
+    for batch in batches:
+        for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+            ra, rb = find(a), find(b)
+            if ra != rb:
+                parent[max(ra, rb)] = min(ra, rb)
+        if len(parent) >= FOREST:
+            yield from forest()
+    yield from forest()
+
+
 def _verify_buckets(radius: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         def edges(keys: np.ndarray, fps: np.ndarray) -> pa.RecordBatch | None:
@@ -147,7 +173,7 @@ def _flips(reach: int) -> list[int]:
 
 
 def close_links(nodes: DataFrame, radius: int = 4, blocks: int | None = None, bucket_bound: int = 4096) -> DataFrame:
-    """(a, b): edges whose connected components equal those of all pairs of ``nodes.fp`` within ``radius`` bits."""
+    """(a, b): forest edges, a above b, whose connected components equal those of all pairs of ``nodes.fp`` within ``radius`` bits."""
     nodes = nodes.select("fp")
     masks = block_masks(blocks or blocks_for(nodes.count(), radius), radius)
     keys = F.array(*[F.xxhash64(F.lit(k), F.col("fp").bitwiseAND(F.lit(mask).cast("long"))) for k, mask in enumerate(masks)])
@@ -161,51 +187,28 @@ def close_links(nodes: DataFrame, radius: int = 4, blocks: int | None = None, bu
         cold = rows.join(side, "key", "left_anti")
         hot = rows.join(side, "key", "left_semi").select("fp").distinct()
     shuffled = cold.repartition("key").sortWithinPartitions("key")
-    links = [shuffled.mapInArrow(_verify_buckets(radius), "a long, b long")]
+    verify = _verify_buckets(radius)
+    # verified and contracted in one go: one Python worker a task
+    links = [shuffled.mapInArrow(lambda batches: _forests(verify(batches)), "a long, b long")]
     if n_large:
         hot = materialise(hot, "large-bucket-members")
         flips = F.array(*[F.lit(w).cast("long") for w in _flips(radius // 2)])
         spread = hot.select("fp", F.explode(flips).alias("w")).select(F.col("fp").bitwiseXOR(F.col("w")).alias("meet"), "fp")
         least = spread.groupBy("meet").agg(F.min("fp").alias("b"), F.max("fp").alias("top")).where("b < top").select("meet", "b")
-        links.append(spread.join(least, "meet").where("fp > b").select(F.col("fp").alias("a"), "b").distinct())
+        links.append(spread.join(least, "meet").where("fp > b").select(F.col("fp").alias("a"), "b").mapInArrow(_forests, "a long, b long"))
     return union_all(links)
 
 
 def connected(edges: DataFrame) -> DataFrame:
     """(node, root): the smallest node of the component for every node of ``edges``, by alternating stars.
 
-    Each partition first contracts its own edges, ``FOREST`` nodes at a time, to forests; then every node
-    links its larger neighbours to its smallest one, and its smaller ones to
-    the smallest, until nothing changes.  Each round is written to the shared
+    Every node links its larger neighbours to its smallest one, and its
+    smaller ones to the smallest, until nothing changes.  Each round is written to the shared
     scratch folder, so lineage stays short.
     """
 
-    def contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        parent: dict[int, int] = {}
-
-        def find(x: int) -> int:
-            while (up := parent.setdefault(x, x)) != x:
-                parent[x] = parent[up]
-                x = up
-            return x
-
-        def forest() -> Iterator[pa.RecordBatch]:
-            out = [(x, r) for x in list(parent) if (r := find(x)) != x]
-            parent.clear()
-            if out:
-                yield pa.record_batch([pa.array([x for x, _ in out], pa.int64()), pa.array([r for _, r in out], pa.int64())], ["a", "b"])
-
-        for batch in batches:
-            for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                ra, rb = find(a), find(b)
-                if ra != rb:
-                    parent[max(ra, rb)] = min(ra, rb)
-            if len(parent) >= FOREST:
-                yield from forest()
-        yield from forest()
-
     # a is always the larger end
-    current = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).mapInArrow(contract, "a long, b long"), "edges")
+    current = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), "edges")
     salts, mark = 16, None
 
     def meet(links: DataFrame, least: DataFrame) -> DataFrame:
