@@ -52,8 +52,19 @@ def _remove_scratch() -> None:
 atexit.register(_remove_scratch)
 
 
-def materialise(df: DataFrame, label: str) -> DataFrame:
-    """Cut the lineage with a Parquet table in the shared scratch folder (computed once, survives lost executors)."""
+#: Rows of one file of a scratch table of narrow rows.
+FILE_ROWS = 1 << 20
+
+
+def materialise(df: DataFrame, label: str, rows: int | None = None) -> DataFrame:
+    """Cut the lineage with a Parquet table in the shared scratch folder (computed once, survives lost executors).
+
+    ``rows`` bounds the number of (narrow) rows, if known: the shuffled table
+    then has as many files as these need and at least eight, not one for each shuffle partition.
+    """
+    files = None if rows is None else max(8, -(-rows // FILE_ROWS))
+    if files is not None and files < int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")):
+        df = df.coalesce(files)
     path = f"{scratch_root(df.sparkSession)}/{label}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     _SCRATCH.append(path)

@@ -549,7 +549,8 @@ def pack(documents: DataFrame, tokenizer: str, end_id: int = 2, length: int = 40
     named = {"-" if s is None else f"s{s}": w for s, w in (targets or {}).items()}
     spark = documents.sparkSession
     tokens = materialise(tokenise(documents, tokenizer, end_id), "tokens")
-    parts = materialise(tokens.groupBy("queue", "part").agg(F.sum("tokens").alias("n")), "queue-parts")
+    rows = tokens.count()
+    parts = materialise(tokens.groupBy("queue", "part").agg(F.sum("tokens").alias("n")), "queue-parts", rows)
     totals = {r.queue: r.n for r in parts.groupBy("queue").agg(F.sum("n").alias("n")).collect()}  # one row a source
     queues = sorted(totals, key=lambda q: (q not in named, q))
     plan = Schedule([totals[q] for q in queues], [float(named[q]) for q in queues if q in named] if targets else None, length, quantum)
@@ -558,7 +559,7 @@ def pack(documents: DataFrame, tokenizer: str, end_id: int = 2, length: int = 40
     numbers = spark.createDataFrame(pa.table({"queue": pa.array(queues, pa.string()), "number": pa.array(np.arange(len(queues)), pa.int64())}))
     # one row per (queue, partition): prefix sums over partitions, not over documents
     ahead = F.sum("n").over(Window.partitionBy("queue").orderBy("part")) - F.col("n")
-    bases = materialise(parts.select("queue", "part", ahead.alias("base")).join(numbers, "queue"), "queue-bases")
+    bases = materialise(parts.select("queue", "part", ahead.alias("base")).join(numbers, "queue"), "queue-bases", rows)
     side = F.broadcast(bases) if bases.count() <= broadcast_rows else bases
     placed = tokens.join(side, ["queue", "part"]).select("doc_id", "queue", "number", (F.col("base") + F.col("before")).alias("at"), "tokens", "ids")
 

@@ -175,10 +175,11 @@ def _flips(reach: int) -> list[int]:
 def close_links(nodes: DataFrame, radius: int = 4, blocks: int | None = None, bucket_bound: int = 4096) -> DataFrame:
     """(a, b): forest edges, a above b, whose connected components equal those of all pairs of ``nodes.fp`` within ``radius`` bits."""
     nodes = nodes.select("fp")
-    masks = block_masks(blocks or blocks_for(nodes.count(), radius), radius)
+    size = nodes.count()
+    masks = block_masks(blocks or blocks_for(size, radius), radius)
     keys = F.array(*[F.xxhash64(F.lit(k), F.col("fp").bitwiseAND(F.lit(mask).cast("long"))) for k, mask in enumerate(masks)])
     rows = nodes.select(F.explode(keys).alias("key"), "fp")
-    large = materialise(rows.groupBy("key").count().where(F.col("count") > bucket_bound).select("key"), "large-buckets")
+    large = materialise(rows.groupBy("key").count().where(F.col("count") > bucket_bound).select("key"), "large-buckets", size)
     n_large = large.count()
     cold = rows
     if n_large:
@@ -191,7 +192,7 @@ def close_links(nodes: DataFrame, radius: int = 4, blocks: int | None = None, bu
     # verified and contracted in one go: one Python worker a task
     links = [shuffled.mapInArrow(lambda batches: _forests(verify(batches)), "a long, b long")]
     if n_large:
-        hot = materialise(hot, "large-bucket-members")
+        hot = materialise(hot, "large-bucket-members", size)
         flips = F.array(*[F.lit(w).cast("long") for w in _flips(radius // 2)])
         spread = hot.select("fp", F.explode(flips).alias("w")).select(F.col("fp").bitwiseXOR(F.col("w")).alias("meet"), "fp")
         least = spread.groupBy("meet").agg(F.min("fp").alias("b"), F.max("fp").alias("top")).where("b < top").select("meet", "b")
@@ -199,16 +200,18 @@ def close_links(nodes: DataFrame, radius: int = 4, blocks: int | None = None, bu
     return union_all(links)
 
 
-def connected(edges: DataFrame) -> DataFrame:
+def connected(edges: DataFrame, nodes: int | None = None) -> DataFrame:
     """(node, root): the smallest node of the component for every node of ``edges``, by alternating stars.
 
     Every node links its larger neighbours to its smallest one, and its
-    smaller ones to the smallest, until nothing changes.  Each round is written to the shared
+    smaller ones to the smallest, until nothing changes.  ``nodes`` bounds
+    their number, if known.  Each round is written to the shared
     scratch folder, so lineage stays short.
     """
 
     # a is always the larger end
-    current = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), "edges")
+    current = materialise(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), "edges", None if nodes is None else 4 * nodes)
+    size = current.count() if nodes is None else nodes
     salts, mark = 16, None
 
     def meet(links: DataFrame, least: DataFrame) -> DataFrame:
@@ -222,7 +225,7 @@ def connected(edges: DataFrame) -> DataFrame:
         large = meet(both.where("b > a"), least).select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
         low = large.groupBy("a").agg(F.min("b").alias("m"))
         small = meet(large, low).select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b")
-        current = materialise(union_all([small, low.select("a", F.col("m").alias("b"))]).distinct(), "stars")
+        current = materialise(union_all([small, low.select("a", F.col("m").alias("b"))]).distinct(), "stars", size)
         now = current.agg(F.count("*"), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))).first()
         if tuple(now) == mark:
             return current.select(F.col("a").alias("node"), F.col("b").alias("root"))
@@ -236,16 +239,16 @@ def members(documents: DataFrame, words: int = 4, radius: int = 4, bucket_bound:
     keeper is the fingerprint of the node that has it (the smallest of several).
     """
     prints = materialise(fingerprints(documents, words), "fingerprints")
+    rows = prints.count()
     keyed = prints.select("fp", F.coalesce("doc_id", F.lit(NO_ID)).alias("id"))
-    nodes = materialise(keyed.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("n")), "nodes")
-    roots = connected(close_links(nodes, radius, bucket_bound=bucket_bound))
+    nodes = materialise(keyed.groupBy("fp").agg(F.min("id").alias("least"), F.count("*").alias("n")), "nodes", rows)
+    roots = connected(close_links(nodes, radius, bucket_bound=bucket_bound), nodes.count())
     labelled = nodes.join(roots, F.col("fp") == F.col("node"), "left").select("fp", "n", "least", F.coalesce("root", "fp").alias("root"))
     first = labelled.groupBy("root").agg(F.min(F.struct("least", "fp")).alias("first"))
     smallest = first.select("root", F.col("first.least").alias("component_id"), F.col("first.fp").alias("keeper"))
-    owned = materialise(labelled.join(smallest, "root").select("fp", "n", "component_id", "keeper"), "labels")
-    total = owned.agg(F.sum("n")).first()[0] or 0
+    owned = materialise(labelled.join(smallest, "root").select("fp", "n", "component_id", "keeper"), "labels", rows)
     # at most a thousand fingerprints can each hold over a thousandth of the rows: that side is small by proof
-    heavy = F.col("n") > F.lit(max(1, total // 1000))
+    heavy = F.col("n") > F.lit(max(1, rows // 1000))
     names = ["doc_id", "fp", "component_id", "keeper"]
     hot = F.broadcast(owned.where(heavy).drop("n"))
     of_hot = prints.join(hot, "fp").select(*names)
@@ -280,9 +283,10 @@ def deduplicate(documents: DataFrame, words: int = 4, radius: int = 4) -> DataFr
         mine.alias("__id"), F.col("fp").alias("__fp"), ((mine == F.col("component_id")) & (F.col("fp") == F.col("keeper"))).alias("stays"), F.col("doc_id").isNull().alias("null_id")
     )
     found = materialise(found, "components")
+    rows = found.count()
     by_id = found.where("not null_id").groupBy("__id").agg(F.max("stays").alias("stays"), F.count("*").alias("n"), F.min("__fp").alias("low"), F.max("__fp").alias("high"))
     kind = F.when(~F.col("stays"), "gone").when(F.col("low") != F.col("high"), "mixed").when(F.col("n") > 1, "again")
-    special = materialise(by_id.select("__id", kind.alias("kind")).where("kind is not null"), "near-copies")
+    special = materialise(by_id.select("__id", kind.alias("kind")).where("kind is not null"), "near-copies", rows)
     sizes = {r["kind"]: r["count"] for r in special.groupBy("kind").count().collect()}  # three rows at most
 
     def side(frame: DataFrame, size: int) -> DataFrame:
@@ -292,16 +296,16 @@ def deduplicate(documents: DataFrame, words: int = 4, radius: int = 4) -> DataFr
     def of(kind: str) -> DataFrame:
         return side(special.where(F.col("kind") == kind).select("__id"), sizes[kind])
 
-    rows = documents.withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
+    whole = documents.withColumn("__id", F.coalesce(F.col("doc_id").cast("long"), F.lit(NO_ID)))
     has_id = F.col("doc_id").cast("long").isNotNull()
-    named = rows.where(has_id)
+    named = whole.where(has_id)
     kept = [named.join(side(special.select("__id"), sum(sizes.values())), "__id", "left_anti")]
     if "again" in sizes:
         kept.append(named.join(of("again"), "__id", "left_semi").dropDuplicates(["__id"]))
     if "mixed" in sizes:
         kept.append(_survivors(named.join(of("mixed"), "__id", "left_semi"), found.where("stays and not null_id").join(of("mixed"), "__id", "left_semi"), words, side))
     if found.where("null_id").limit(1).count():
-        kept.append(_survivors(rows.where(~has_id), found.where("stays and null_id"), words, side))
+        kept.append(_survivors(whole.where(~has_id), found.where("stays and null_id"), words, side))
     return union_all([k.select(*documents.columns) for k in kept])
 
 
