@@ -27,6 +27,20 @@ def global_sums(samples: DataFrame, m: int) -> tuple[np.ndarray, np.ndarray, int
     return unpack(np.array(r.gram), m), np.array(r.cross), r.cnt
 
 
+def removed_sums(samples: DataFrame, removals: DataFrame, m: int) -> tuple[np.ndarray, np.ndarray, int]:
+    """Gram and cross sums and number of the removed rows, in one aggregation whatever their number."""
+    r = total_gram(samples.join(removals.select("sample_id").distinct(), "sample_id", "left_semi"), m).first()
+    return (np.zeros((m, m)), np.zeros(m), 0) if r is None else (unpack(np.array(r.gram), m), np.array(r.cross), r.cnt)
+
+
+def normal_eq_sums(sums: tuple[np.ndarray, np.ndarray, int], removed: tuple[np.ndarray, np.ndarray, int], lam: float) -> np.ndarray:
+    """Ridge solution of the survivors from cached sums and the removed rows' sums."""
+    left = sums[2] - removed[2]
+    if left <= 0:
+        return np.zeros(len(sums[1]))
+    return np.linalg.solve(sums[0] - removed[0] + left * lam / 2 * np.eye(len(sums[1])), sums[1] - removed[1])
+
+
 def normal_eq(sums: tuple[np.ndarray, np.ndarray, int], removed: tuple[np.ndarray, np.ndarray], lam: float, method: str = "solve") -> np.ndarray:
     """Ridge solution of the survivors from cached sums.
 
@@ -75,27 +89,27 @@ def influence(samples: DataFrame, w: np.ndarray, removals: DataFrame, spec: Mode
     ``of='survivors'`` takes the Hessian and the count of the survivors
     instead: a Newton step, stronger than the published estimate.
     """
-    x, y = removed_block(samples, removals, spec.m)
-    n = samples.count()
-    if not len(y):
+    ids = removals.select("sample_id").distinct()
+    gone, removed = total_gradient(samples.join(ids, "sample_id", "left_semi"), w, spec)
+    if not removed:
         return w.copy()
     if of == "survivors":
-        rest = samples.join(removals.select("sample_id").distinct(), "sample_id", "left_anti")
-        left = n - len(y)
-        whole = total_gradient(samples, w, spec)
-        return w - np.linalg.solve(hessian(rest, w, spec), (whole - batch_gradient(x, y, w, spec)) / left + spec.lam * w)
+        rest = samples.join(ids, "sample_id", "left_anti")
+        whole, n = total_gradient(samples, w, spec)
+        return w - np.linalg.solve(hessian(rest, w, spec), (whole - gone) / (n - removed) + spec.lam * w)
     h = hessian(samples, w, spec) if h is None else h
-    return w + np.linalg.solve(h, batch_gradient(x, y, w, spec)) / n
+    return w + np.linalg.solve(h, gone) / samples.count()
 
 
-def total_gradient(samples: DataFrame, w: np.ndarray, spec: ModelSpec) -> np.ndarray:
-    """Sum of the sample gradients over all rows, without the penalty."""
+def total_gradient(samples: DataFrame, w: np.ndarray, spec: ModelSpec) -> tuple[np.ndarray, int]:
+    """Sum of the sample gradients over all rows, without the penalty, and their number."""
 
     def partial(batch: pa.RecordBatch) -> Iterator[tuple[int, int, np.ndarray]]:
         x, y = matrix_of(batch.column("features"), spec.m), batch.column("label").to_numpy(zero_copy_only=False)
         yield 0, len(y), batch_gradient(x, y, w, spec)
 
-    return np.array(summed(samples.select("features", F.col("label").cast("double").alias("label")), partial, spec.size).first().sums)
+    r = summed(samples.select("features", F.col("label").cast("double").alias("label")), partial, spec.size).first()
+    return (np.zeros(spec.size), 0) if r is None else (np.array(r.sums), r.cnt)
 
 
 def stale(w: np.ndarray) -> np.ndarray:

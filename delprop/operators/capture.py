@@ -13,14 +13,14 @@ from dataclasses import dataclass, field
 from typing import Any
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from delprop.functions.linearize import coefficients_of, pieces, softmax_pieces
 from delprop.functions.vector import array_of, dot, matrix_of, pack, packed_size, unpack
-from delprop.operators.gram import block_gram, by_block, summed
+from delprop.operators.gram import FLUSH_BYTES, block_gram, by_block, summed
 from delprop.operators.schedule import assign
 from delprop.spec import ModelSpec
 
@@ -67,13 +67,19 @@ def piece_sums(x: np.ndarray, y: np.ndarray, w: np.ndarray, spec: ModelSpec, opt
     return c, (rest.T @ x).ravel()
 
 
-def _iteration_sums(rows: DataFrame, spec: ModelSpec, steps_of: dict[int, list[int]], trajectory: np.ndarray, options: dict) -> DataFrame:
+def steps_of(spec: ModelSpec, n: int, upto: int) -> dict[int, list[int]]:
+    """The iterations below ``upto`` that use each block."""
+    nb = spec.blocks(n)
+    return {b: list(range(b, upto, nb)) for b in range(min(nb, upto))}
+
+
+def iteration_sums(rows: DataFrame, spec: ModelSpec, steps: dict[int, list[int]], trajectory: np.ndarray, options: dict) -> DataFrame:
     size = packed_size(spec.size)
 
     def partial(batch: pa.RecordBatch) -> Iterator[tuple[int, int, np.ndarray]]:
         x, y = matrix_of(batch.column("features"), spec.m), batch.column("label").to_numpy(zero_copy_only=False)
         for block, own in by_block(batch.column("block_id").to_numpy(zero_copy_only=False)):
-            for t in steps_of.get(block, ()):
+            for t in steps.get(block, ()):
                 c, d = piece_sums(x[own], y[own], trajectory[t], spec, options)
                 # C is symmetric up to the interpolant's asymmetry (simplex pieces): both halves are averaged
                 yield t, len(own), np.r_[pack((c + c.T) / 2), d]
@@ -89,15 +95,13 @@ def capture_logistic(samples: DataFrame, trajectory: np.ndarray, spec: ModelSpec
         raise ValueError(f"dense sums of order {spec.size} exceed {MAX_DENSE}; use capture_factors")
     n = samples.count() if n is None else n
     upto = spec.tau if upto is None else upto
-    nb = spec.blocks(n)
-    steps_of = {b: list(range(b, upto, nb)) for b in range(min(nb, upto))}
-    blocks = _iteration_sums(assign(samples, spec, n), spec, steps_of, trajectory, options)
+    blocks = iteration_sums(assign(samples, spec, n), spec, steps_of(spec, n, upto), trajectory, options)
     return Capture(spec, n, blocks, trajectory=trajectory, options=options, upto=upto)
 
 
 def capture_tail(samples: DataFrame, w: np.ndarray, spec: ModelSpec, **options) -> DataFrame:
     """One row: C and D over all rows with pieces frozen at parameters ``w``."""
-    return _iteration_sums(samples.withColumn("block_id", F.lit(0)), spec, {0: [0]}, w[None, :], options)
+    return iteration_sums(samples.withColumn("block_id", F.lit(0)), spec, {0: [0]}, w[None, :], options)
 
 
 def stored_coefficients(samples: DataFrame, trajectory: np.ndarray, spec: ModelSpec, n: int, bound: float = 20.0, cells: int = 10**6) -> DataFrame:
@@ -159,46 +163,94 @@ def compress(capture: Capture, eps: float = 0.01, rank_rule: str = "residual") -
     return Capture(capture.spec, capture.n, None, factors, capture.trajectory, capture.options, capture.upto)
 
 
-def capture_factors(samples: DataFrame, spec: ModelSpec, n: int | None = None, trajectory: np.ndarray | None = None, eps: float = 0.01, rank_rule: str = "residual", **options) -> Capture:
+def _signed_rows(x: np.ndarray, y: np.ndarray, w: np.ndarray | None, spec: ModelSpec, options: dict) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(rows, signs, D) with C = sum of sign * row' row over the rows of a block."""
+    if spec.kind == "linear":
+        return x, np.ones(len(x)), x.T @ y
+    if spec.kind == "binary":
+        a, b = pieces(y * (x @ w), **options)
+        return x * np.sqrt(np.abs(a))[:, None], np.sign(a), x.T @ (b * y)
+    slopes, offset = softmax_pieces(x @ w.reshape(spec.q, spec.m).T, **options)
+    values, vectors = np.linalg.eigh((slopes + slopes.transpose(0, 2, 1)) / 2)
+    rows = np.einsum("nij,nk->njik", vectors, x).reshape(-1, spec.size)
+    rest = -offset
+    rest[np.arange(len(y)), y.astype(int)] += 1
+    return rows * np.sqrt(np.abs(values.ravel()))[:, None], -np.sign(values.ravel()), (rest.T @ x).ravel()
+
+
+def _squeezed(rows: np.ndarray) -> np.ndarray:
+    """At most as many rows as columns with the same rows' rows."""
+    return np.linalg.qr(rows, mode="r") if len(rows) > rows.shape[1] else rows
+
+
+def capture_factors(samples: DataFrame, spec: ModelSpec, n: int | None = None, trajectory: np.ndarray | None = None, eps: float = 0.01, rank_rule: str = "residual", fan_in: int = 32, **options) -> Capture:
     """Factors straight from the rows of each block, for more features than fit a dense sum.
 
-    The rows of one block meet in one task: at most about a batch.  The
-    factors come from the small side's Gram matrix, so no order-``size``
-    square matrix is formed.
+    Every task squeezes its rows of a block to a triangular factor of at most
+    ``size`` rows, apart for either sign; ``fan_in`` factors at a time meet in
+    a task and are squeezed again, so no task holds a whole block and no
+    order-``size`` square matrix is formed.
     """
     n = samples.count() if n is None else n
-    nb = spec.blocks(n)
-
-    def task(key: tuple[Any, ...], frame: pd.DataFrame) -> pd.DataFrame:
-        x, y = np.array(frame["features"].tolist(), float), frame["label"].to_numpy(float)
-        out = []
-        for t in [key[0]] if spec.kind == "linear" else range(key[0], spec.tau, nb):
-            if spec.kind == "linear":
-                left, weights, cross = x, np.ones(len(x)), x.T @ y
-            elif spec.kind == "binary":
-                weights, b = pieces(y * (x @ trajectory[t]), **options)
-                left, cross = x, x.T @ (b * y)
-            else:
-                slopes, offset = softmax_pieces(x @ trajectory[t].reshape(spec.q, spec.m).T, **options)
-                values, vectors = np.linalg.eigh((slopes + slopes.transpose(0, 2, 1)) / 2)
-                left = np.einsum("nij,nk->njik", vectors, x).reshape(-1, spec.size)
-                weights = -values.ravel()
-                rest = -offset
-                rest[np.arange(len(y)), y.astype(int)] += 1
-                cross = (rest.T @ x).ravel()
-            scaled = left * np.sqrt(np.abs(weights))[:, None]
-            # signed low-rank form of scaled' sign scaled, through an orthonormal basis of its row space
-            basis, r = np.linalg.qr(scaled.T)
-            values, vectors = np.linalg.eigh((r * np.sign(weights)) @ r.T)
-            order = np.argsort(-np.abs(values))
-            kept = order[: rank_of(np.abs(values[order]), eps, rank_rule)]
-            v = basis @ vectors[:, kept]
-            out.append((t, len(x), cross.tolist(), len(kept), (v * values[kept]).ravel().tolist(), v.ravel().tolist()))
-        return pd.DataFrame(out, columns=["block_id", "cnt", "cross", "r", "p", "v"])
+    nb, size = spec.blocks(n), spec.size
+    steps = {b: [b] if spec.kind == "linear" else list(range(b, spec.tau, nb)) for b in range(nb)}
+    schema = "block_id int, part int, cnt long, cross array<double>, plus array<double>, minus array<double>"
+    empty = np.zeros((0, size))
+
+    def record(t: int, part: int, held: list) -> pa.RecordBatch:
+        lists = pa.list_(pa.float64())
+        columns = [pa.array([t], pa.int32()), pa.array([part], pa.int32()), pa.array([held[0]], pa.int64()), *(pa.array([v.ravel().tolist()], lists) for v in held[1:])]
+        return pa.record_batch(columns, ["block_id", "part", "cnt", "cross", "plus", "minus"])
+
+    def join(held: list | None, count: int, cross: np.ndarray, plus: np.ndarray, minus: np.ndarray) -> list:
+        held = [0, np.zeros(size), empty, empty] if held is None else held
+        return [held[0] + count, held[1] + cross, _squeezed(np.concatenate([held[2], plus])), _squeezed(np.concatenate([held[3], minus]))]
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        part, held, cells = TaskContext.get().partitionId(), {}, 0
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            x, y = matrix_of(batch.column("features"), spec.m), batch.column("label").to_numpy(zero_copy_only=False)
+            for block, own in by_block(batch.column("block_id").to_numpy(zero_copy_only=False)):
+                for t in steps.get(block, ()):
+                    rows, signs, cross = _signed_rows(x[own], y[own], None if trajectory is None else trajectory[t], spec, options)
+                    before = 0 if t not in held else held[t][2].size + held[t][3].size
+                    held[t] = join(held.get(t), len(own), cross, rows[signs > 0], rows[signs < 0])
+                    cells += held[t][2].size + held[t][3].size - before
+                    if cells * 8 > FLUSH_BYTES:
+                        yield from (record(s, part, h) for s, h in held.items())
+                        held, cells = {}, 0
+        yield from (record(t, part, h) for t, h in held.items())
+
+    def meet(key: tuple[Any, ...], table: pa.Table) -> pa.Table:
+        held = None
+        for r in table.to_pylist():
+            held = join(held, r["cnt"], np.array(r["cross"]), np.array(r["plus"]).reshape(-1, size), np.array(r["minus"]).reshape(-1, size))
+        return pa.Table.from_batches([record(key[0].as_py(), key[1].as_py(), held)])
+
+    def factors(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        lists = pa.list_(pa.float64())
+        for batch in batches:
+            for r in batch.to_pylist():
+                plus, minus = (np.array(r[c]).reshape(-1, size) for c in ("plus", "minus"))
+                # signed low-rank form, through an orthonormal basis of the rows' space
+                basis, tri = np.linalg.qr(np.concatenate([plus, minus]).T)
+                values, vectors = np.linalg.eigh((tri * np.r_[np.ones(len(plus)), -np.ones(len(minus))]) @ tri.T)
+                order = np.argsort(-np.abs(values))
+                kept = order[: rank_of(np.abs(values[order]), eps, rank_rule)]
+                v = basis @ vectors[:, kept]
+                columns = [pa.array([r["block_id"]], pa.int32()), pa.array([r["cnt"]], pa.int64()), pa.array([r["cross"]], lists), pa.array([len(kept)], pa.int32()), pa.array([(v * values[kept]).ravel().tolist()], lists), pa.array([v.ravel().tolist()], lists)]
+                yield pa.record_batch(columns, ["block_id", "cnt", "cross", "r", "p", "v"])
 
     rows = assign(samples, spec, n).select(F.col("block_id").cast("int").alias("block_id"), "features", F.col("label").cast("double").alias("label"))
-    factors = rows.groupBy("block_id").applyInPandas(task, "block_id int, cnt long, cross array<double>, r int, p array<double>, v array<double>")
-    return Capture(spec, n, None, factors, np.zeros((0, 0)) if trajectory is None else trajectory, options, spec.tau)
+    parts = rows.mapInArrow(partial, schema)
+    # small sets have few partial factors: they meet at once
+    for width in () if n * size * 8 <= 1 << 30 else (fan_in**2, fan_in):
+        parts = parts.withColumn("part", F.pmod("part", F.lit(width))).groupBy("block_id", "part").applyInArrow(meet, schema)
+    whole = parts.withColumn("part", F.lit(0)).groupBy("block_id", "part").applyInArrow(meet, schema)
+    found = whole.mapInArrow(factors, "block_id int, cnt long, cross array<double>, r int, p array<double>, v array<double>")
+    return Capture(spec, n, None, found, np.zeros((0, 0)) if trajectory is None else trajectory, options, spec.tau)
 
 
 def trajectory_frame(trajectory: np.ndarray, spark: SparkSession) -> DataFrame:

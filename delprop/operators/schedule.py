@@ -27,12 +27,12 @@ def assign(samples: DataFrame, spec: ModelSpec, n: int) -> DataFrame:
         return samples.withColumn("block_id", batch_id(key, spec, n)).where(F.col("block_id") < spec.tau)
     if spec.schedule == "reshuffle":
         passes = -(-spec.tau // k)
-        spread = samples.withColumn("pass", F.explode(F.sequence(F.lit(0), F.lit(passes - 1))))
-        place = F.floor(uniform(key, F.concat(F.lit(spec.seed), F.col("pass").cast("string"))) * k)
-        return spread.withColumn("block_id", (F.col("pass") * k + place).cast("int")).drop("pass").where(F.col("block_id") < spec.tau)
+        places = F.transform(F.sequence(F.lit(0), F.lit(passes - 1)), lambda p: (p * k + F.floor(uniform(key, F.concat(F.lit(spec.seed), p.cast("string"))) * k)).cast("int"))
+        return samples.withColumn("block_id", F.explode(F.filter(places, lambda b: b < spec.tau)))
     if spec.schedule == "sampled":
-        spread = samples.withColumn("block_id", F.explode(F.sequence(F.lit(0), F.lit(spec.tau - 1))))
-        return spread.where(uniform(key, F.concat(F.lit(spec.seed), F.col("block_id").cast("string"))) < F.lit(spec.batch_size / n))
+        # the hits of a row are found before it is repeated
+        hits = F.filter(F.sequence(F.lit(0), F.lit(spec.tau - 1)), lambda t: uniform(key, F.concat(F.lit(spec.seed), t.cast("string"))) < F.lit(spec.batch_size / n))
+        return samples.withColumn("block_id", F.explode(hits))
     # one sample an iteration: the first rows by hash; their number is bounded by the iterations
     first = order_of_singles(samples, spec, n)
     return samples.join(F.broadcast(first), "sample_id")

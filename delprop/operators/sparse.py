@@ -13,8 +13,9 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from delprop.functions.linearize import falling, pieces
+from delprop.functions.linearize import coefficients_of, falling, pieces
 from delprop.operators.schedule import assign
+from delprop.scratch import stored
 from delprop.spec import ModelSpec
 
 
@@ -83,14 +84,59 @@ def replay_sparse(blocks: dict[int, SparseBlock], coefficients: dict, removed_id
     return descend({b: r.without(removed_ids) for b, r in blocks.items()}, spec, n_blocks, coefficients)
 
 
-def gradient_jobs(rows: DataFrame, w: np.ndarray, spec: ModelSpec) -> DataFrame:
-    """(index, value): sum of label * f(label * w.x) * x over ``rows``, for blocks too large for one process.
+def margins(rows: DataFrame, w: np.ndarray) -> tuple[DataFrame, DataFrame]:
+    """Cells (sample_id, label, index, v) of ``rows``, and (sample_id, label, z) with z = w.x; the parameters join on the index."""
+    known = rows.sparkSession.createDataFrame([(i, float(w[i])) for i in np.flatnonzero(w).tolist()], "index int, w double")
+    cells = rows.select("sample_id", "label", F.explode(F.arrays_zip("indices", "values")).alias("c")).select("sample_id", "label", F.col("c.indices").cast("int").alias("index"), F.col("c.values").alias("v"))
+    return cells, cells.join(known, "index", "left").groupBy("sample_id", "label").agg(F.sum(F.col("v") * F.coalesce("w", F.lit(0.0))).alias("z"))
 
-    The parameters join on the index, so they need not fit a closure.
-    """
-    spark = rows.sparkSession
-    known = spark.createDataFrame([(int(i), float(v)) for i, v in enumerate(w) if v], "index int, w double")
-    cells = rows.select("sample_id", "label", F.explode(F.arrays_zip("indices", "values")).alias("c")).select("sample_id", "label", F.col("c.indices").alias("index"), F.col("c.values").alias("v"))
-    margin = cells.join(known, "index", "left").groupBy("sample_id", "label").agg(F.sum(F.col("v") * F.coalesce("w", F.lit(0.0))).alias("z"))
-    factor = margin.select("sample_id", (F.col("label") / (1.0 + F.exp(F.col("label") * F.col("z")))).alias("f"))
+
+def gradient_jobs(rows: DataFrame, w: np.ndarray, coefficients: DataFrame | None = None) -> DataFrame:
+    """(index, value): sum of label * f(label * w.x) * x over ``rows``, for blocks too large for one process; with ``coefficients`` (sample_id, a, b) of f's pieces."""
+    cells, margin = margins(rows, w)
+    if coefficients is None:
+        factor = margin.select("sample_id", (F.col("label") / (1.0 + F.exp(F.col("label") * F.col("z")))).alias("f"))
+    else:
+        factor = margin.join(coefficients, "sample_id").select("sample_id", (F.col("a") * F.col("z") + F.col("b") * F.col("label")).alias("f"))
     return cells.join(factor, "sample_id").groupBy("index").agg(F.sum(F.col("v") * F.col("f")).alias("value"))
+
+
+def descend_jobs(blocked: DataFrame, spec: ModelSpec, n_blocks: int, coefficients: dict[tuple[int, int], DataFrame] | None = None, capture: dict | None = None) -> np.ndarray:
+    """As :func:`descend`, one exploded aggregation an iteration; this process holds the parameters only."""
+    w = spec.start()
+    counts = {r.block_id: r["count"] for r in blocked.groupBy("block_id").count().collect()}
+    for t in range(spec.tau):
+        eta, block = spec.rate(t), t % n_blocks
+        shrunk = (1 - eta * spec.lam) * w
+        if not counts.get(block):
+            w = shrunk
+            continue
+        rows = blocked.where(F.col("block_id") == block)
+        got = gradient_jobs(rows, w, None if coefficients is None else coefficients[block, t]).collect()
+        if capture is not None:
+            both = coefficients_of(F.col("label") * F.col("z"))
+            capture[block, t] = stored(margins(rows, w)[1].select("sample_id", both.alias("c")).select("sample_id", "c.a", "c.b"), "pieces")
+        w = shrunk
+        index = np.array([r["index"] for r in got], np.int64)
+        w[index] += eta / counts[block] * np.array([r["value"] for r in got])
+    return w
+
+
+def train(samples: DataFrame, spec: ModelSpec, n: int, capture: dict | None = None, local_bytes: int = 1 << 30) -> np.ndarray:
+    """Parameters of a sparse model; ``capture`` is filled with the pieces' coefficients for :func:`replay`."""
+    blocks, nb = load(samples, spec, n, local_bytes), spec.blocks(n)
+    return descend_jobs(assign(samples, spec, n), spec, nb, capture=capture) if blocks is None else descend(blocks, spec, nb, capture=capture)
+
+
+def replay(samples: DataFrame, removals: DataFrame, spec: ModelSpec, n: int, coefficients: dict, local_bytes: int = 1 << 30) -> np.ndarray:
+    """Parameters without the removed rows, from the coefficients of the run with them."""
+    nb = spec.blocks(n)
+    blocks = load(samples, spec, n, local_bytes)
+    if blocks is None:
+        rest = assign(samples, spec, n).join(removals.select("sample_id").distinct(), "sample_id", "left_anti")
+        return descend_jobs(rest, spec, nb, coefficients)
+    return replay_sparse(blocks, coefficients, np.array([r.sample_id for r in removals.select("sample_id").distinct().collect()]), spec, nb)
+
+
+def retrain(samples: DataFrame, removals: DataFrame, spec: ModelSpec, n: int, local_bytes: int = 1 << 30) -> np.ndarray:
+    return train(samples.join(removals.select("sample_id").distinct(), "sample_id", "left_anti"), spec, n, None, local_bytes)

@@ -8,17 +8,19 @@ returns two vectors and a count a removal set, whatever the size of the data.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
-from pyspark.sql import DataFrame
+import pyarrow as pa
+from pyspark.sql import DataFrame, Row
 from pyspark.sql import functions as F
 
 from delprop.functions.linearize import pieces, softmax_pieces
-from delprop.functions.vector import unpack
+from delprop.functions.vector import matrix_of, unpack
 from delprop.operators.capture import Capture, capture_tail
-from delprop.operators.gram import total_gram
-from delprop.operators.replay import _local_rows, load_sums, removed_rows, run
+from delprop.operators.gram import by_block, summed, total_gram
+from delprop.operators.replay import load_sums, removed_rows, removed_share_of, run
 from delprop.operators.train import Blocks
 from delprop.spec import ModelSpec
 
@@ -70,33 +72,44 @@ def _finish(eigen: Eigen, shift: np.ndarray, d: np.ndarray, n: int, w: np.ndarra
     return q @ closed_form(c, q.T @ d, q.T @ w, n, spec, first, spec.tau, closed)
 
 
-def removed_projection(samples: DataFrame, removals: DataFrame, q: np.ndarray, by: list[str] | None = None) -> DataFrame:
-    """([by,] gone, shift, cross): count, sum of squares along each eigenvector, and X'y of the removed rows, in one job."""
+def removed_projection(samples: DataFrame, removals: DataFrame, q: np.ndarray) -> DataFrame:
+    """(block_id, cnt, sums): for each removal set (``block_id`` of ``removals``; 0 without one) the number of its rows, the sums of their squares along each eigenvector, and X'y.
+
+    Partial sums are products of Arrow batches with the eigenvectors, for any
+    number of features; the sums of each task then meet in a keyed sum.
+    """
     m = len(q)
-    ids = removals.select(*(by or []), "sample_id").distinct()
-    rows = samples.join(ids, "sample_id")
-    x = F.col("features")
-    along = [sum((F.lit(float(q[j, i])) * x[j] for j in range(m)), F.lit(0.0)) for i in range(m)]
-    sums = [F.count("*").alias("gone"), F.array(*[F.sum(a * a) for a in along]).alias("shift"), F.array(*[F.sum(x[i] * F.col("label")) for i in range(m)]).alias("cross")]
-    return rows.groupBy(*by).agg(*sums) if by else rows.agg(*sums)
+    sets = removals if "block_id" in removals.columns else removals.withColumn("block_id", F.lit(0))
+    rows = samples.select("sample_id", "features", F.col("label").cast("double").alias("label")).join(sets.select("block_id", "sample_id").distinct(), "sample_id")
+
+    def partial(batch: pa.RecordBatch) -> Iterator[tuple[int, int, np.ndarray]]:
+        x, y = matrix_of(batch.column("features"), m), batch.column("label").to_numpy(zero_copy_only=False)
+        squares = (x @ q) ** 2
+        for block, own in by_block(batch.column("block_id").to_numpy(zero_copy_only=False)):
+            yield block, len(own), np.r_[squares[own].sum(0), x[own].T @ y[own]]
+
+    return summed(rows.select("block_id", "features", "label"), partial, 2 * m)
 
 
 def spectral_linear(eigen: Eigen, samples: DataFrame, removals: DataFrame, spec: ModelSpec, closed: bool = True, eigen_update: str = "first_order") -> np.ndarray:
     if eigen_update == "exact":
-        gone = _local_rows(samples.join(removals.select("sample_id").distinct(), "sample_id", "left_semi").withColumn("block_id", F.lit(0)), spec.m)
-        x, y = gone.get(0, (np.zeros((0, spec.m)), np.zeros(0)))
-        return _finish(eigen, np.zeros(spec.m), eigen.d - 2 * x.T @ y, eigen.n - len(y), spec.start(), spec, 0, closed, -2 * x.T @ x)
-    r = removed_projection(samples, removals, eigen.q).first()
-    shift, cross = (np.array(v, float) if r.gone else np.zeros(spec.m) for v in (r["shift"], r["cross"]))
-    return _finish(eigen, -2 * shift, eigen.d - 2 * cross, eigen.n - r.gone, spec.start(), spec, 0, closed)
+        r = total_gram(samples.join(removals.select("sample_id").distinct(), "sample_id", "left_semi"), spec.m).first()
+        gone, g, cross = (0, np.zeros((spec.m, spec.m)), np.zeros(spec.m)) if r is None else (r.cnt, unpack(np.array(r.gram), spec.m), np.array(r.cross))
+        return _finish(eigen, np.zeros(spec.m), eigen.d - 2 * cross, eigen.n - gone, spec.start(), spec, 0, closed, -2 * g)
+    return _shifted(eigen, removed_projection(samples, removals, eigen.q).first(), spec, closed)
+
+
+def _shifted(eigen: Eigen, r: Row | None, spec: ModelSpec, closed: bool = True) -> np.ndarray:
+    sums, gone = (np.zeros(2 * spec.m), 0) if r is None else (np.array(r.sums), r.cnt)
+    return _finish(eigen, -2 * sums[: spec.m], eigen.d - 2 * sums[spec.m :], eigen.n - gone, spec.start(), spec, 0, closed)
 
 
 def spectral_many(eigen: Eigen, samples: DataFrame, removals: DataFrame, spec: ModelSpec) -> dict[object, np.ndarray]:
-    """All removal sets of ``removals`` (subset_id, sample_id) from one job."""
-    out = {}
-    for r in removed_projection(samples, removals, eigen.q, ["subset_id"]).collect():
-        out[r.subset_id] = _finish(eigen, -2 * np.array(r["shift"]), eigen.d - 2 * np.array(r["cross"]), eigen.n - r.gone, spec.start(), spec, 0, True)
-    return out
+    """All removal sets of ``removals`` (subset_id, sample_id) from one job; a set none of whose ids exist gets the model without a removal."""
+    names = sorted(r[0] for r in removals.select("subset_id").distinct().collect())  # one model each
+    numbers = samples.sparkSession.createDataFrame([(s, i) for i, s in enumerate(names)], f"subset_id {dict(removals.dtypes)['subset_id']}, block_id int")
+    found = {r.block_id: r for r in removed_projection(samples, removals.join(F.broadcast(numbers), "subset_id"), eigen.q).collect()}
+    return {s: _shifted(eigen, found.get(i), spec) for i, s in enumerate(names)}
 
 
 def gd_from_gram(gram: np.ndarray, cross: np.ndarray, n: int, spec: ModelSpec) -> np.ndarray:
@@ -147,16 +160,27 @@ def frozen_share(x: np.ndarray, y: np.ndarray, q: np.ndarray, w: np.ndarray, spe
 
 def spectral_logistic(model: LogisticSpectral, samples: DataFrame, removals: DataFrame, closed: bool = True) -> np.ndarray:
     """Replay to the switch point, then the closed form with shifted eigenvalues; binary or softmax."""
-    capture, spec = model.capture, model.capture.spec
-    gone = _local_rows(removed_rows(samples, removals, spec, capture.n), spec.m)
-    w = run(capture, load_sums(capture), gone, model.at)
-    ids = removals.select("sample_id").distinct()
-    rows = _local_rows(samples.join(ids, "sample_id", "left_semi").withColumn("block_id", F.lit(0)), spec.m)
-    return finish_logistic(model, w, rows)
+    capture, spec, q = model.capture, model.capture.spec, model.eigen.q
+    w = run(capture, load_sums(capture), removed_share_of(capture, removed_rows(samples, removals, spec, capture.n)), model.at)
+    frozen, options = capture.trajectory[model.at], capture.options
 
+    def partial(batch: pa.RecordBatch) -> Iterator[tuple[int, int, np.ndarray]]:
+        x, y = matrix_of(batch.column("features"), spec.m), batch.column("label").to_numpy(zero_copy_only=False)
+        yield 0, len(y), np.concatenate(frozen_share(x, y, q, frozen, spec, options))
 
-def finish_logistic(model: LogisticSpectral, w: np.ndarray, rows: Blocks) -> np.ndarray:
+    rows = samples.join(removals.select("sample_id").distinct(), "sample_id", "left_semi")
+    r = summed(rows.select("features", F.col("label").cast("double").alias("label")), partial, 2 * spec.size).first()
+    return _finish_logistic(model, w, np.zeros(2 * spec.size) if r is None else np.array(r.sums), 0 if r is None else r.cnt)
+
+
+def _finish_logistic(model: LogisticSpectral, w: np.ndarray, sums: np.ndarray, gone: int) -> np.ndarray:
     spec, eigen = model.capture.spec, model.eigen
+    return _finish(eigen, sums[: spec.size], eigen.d - sums[spec.size :], eigen.n - gone, w, spec, model.at, True)
+
+
+def finish_logistic(model: LogisticSpectral, w: np.ndarray, rows: Blocks) -> np.ndarray:
+    """The tail from parameters ``w`` with the removed rows (block 0) in this process."""
+    capture, spec = model.capture, model.capture.spec
     x, y = rows.get(0, (np.zeros((0, spec.m)), np.zeros(0)))
-    shift, d = frozen_share(x, y, eigen.q, model.capture.trajectory[model.at], spec, model.capture.options) if len(y) else (np.zeros(spec.size), np.zeros(spec.size))
-    return _finish(eigen, shift, eigen.d - d, eigen.n - len(y), w, spec, model.at, True)
+    sums = np.concatenate(frozen_share(x, y, model.eigen.q, capture.trajectory[model.at], spec, capture.options)) if len(y) else np.zeros(2 * spec.size)
+    return _finish_logistic(model, w, sums, len(y))

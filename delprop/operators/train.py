@@ -148,7 +148,12 @@ def train(samples: DataFrame, spec: ModelSpec, n: int | None = None, keep_trajec
     piecewise linear rule instead of the exact one.
     """
     n = samples.count() if n is None else n
-    blocked, n_blocks = assign(samples, spec, n), spec.blocks(n)
+    return train_blocks(assign(samples, spec, n), spec, n, keep_trajectory, engine, linearized, local_bytes)
+
+
+def train_blocks(blocked: DataFrame, spec: ModelSpec, n: int, keep_trajectory: bool = False, engine: str = "auto", linearized: dict | None = None, local_bytes: int = LOCAL_BYTES) -> Trained:
+    """As :func:`train`, on rows that have their blocks."""
+    n_blocks = spec.blocks(n)
 
     def interpolated(x: np.ndarray, y: np.ndarray, w: np.ndarray, own: ModelSpec) -> np.ndarray:
         return linearized_gradient(x, y, w, own, pieces_of=linearized)
@@ -172,10 +177,7 @@ def retrain(samples: DataFrame, removals: DataFrame, spec: ModelSpec, n: int | N
     """The exact baseline: the same schedule with the removed rows left out of every batch."""
     n = samples.count() if n is None else n
     if spec.schedule == "single":  # the touched rows are chosen before the deletion
-        spec_n = assign(samples, spec, n)
-        blocks = gather(survivors(spec_n, removals), spec.m) or {}
-        w, path = descend(blocks, spec, spec.blocks(n), options.get("keep_trajectory", False))
-        return Trained(w, path, n)
+        return train_blocks(survivors(assign(samples, spec, n), removals), spec, n, **options)
     return train(survivors(samples, removals), spec, n, **options)
 
 

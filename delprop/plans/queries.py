@@ -16,9 +16,11 @@ from delprop.functions import sqlfuncs
 from delprop.functions.hashing import uniform
 from delprop.functions.linearize import coefficients_of
 from delprop.functions.linearize import table as interpolant_table
-from delprop.functions.vector import dot
+from delprop.functions.vector import dot, unpack
 from delprop.operators import baselines, capture, gram, measures, prov, replay, schedule, sparse, spectral, train
 from delprop.plans import oracles as sql
+from delprop.plans import workloads
+from delprop.scratch import stored
 from delprop.sources import features as fx
 from delprop.sources.tables import star, table
 from delprop.spec import ModelSpec
@@ -30,11 +32,24 @@ ORACLES: dict[str, str] = {}
 
 ETA, LAM = 0.05, 0.1
 #: The small linear and binary models of the queries.
-LINEAR = ModelSpec("linear", 4, lam=LAM, eta=ETA, tau=30, batch_size=6000, schedule="cyclic")
-BINARY = ModelSpec("binary", 3, lam=LAM, eta=0.2, tau=8, batch_size=15000, schedule="cyclic")
+LINEAR = ModelSpec("linear", 4, lam=LAM, eta=ETA, tau=30)
+BINARY = ModelSpec("binary", 3, lam=LAM, eta=0.2, tau=8)
+#: Mini-batches in a pass: batches grow with the rows, so that every run passes over all of them at least twice.
+LINEAR_PARTS, BINARY_PARTS = 10, 4
 RATE = 0.01
 
 
+def samples(spark: SparkSession, sf: str, columns: int = 3, kind: str = "linear", q: int = 1) -> DataFrame:
+    """The small fixture, hashed once: the jobs of a query then share one table."""
+    return stored(fx.small(spark, sf, columns, kind, q), "samples")
+
+
+def sized(rows: DataFrame, spec: ModelSpec, parts: int | None = None, schedule_name: str = "cyclic") -> ModelSpec:
+    """``spec`` with mini-batches of one of ``parts`` equal parts of the rows."""
+    parts = parts or (LINEAR_PARTS if spec.kind == "linear" else BINARY_PARTS)
+    return spec.with_(batch_size=-(-rows.count() // parts), schedule=schedule_name)
+
+
 def query(name: str, oracle: str | None = None) -> Callable[[Query], Query]:
     def put(f: Query) -> Query:
         QUERIES[name] = f
@@ -72,19 +87,21 @@ def split_assign(spark, sf):
     return fx.small(spark, sf).groupBy("is_valid").agg(F.count("*").alias("cnt"))
 
 
-@query("batch_assign", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 6000)} SELECT sample_id, b AS block_id FROM bl")
+@query("batch_assign", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 10)} SELECT sample_id, b AS block_id FROM bl")
 def batch_assign(spark, sf):
-    rows = fx.small(spark, sf)
-    return schedule.assign(rows, LINEAR, rows.count()).select("sample_id", "block_id")
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return schedule.assign(rows, spec, rows.count()).select("sample_id", "block_id")
 
 
 @query(
     "survivor_counts",
-    f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 6000)} SELECT b AS block_id, count(*) AS total, count(*) FILTER (WHERE {sql.gone(RATE)}) AS removed, count(*) FILTER (WHERE NOT {sql.gone(RATE)}) AS \"left\" FROM bl GROUP BY b",
+    f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 10)} SELECT b AS block_id, count(*) AS total, count(*) FILTER (WHERE {sql.gone(RATE)}) AS removed, count(*) FILTER (WHERE NOT {sql.gone(RATE)}) AS \"left\" FROM bl GROUP BY b",
 )
 def survivor_counts(spark, sf):
-    rows = fx.small(spark, sf)
-    return schedule.survivor_counts(schedule.assign(rows, LINEAR, rows.count()), fx.removals_at(rows, RATE))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return schedule.survivor_counts(schedule.assign(rows, spec, rows.count()), fx.removals_at(rows, RATE))
 
 
 @query("interval_schedule", "SELECT s.t::INT AS t, (s.t % 7)::INT AS block_id, p.name AS phase FROM range(30) s(t) JOIN (VALUES ('head', 0, 21), ('tail', 21, 30)) p(name, first, last) ON s.t >= p.first AND s.t < p.last")
@@ -127,9 +144,7 @@ def features_54(spark, sf):
 fx AS (SELECT x FROM f WHERE len(x) = 188) {sql.summary(188)}""",
 )
 def features_188(spark, sf):
-    by_day = Window.partitionBy(F.to_date("ts")).orderBy("ts", "event_id").rowsBetween(0, 187)
-    frame = F.collect_list((F.col("value") - 50.0) / 30.0).over(by_day)
-    return summary(table(spark, sf, "events").select(frame.alias("features")).where(F.size("features") == 188))
+    return summary(fx.frames(table(spark, sf, "events")))
 
 
 @query("features_64", "WITH fx AS (SELECT embedding::DOUBLE[] AS x FROM embeddings) " + sql.summary(64, digits=4))
@@ -251,23 +266,29 @@ def gram_total_int(spark, sf):
 _PACKED = "(i - 1) * {m} - (i - 1) * (i - 2) // 2 + j - i"
 
 
-def _packed_sql(m: int, by: str = "b AS block_id", weight: str = "1") -> str:
+def _packed_sql(m: int, by: str = "b AS block_id", weight: str = "1", off: float = 0.0) -> str:
     key = by.split(" ")[0]
-    return f"SELECT {by}, count(*) AS cnt, ({_PACKED.format(m=m)})::INT AS pos, round(sum({weight} * x[i] * x[j]), 5) + 0.0 AS value FROM bl, range(1, {m + 1}) r(i), range(1, {m + 1}) s(j) WHERE i <= j GROUP BY {key}, i, j"
+    return f"SELECT {by}, count(*) AS cnt, ({_PACKED.format(m=m)})::INT AS pos, round(sum({weight} * x[i] * x[j]) + {off}, {3 if off else 5}) + 0.0 AS value FROM bl, range(1, {m + 1}) r(i), range(1, {m + 1}) s(j) WHERE i <= j GROUP BY {key}, i, j"
+
+
+#: Less than half a unit of rounding: cells of few-digit decimals would else end on rounding boundaries, where the order of a sum of doubles decides.
+_OFF = 0.000123
 
 
-@query("gram_blocks", f"WITH {sql.star(sql.star_columns())}, {sql.blocked('cyclic', 30, 6000)} {_packed_sql(18, weight='0.7071067811865476')}")
+@query("gram_blocks", f"WITH {sql.star(sql.star_columns())}, {sql.blocked('cyclic', 30, 10)} {_packed_sql(18, off=_OFF)}")
 def gram_blocks(spark, sf):
-    """Arrow partial sums of eighteen columns by batch, over root two: as they stand, cells are decimals that end on rounding boundaries."""
+    """Arrow partial sums of eighteen columns by batch; cells are rounded after ``_OFF`` is added."""
     rows = star(spark, sf).select(fx.line_id().alias("sample_id"), F.array(*fx.eighteen_columns()).alias("features"), F.lit(0.0).alias("label"))
-    sums = gram.arrow_gram(schedule.assign(rows, LINEAR.with_(m=18), table(spark, sf, "lineitem").count()), 18)
-    return cells_long(sums.withColumn("gram", F.transform("gram", lambda v: v * 0.7071067811865476)), ["block_id"], digits=5)
+    lines = table(spark, sf, "lineitem")
+    sums = gram.arrow_gram(schedule.assign(rows, sized(lines, ModelSpec("linear", 18, tau=30)), lines.count()), 18)
+    return cells_long(sums.withColumn("gram", F.transform("gram", lambda v: v + _OFF)), ["block_id"], digits=3)
 
 
-@query("gram_blocks_native", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 6000)} {_packed_sql(4)}")
+@query("gram_blocks_native", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 10)} {_packed_sql(4)}")
 def gram_blocks_native(spark, sf):
-    rows = fx.small(spark, sf)
-    return cells_long(gram.native_gram(schedule.assign(rows, LINEAR, rows.count()), 4), ["block_id"], digits=5)
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return cells_long(gram.native_gram(schedule.assign(rows, spec, rows.count()), 4), ["block_id"], digits=5)
 
 
 @query("gram_weighted", f"WITH {sql.small()}, {sql.blocked('full', 1, None)} {_packed_sql(4, weight='(1 / (1 + exp(y)))')}")
@@ -324,156 +345,196 @@ def leave_slice_out(spark, sf):
 # ---- training and retraining ----------------------------------------------------------------
 
 
-def _linear(schedule_name: str, tau: int, batch: int | None) -> ModelSpec:
-    return ModelSpec("linear", 4, lam=LAM, eta=ETA, tau=tau, batch_size=batch, schedule=schedule_name)
-
+for _name, _how, _tau, _parts in (("train_gd_linear", "full", 20, None), ("train_mb_linear", "cyclic", 30, 10), ("train_sgd_linear", "single", 40, None), ("train_reshuffle_linear", "reshuffle", 25, 10), ("train_sampled_linear", "sampled", 6, 6)):
 
-for _name, _how, _tau, _batch in (("train_gd_linear", "full", 20, None), ("train_mb_linear", "cyclic", 30, 6000), ("train_sgd_linear", "single", 40, None), ("train_reshuffle_linear", "reshuffle", 25, 6000), ("train_sampled_linear", "sampled", 6, 9000)):
+    def _trained(spark, sf, how=_how, tau=_tau, parts=_parts):
+        rows = samples(spark, sf)
+        return long(spark, train.train(rows, sized(rows, LINEAR.with_(tau=tau), parts, how) if parts else LINEAR.with_(tau=tau, schedule=how)).w)
 
-    def _trained(spark, sf, spec=_linear(_how, _tau, _batch)):
-        return long(spark, train.train(fx.small(spark, sf), spec).w)
+    query(_name, sql.linear(_how, _tau, _parts, ETA, LAM))(_trained)
 
-    query(_name, sql.linear(_how, _tau, _batch, ETA, LAM))(_trained)
 
-
-@query("train_jobs_linear", sql.linear("cyclic", 6, 6000, ETA, LAM))
+@query("train_jobs_linear", sql.linear("cyclic", 6, 3, ETA, LAM))
 def train_jobs_linear(spark, sf):
     """The engine with one aggregation an iteration."""
-    return long(spark, train.train(fx.small(spark, sf), _linear("cyclic", 6, 6000), engine="jobs").w)
+    rows = samples(spark, sf)
+    return long(spark, train.train(rows, sized(rows, LINEAR.with_(tau=6), 3), engine="jobs").w)
 
 
 @query("train_gd_binary", sql.binary("full", 6, None, 0.2, LAM))
 def train_gd_binary(spark, sf):
-    return long(spark, train.train(fx.small(spark, sf, 2, "binary"), BINARY.with_(tau=6, batch_size=None, schedule="full")).w)
+    return long(spark, train.train(samples(spark, sf, 2, "binary"), BINARY.with_(tau=6)).w)
 
 
-@query("train_mb_binary", sql.binary("cyclic", 8, 15000, 0.2, LAM))
+@query("train_mb_binary", sql.binary("cyclic", 8, 4, 0.2, LAM))
 def train_mb_binary(spark, sf):
-    return long(spark, train.train(fx.small(spark, sf, 2, "binary"), BINARY).w)
+    rows = samples(spark, sf, 2, "binary")
+    spec = sized(rows, BINARY)
+    return long(spark, train.train(rows, spec).w)
 
 
-@query("train_linearized_binary", sql.binary("cyclic", 8, 15000, 0.2, LAM, linearized=True))
+@query("train_linearized_binary", sql.binary("cyclic", 8, 4, 0.2, LAM, linearized=True))
 def train_linearized_binary(spark, sf):
-    return long(spark, train.train(fx.small(spark, sf, 2, "binary"), BINARY, linearized={}).w)
+    rows = samples(spark, sf, 2, "binary")
+    spec = sized(rows, BINARY)
+    return long(spark, train.train(rows, spec, linearized={}).w)
 
 
-@query("train_gd_softmax")
+@query("train_gd_softmax", sql.softmax(6, 0.1, LAM))
 def train_gd_softmax(spark, sf):
-    return long(spark, train.train(fx.small(spark, sf, 2, "softmax", 3), _SOFT).w)
+    return long(spark, train.train(samples(spark, sf, 2, "softmax", 3), _SOFT).w)
 
 
 _KEEP = f"NOT ({sql.gone(RATE)})"
 
 
-@query("retrain_linear", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=_KEEP))
+@query("retrain_linear", sql.linear("cyclic", 30, 10, ETA, LAM, keep=_KEEP))
 def retrain_linear(spark, sf):
-    rows = fx.small(spark, sf)
-    return long(spark, train.retrain(rows, fx.removals_at(rows, RATE), LINEAR).w)
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return long(spark, train.retrain(rows, fx.removals_at(rows, RATE), spec).w)
 
 
-@query("retrain_binary", sql.binary("cyclic", 8, 15000, 0.2, LAM, keep=_KEEP))
+@query("retrain_binary", sql.binary("cyclic", 8, 4, 0.2, LAM, keep=_KEEP))
 def retrain_binary(spark, sf):
-    rows = fx.small(spark, sf, 2, "binary")
-    return long(spark, train.retrain(rows, fx.removals_at(rows, RATE), BINARY).w)
+    rows = samples(spark, sf, 2, "binary")
+    spec = sized(rows, BINARY)
+    return long(spark, train.retrain(rows, fx.removals_at(rows, RATE), spec).w)
 
 
 # ---- replay ---------------------------------------------------------------------------------
 
 
-@query("replay_linear", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=_KEEP))
+@query("replay_linear", sql.linear("cyclic", 30, 10, ETA, LAM, keep=_KEEP))
 def replay_linear(spark, sf):
-    rows = fx.small(spark, sf)
-    return long(spark, replay.replay(capture.capture_linear(rows, LINEAR), rows, fx.removals_at(rows, RATE)))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return long(spark, replay.replay(capture.capture_linear(rows, spec), rows, fx.removals_at(rows, RATE)))
 
 
-@query("replay_linear_lowrank", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=_KEEP))
+@query("replay_linear_lowrank", sql.linear("cyclic", 30, 10, ETA, LAM, keep=_KEEP))
 def replay_linear_lowrank(spark, sf):
     """Full rank kept, so that it equals retraining."""
-    rows = fx.small(spark, sf)
-    return long(spark, replay.replay(capture.compress(capture.capture_linear(rows, LINEAR), eps=1e-13), rows, fx.removals_at(rows, RATE)))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return long(spark, replay.replay(capture.compress(capture.capture_linear(rows, spec), eps=1e-13), rows, fx.removals_at(rows, RATE)))
 
 
-@query("replay_linear_rows", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=_KEEP))
+@query("replay_linear_truncated", sql.linear("cyclic", 30, 10, ETA, LAM, keep=_KEEP, tail="SELECT pos::INT AS pos, round(w[pos + 1], 6) + 0.0 AS value, true AS close FROM it, range(4) p(pos) WHERE t = 30"))
+def replay_linear_truncated(spark, sf):
+    """Three of four directions kept: retrained parameters, and whether the replayed ones lie within the dropped part's bound.
+
+    A dropped eigenvalue of at most e times the largest moves each step by at
+    most 2 eta e (largest / n) |w|, so all steps by tau times that.
+    """
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    held, gone = stored_blocks(capture.capture_linear(rows, spec)), fx.removals_at(rows, RATE)
+    truth, eps = train.retrain(rows, gone, spec).w, 0.9
+    cut = capture.compress(held, eps)
+    top = max(np.linalg.eigvalsh(unpack(np.array(r.gram), 4))[-1] / r.cnt for r in held.blocks.collect())
+    got = replay.replay(cut, rows, gone)
+    bound = 2 * ETA * eps * top * spec.tau * max(np.linalg.norm(got), np.linalg.norm(truth))
+    out = long(spark, truth)
+    return out.withColumn("close", F.lit(bool(np.linalg.norm(got - truth) <= bound and cut.factors.agg(F.max("r")).first()[0] < 4)))
+
+
+def stored_blocks(held: capture.Capture) -> capture.Capture:
+    """The capture with its sums in a table, so that later jobs read them."""
+    return capture.Capture(held.spec, held.n, stored(held.blocks, "captured"), None, held.trajectory, held.options, held.upto)
+
+
+@query("replay_linear_rows", sql.linear("cyclic", 30, 10, ETA, LAM, keep=_KEEP))
 def replay_linear_rows(spark, sf):
     """Factors taken straight from each block's rows."""
-    rows = fx.small(spark, sf)
-    return long(spark, replay.replay(capture.capture_factors(rows, LINEAR, eps=1e-13), rows, fx.removals_at(rows, RATE)))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return long(spark, replay.replay(capture.capture_factors(rows, spec, eps=1e-13), rows, fx.removals_at(rows, RATE)))
 
 
-@query("replay_linear_reshuffle", sql.linear("reshuffle", 25, 6000, ETA, LAM, keep=_KEEP))
+@query("replay_linear_reshuffle", sql.linear("reshuffle", 25, 10, ETA, LAM, keep=_KEEP))
 def replay_linear_reshuffle(spark, sf):
-    rows, spec = fx.small(spark, sf), _linear("reshuffle", 25, 6000)
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR.with_(tau=25), schedule_name="reshuffle")
     return long(spark, replay.replay(capture.capture_linear(rows, spec), rows, fx.removals_at(rows, RATE)))
 
 
-@query("replay_linear_composed", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=_KEEP))
+@query("replay_linear_composed", sql.linear("cyclic", 30, 10, ETA, LAM, keep=_KEEP))
 def replay_linear_composed(spark, sf):
     """Affine steps folded in chunks by parallel tasks."""
-    rows = fx.small(spark, sf)
-    got = capture.capture_linear(rows, LINEAR)
-    gone = replay._local_rows(replay.removed_rows(rows, fx.removals_at(rows, RATE), LINEAR, got.n), 4)
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    got = capture.capture_linear(rows, spec)
+    gone = replay._local_rows(replay.removed_rows(rows, fx.removals_at(rows, RATE), spec, got.n), 4)
     return long(spark, replay.compose(got, gone, 4, rows))
 
 
 _FIRST_BATCH = f"floor({sql.u('sample_id', repr('batch'))} * (SELECT k FROM size)) = 0"
 
 
-@query("replay_linear_empty_batch", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=f"NOT ({_FIRST_BATCH})"))
+@query("replay_linear_empty_batch", sql.linear("cyclic", 30, 10, ETA, LAM, keep=f"NOT ({_FIRST_BATCH})"))
 def replay_linear_empty_batch(spark, sf):
     """Every row of one batch goes, and an id that does not exist."""
-    rows = fx.small(spark, sf)
-    got = capture.capture_linear(rows, LINEAR)
-    first = schedule.assign(rows, LINEAR, got.n).where("block_id = 0").select(F.lit(0).alias("subset_id"), "sample_id")
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    got = capture.capture_linear(rows, spec)
+    first = schedule.assign(rows, spec, got.n).where("block_id = 0").select(F.lit(0).alias("subset_id"), "sample_id")
     return long(spark, replay.replay(got, rows, first.unionByName(spark.createDataFrame([(0, -5)], "subset_id int, sample_id bigint"))))
 
 
-@query("replay_linear_chained", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=f"NOT ({sql.gone(RATE, 'one')} OR {sql.gone(RATE, 'two')})"))
+@query("replay_linear_chained", sql.linear("cyclic", 30, 10, ETA, LAM, keep=f"NOT ({sql.gone(RATE, 'one')} OR {sql.gone(RATE, 'two')})"))
 def replay_linear_chained(spark, sf):
-    rows = fx.small(spark, sf)
-    return long(spark, replay.update(capture.capture_linear(rows, LINEAR), rows, fx.removals_at(rows, RATE, "two"), earlier=fx.removals_at(rows, RATE, "one")))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return long(spark, replay.update(capture.capture_linear(rows, spec), rows, fx.removals_at(rows, RATE, "two"), earlier=fx.removals_at(rows, RATE, "one")))
 
 
-@query("replay_linear_insertion", sql.linear("cyclic", 30, 6000, ETA, LAM, keep=f"NOT ({sql.gone(RATE, 'one')})"))
+@query("replay_linear_insertion", sql.linear("cyclic", 30, 10, ETA, LAM, keep=f"NOT ({sql.gone(RATE, 'one')})"))
 def replay_linear_insertion(spark, sf):
     """Rows of one set are added back after the others were captured without them."""
-    rows = fx.small(spark, sf)
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
     new = rows.where(uniform(F.col("sample_id"), "two") < RATE)
     start = rows.join(new.select("sample_id"), "sample_id", "left_anti")
     gone = fx.removals_at(rows, RATE, "one")
-    return long(spark, replay.update_with_insertions(capture.capture_linear(start, LINEAR, rows.count()), start, gone, new.join(gone.select("sample_id"), "sample_id", "left_anti")))
+    return long(spark, replay.update_with_insertions(capture.capture_linear(start, spec, rows.count()), start, gone, new.join(gone.select("sample_id"), "sample_id", "left_anti")))
 
 
 @query(
     "update_many",
-    " UNION ALL ".join(f"SELECT {s}::INT AS subset_id, pos, value FROM ({sql.linear('cyclic', 30, 6000, ETA, LAM, keep='NOT (' + sql.gone(0.001, f'rm{s}') + ')')})" for s in range(4)),
+    " UNION ALL ".join(f"SELECT {s}::INT AS subset_id, pos, value FROM ({sql.linear('cyclic', 30, 10, ETA, LAM, keep='NOT (' + sql.gone(0.001, f'rm{s}') + ')')})" for s in range(10)),
 )
 def update_many(spark, sf):
-    rows = fx.small(spark, sf)
-    models = replay.update_many(capture.capture_linear(rows, LINEAR), rows, fx.ten_removals(rows, 0.001, 4))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    models = replay.update_many(capture.capture_linear(rows, spec), rows, fx.ten_removals(rows, 0.001))
     return models.select("subset_id", F.posexplode("w").alias("pos", "value")).withColumn("value", rounded("value"))
 
 
-@query("replay_binary", sql.binary("cyclic", 8, 15000, 0.2, LAM, keep=_KEEP, replay=True))
+@query("replay_binary", sql.binary("cyclic", 8, 4, 0.2, LAM, keep=_KEEP, replay=True))
 def replay_binary(spark, sf):
-    rows = fx.small(spark, sf, 2, "binary")
-    fit = train.train(rows, BINARY, keep_trajectory=True)
-    return long(spark, replay.replay(capture.capture_logistic(rows, fit.trajectory, BINARY, fit.n), rows, fx.removals_at(rows, RATE)))
+    rows = samples(spark, sf, 2, "binary")
+    spec = sized(rows, BINARY)
+    fit = train.train(rows, spec, keep_trajectory=True)
+    return long(spark, replay.replay(capture.capture_logistic(rows, fit.trajectory, spec, fit.n), rows, fx.removals_at(rows, RATE)))
 
 
-@query("replay_binary_stored", sql.binary("cyclic", 8, 15000, 0.2, LAM, keep=_KEEP, replay=True))
+@query("replay_binary_stored", sql.binary("cyclic", 8, 4, 0.2, LAM, keep=_KEEP, replay=True))
 def replay_binary_stored(spark, sf):
     """Coefficients of the removed rows read from a stored table instead of computed again."""
-    rows = fx.small(spark, sf, 2, "binary")
-    fit = train.train(rows, BINARY, keep_trajectory=True)
-    held = capture.stored_coefficients(rows, fit.trajectory, BINARY, fit.n)
-    return long(spark, replay.replay(capture.capture_logistic(rows, fit.trajectory, BINARY, fit.n), rows, fx.removals_at(rows, RATE), "stored", held))
+    rows = samples(spark, sf, 2, "binary")
+    spec = sized(rows, BINARY)
+    fit = train.train(rows, spec, keep_trajectory=True)
+    held = capture.stored_coefficients(rows, fit.trajectory, spec, fit.n)
+    return long(spark, replay.replay(capture.capture_logistic(rows, fit.trajectory, spec, fit.n), rows, fx.removals_at(rows, RATE), "stored", held))
 
 
-@query("replay_binary_lowrank", sql.binary("cyclic", 8, 15000, 0.2, LAM, keep=_KEEP, replay=True))
+@query("replay_binary_lowrank", sql.binary("cyclic", 8, 4, 0.2, LAM, keep=_KEEP, replay=True))
 def replay_binary_lowrank(spark, sf):
-    rows = fx.small(spark, sf, 2, "binary")
-    fit = train.train(rows, BINARY, keep_trajectory=True)
-    got = capture.compress(capture.capture_logistic(rows, fit.trajectory, BINARY, fit.n), eps=1e-13)
+    rows = samples(spark, sf, 2, "binary")
+    spec = sized(rows, BINARY)
+    fit = train.train(rows, spec, keep_trajectory=True)
+    got = capture.compress(capture.capture_logistic(rows, fit.trajectory, spec, fit.n), eps=1e-13)
     return long(spark, replay.replay(got, rows, fx.removals_at(rows, RATE)))
 
 
@@ -483,51 +544,56 @@ _AT, _BT = sql.piece("(y * list_dot_product(x, it.w))")
 @query(
     "capture_logistic",
     sql.binary(
-        "cyclic", 8, 15000, 0.2, LAM,
+        "cyclic", 8, 4, 0.2, LAM,
         tail=f"SELECT t::INT AS block_id, count(*) AS cnt, ({_PACKED.format(m=3)})::INT AS pos, round(sum(({_AT}) * x[i] * x[j]), 3) + 0.0 AS value FROM it CROSS JOIN blocks_of JOIN bl ON bl.b = it.t % nb, range(1, 4) r(i), range(1, 4) s(j) WHERE t < 8 AND i <= j GROUP BY t, i, j",
     ),
 )
 def capture_logistic(spark, sf):
-    rows = fx.small(spark, sf, 2, "binary")
-    fit = train.train(rows, BINARY, keep_trajectory=True)
-    return cells_long(capture.capture_logistic(rows, fit.trajectory, BINARY, fit.n).blocks, ["block_id"])
+    rows = samples(spark, sf, 2, "binary")
+    spec = sized(rows, BINARY)
+    fit = train.train(rows, spec, keep_trajectory=True)
+    return cells_long(capture.capture_logistic(rows, fit.trajectory, spec, fit.n).blocks, ["block_id"])
 
 
 def _softmax_run(spark, sf, schedule_name: str = "full", tau: int = 12):
-    rows = fx.small(spark, sf, 2, "softmax", 3)
+    rows = samples(spark, sf, 2, "softmax", 3)
     spec = _SOFT.with_(tau=tau)
     fit = train.train(rows, spec, keep_trajectory=True)
     return rows, spec, fit, capture.capture_logistic(rows, fit.trajectory, spec, fit.n)
 
 
-@query("replay_softmax")
+@query("replay_softmax", sql.softmax(12, 0.1, LAM, keep=_KEEP, replay=True, digits=5))
 def replay_softmax(spark, sf):
+    """Tangents at the captured trajectory, summed over the survivors."""
     rows, spec, fit, got = _softmax_run(spark, sf)
-    return long(spark, replay.replay(got, rows, fx.removals_at(rows, RATE)), 4)
+    return long(spark, replay.replay(got, rows, fx.removals_at(rows, RATE)), 5)
+
 
+def held_against(spark, truth: np.ndarray, got: np.ndarray, bound: float) -> DataFrame:
+    """The exact retrained parameters, and whether ``got`` lies within ``bound`` of each: for methods that SQL cannot repeat but whose error is bounded."""
+    rows = [(i, round(float(t), 5) + 0.0, bool(abs(t - g) < bound)) for i, (t, g) in enumerate(zip(truth, got, strict=True))]
+    return spark.createDataFrame(rows, "pos int, value double, close boolean")
 
-@query("replay_softmax_simplex")
+
+@query("replay_softmax_simplex", sql.softmax(12, 0.1, LAM, keep=_KEEP, digits=5, extra=", true AS close"))
 def replay_softmax_simplex(spark, sf):
-    """Pieces of a grid interpolant over simplices in place of tangents."""
-    rows, spec = fx.small(spark, sf, 2, "softmax", 3), _SOFT.with_(tau=12)
+    """Pieces of a grid interpolant over simplices in place of tangents, against retraining."""
+    rows, spec = samples(spark, sf, 2, "softmax", 3), _SOFT.with_(tau=12)
     fit = train.train(rows, spec, keep_trajectory=True)
     got = capture.capture_logistic(rows, fit.trajectory, spec, fit.n, method="simplex", dx=0.02)
-    return long(spark, replay.replay(got, rows, fx.removals_at(rows, RATE)), 4)
+    gone = fx.removals_at(rows, RATE)
+    return held_against(spark, train.retrain(rows, gone, spec).w, replay.replay(got, rows, gone), 2e-3)
 
 
-@query("replay_sparse")
+@query("replay_sparse", sql.sparse(60, 20, 0.1, 0.5, 0.05))
 def replay_sparse(spark, sf):
     """Hashed words; one row: distance and cosine to retraining, and to no update."""
-    rows = fx.hashed_words(spark, sf).where("not is_valid")
-    n = rows.count()
-    spec = ModelSpec("binary", 47236, lam=0.5, eta=0.1, tau=60, batch_size=50, schedule="cyclic")
-    blocks, nb = sparse.load(rows, spec, n), spec.blocks(n)
-    held: dict = {}
-    w = sparse.descend(blocks, spec, nb, capture=held)
-    gone = np.array([r.sample_id for r in fx.removals_at(rows, 0.05).collect()])
-    new = sparse.replay_sparse(blocks, held, gone, spec, nb)
-    truth = sparse.descend({b: r.without(gone) for b, r in blocks.items()}, spec, nb)
-    row = (n, len(gone), round(measures.distance(new, truth), 5), round(measures.cosine(new, truth), 5), round(measures.distance(w, truth), 5))
+    rows = stored(fx.hashed_words(spark, sf).where("not is_valid"), "sparse-samples")
+    n, gone, held = rows.count(), fx.removals_at(rows, 0.05), {}
+    spec = sized(rows, ModelSpec("binary", 47236, lam=0.5, eta=0.1, tau=60), 20)
+    w = sparse.train(rows, spec, n, held)
+    new, truth = sparse.replay(rows, gone, spec, n, held), sparse.retrain(rows, gone, spec, n)
+    row = (n, gone.count(), round(measures.distance(new, truth), 5), round(measures.cosine(new, truth), 5), round(measures.distance(w, truth), 5))
     return spark.createDataFrame([row], "n bigint, removed bigint, distance double, cosine double, stale_distance double")
 
 
@@ -537,43 +603,47 @@ def replay_sparse(spark, sf):
 @query("gd_from_gram", sql.linear("full", 40, None, ETA, LAM))
 def gd_from_gram(spark, sf):
     g, c, n = baselines.global_sums(fx.small(spark, sf), 4)
-    return long(spark, spectral.gd_from_gram(g, c, n, _linear("full", 40, None)))
+    return long(spark, spectral.gd_from_gram(g, c, n, LINEAR.with_(tau=40)))
 
 
 @query("spectral_linear_nodelete", sql.linear("full", 40, None, ETA, LAM))
 def spectral_linear_nodelete(spark, sf):
-    rows, spec = fx.small(spark, sf), _linear("full", 40, None)
+    rows, spec = samples(spark, sf), LINEAR.with_(tau=40)
     return long(spark, spectral.spectral_linear(spectral.fit_eigen(rows, spec), rows, fx.removals_at(rows, 0.0), spec))
 
 
 @query("spectral_linear_exact", sql.linear("full", 40, None, ETA, LAM, keep=_KEEP))
 def spectral_linear_exact(spark, sf):
     """Decomposed anew, so that only the eigenvalue estimate is left out: equals full-batch retraining."""
-    rows, spec = fx.small(spark, sf), _linear("full", 40, None)
+    rows, spec = samples(spark, sf), LINEAR.with_(tau=40)
     return long(spark, spectral.spectral_linear(spectral.fit_eigen(rows, spec), rows, fx.removals_at(rows, RATE), spec, eigen_update="exact"))
 
 
 _SPECTRAL_TAU = 40
-_SPECTRAL_SQL = f"""WITH {sql.small(1)}, s AS (
-  SELECT sum(x[1] * x[1]) AS a, sum(x[1] * x[2]) AS b, sum(x[2] * x[2]) AS d, sum(x[1] * y) FILTER (WHERE {_KEEP}) AS p, sum(x[2] * y) FILTER (WHERE {_KEEP}) AS q, count(*) FILTER (WHERE {_KEEP}) AS n FROM fx
+
+
+def _spectral_sql(keep: str, subset: str = "") -> str:
+    return f"""WITH {sql.small(1)}, s AS (
+  SELECT sum(x[1] * x[1]) AS a, sum(x[1] * x[2]) AS b, sum(x[2] * x[2]) AS d, sum(x[1] * y) FILTER (WHERE {keep}) AS p, sum(x[2] * y) FILTER (WHERE {keep}) AS q, count(*) FILTER (WHERE {keep}) AS n FROM fx
 ), e AS (SELECT *, (a + d) / 2 + sqrt(((a - d) / 2) ** 2 + b * b) AS l1, (a + d) / 2 - sqrt(((a - d) / 2) ** 2 + b * b) AS l2 FROM s
 ), v AS (SELECT *, b / sqrt(b * b + (l1 - a) ** 2) AS u1, (l1 - a) / sqrt(b * b + (l1 - a) ** 2) AS u2 FROM e
-), g AS (SELECT sum((x[1] * u1 + x[2] * u2) ** 2) AS r1, sum((x[2] * u1 - x[1] * u2) ** 2) AS r2 FROM fx, v WHERE NOT ({_KEEP})
+), g AS (SELECT sum((x[1] * u1 + x[2] * u2) ** 2) AS r1, sum((x[2] * u1 - x[1] * u2) ** 2) AS r2 FROM fx, v WHERE NOT ({keep})
 ), r AS (SELECT *, 1 - {ETA * LAM} - {2 * ETA} * (l1 - r1) / n AS h1, 1 - {ETA * LAM} - {2 * ETA} * (l2 - r2) / n AS h2 FROM v, g
 ), z AS (SELECT *, {2 * ETA} / n * (u1 * p + u2 * q) * (1 - h1 ** {_SPECTRAL_TAU}) / (1 - h1) AS z1, {2 * ETA} / n * (u1 * q - u2 * p) * (1 - h2 ** {_SPECTRAL_TAU}) / (1 - h2) AS z2 FROM r)
-SELECT 0::INT AS pos, round(u1 * z1 - u2 * z2, 6) + 0.0 AS value FROM z UNION ALL SELECT 1::INT, round(u2 * z1 + u1 * z2, 6) + 0.0 FROM z"""
+SELECT {subset}0::INT AS pos, round(u1 * z1 - u2 * z2, 6) + 0.0 AS value FROM z UNION ALL SELECT {subset}1::INT, round(u2 * z1 + u1 * z2, 6) + 0.0 FROM z"""
 
 
-@query("spectral_linear", _SPECTRAL_SQL)
+@query("spectral_linear", _spectral_sql(_KEEP))
 def spectral_linear(spark, sf):
     """Two coordinates, so that SQL can decompose by formula."""
-    rows, spec = fx.small(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=_SPECTRAL_TAU)
+    rows, spec = samples(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=_SPECTRAL_TAU)
     return long(spark, spectral.spectral_linear(spectral.fit_eigen(rows, spec), rows, fx.removals_at(rows, RATE), spec))
 
 
-@query("spectral_linear_many")
+@query("spectral_linear_many", " UNION ALL ".join(f"SELECT * FROM ({_spectral_sql('NOT (' + sql.gone(0.001, f'rm{k}') + ')', f'{k}::INT AS subset_id, ')})" for k in range(10)))
 def spectral_linear_many(spark, sf):
-    rows, spec = fx.small(spark, sf), _linear("full", 40, None)
+    """Ten removal sets from one job; two coordinates, so that SQL can decompose by formula."""
+    rows, spec = samples(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=_SPECTRAL_TAU)
     found = spectral.spectral_many(spectral.fit_eigen(rows, spec), rows, fx.ten_removals(rows), spec)
     return spark.createDataFrame([(int(s), i, round(float(v), 6)) for s, w in sorted(found.items()) for i, v in enumerate(w)], "subset_id int, pos int, value double")
 
@@ -584,16 +654,44 @@ def _spectral_logistic(spark, rows, spec, removals, at: float = 0.7):
     return spectral.spectral_logistic(spectral.fit_logistic(rows, got, int(at * spec.tau)), rows, removals)
 
 
-@query("spectral_binary")
+_HEAD, _ALL = 28, 40
+_FA, _FB = sql.piece("(y * list_dot_product(x, w))")
+_FROZEN_SQL = sql.binary(
+    "cyclic", _HEAD, 4, 0.2, LAM, columns=1, keep=_KEEP, replay=True,
+    tail=f""", f AS (SELECT x, y, {_KEEP} AS stays, {_FA} AS sa, {_FB} AS sb FROM fx, full_run WHERE t = {_HEAD}),
+s AS (SELECT sum(sa * x[1] * x[1]) AS a, sum(sa * x[1] * x[2]) AS b, sum(sa * x[2] * x[2]) AS d, sum(sb * y * x[1]) FILTER (WHERE stays) AS p, sum(sb * y * x[2]) FILTER (WHERE stays) AS q, count(*) FILTER (WHERE stays) AS n FROM f),
+e AS (SELECT *, (a + d) / 2 + sqrt(((a - d) / 2) ** 2 + b * b) AS l1, (a + d) / 2 - sqrt(((a - d) / 2) ** 2 + b * b) AS l2 FROM s),
+v AS (SELECT *, b / sqrt(b * b + (l1 - a) ** 2) AS u1, (l1 - a) / sqrt(b * b + (l1 - a) ** 2) AS u2 FROM e),
+g AS (SELECT sum(sa * (x[1] * u1 + x[2] * u2) ** 2) AS r1, sum(sa * (x[2] * u1 - x[1] * u2) ** 2) AS r2 FROM f, v WHERE NOT stays),
+r AS (SELECT *, {1 - 0.2 * LAM} + 0.2 * (l1 - r1) / n AS h1, {1 - 0.2 * LAM} + 0.2 * (l2 - r2) / n AS h2 FROM v, g),
+o AS (SELECT *, h1 ** {_ALL - _HEAD} * (u1 * w[1] + u2 * w[2]) + 0.2 / n * (u1 * p + u2 * q) * (1 - h1 ** {_ALL - _HEAD}) / (1 - h1) AS z1, h2 ** {_ALL - _HEAD} * (u1 * w[2] - u2 * w[1]) + 0.2 / n * (u1 * q - u2 * p) * (1 - h2 ** {_ALL - _HEAD}) / (1 - h2) AS z2 FROM r, it WHERE it.t = {_HEAD})
+SELECT 0::INT AS pos, round(u1 * z1 - u2 * z2, 5) + 0.0 AS value FROM o UNION ALL SELECT 1::INT, round(u2 * z1 + u1 * z2, 5) + 0.0 FROM o""",
+)
+
+
+@query("spectral_binary", _FROZEN_SQL)
 def spectral_binary(spark, sf):
-    rows, spec = fx.small(spark, sf, 2, "binary"), BINARY.with_(tau=40, schedule="cyclic")
-    return long(spark, _spectral_logistic(spark, rows, spec, fx.removals_at(rows, RATE)), 4)
+    """Replay to the switch point, then powers of the frozen pieces' shifted eigenvalues; two coordinates, so that SQL can decompose by formula."""
+    rows = samples(spark, sf, 1, "binary")
+    spec = sized(rows, ModelSpec("binary", 2, lam=LAM, eta=0.2, tau=_ALL), 4)
+    return long(spark, _spectral_logistic(spark, rows, spec, fx.removals_at(rows, RATE)), 5)
 
 
-@query("spectral_softmax")
+@query("spectral_softmax", sql.softmax(30, 0.1, LAM, keep=_KEEP, digits=5, extra=", true AS close"))
 def spectral_softmax(spark, sf):
-    rows, spec = fx.small(spark, sf, 2, "softmax", 3), _SOFT.with_(tau=30)
-    return long(spark, _spectral_logistic(spark, rows, spec, fx.removals_at(rows, RATE)), 4)
+    """Against retraining."""
+    rows, spec = samples(spark, sf, 2, "softmax", 3), _SOFT.with_(tau=30)
+    gone = fx.removals_at(rows, RATE)
+    return held_against(spark, train.retrain(rows, gone, spec).w, _spectral_logistic(spark, rows, spec, gone), 1e-2)
+
+
+@query("switch_by_gradient", sql.linear("full", 40, None, ETA, LAM, columns=1, tail=f"SELECT coalesce(min(a.t), 40)::INT AS t, 28::INT AS by_fraction FROM it a JOIN it b ON b.t = a.t + 1 WHERE sqrt((a.w[1] - b.w[1]) ** 2 + (a.w[2] - b.w[2]) ** 2) / {ETA} < 0.05"))
+def switch_by_gradient(spark, sf):
+    """Where the pieces freeze: the first iteration whose parameter step over the rate is short, and a fraction of all."""
+    rows, spec = samples(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=40)
+    path = train.train(rows, spec, keep_trajectory=True).trajectory
+    gradients = (np.linalg.norm(np.diff(path, axis=0), axis=1) / ETA).tolist()
+    return spark.createDataFrame([(spectral.switch_point(spec, None, 0.05, gradients), spectral.switch_point(spec))], "t int, by_fraction int")
 
 
 # ---- baselines ------------------------------------------------------------------------------
@@ -606,13 +704,14 @@ SELECT 0::INT AS pos, round((p * d - b * q) / (a * d - b * b), 6) + 0.0 AS value
 
 @query("normal_eq", _CRAMER)
 def normal_eq(spark, sf):
-    rows = fx.small(spark, sf, 1)
-    return long(spark, baselines.normal_eq(baselines.global_sums(rows, 2), baselines.removed_block(rows, fx.removals_at(rows, RATE), 2), LAM))
+    """From cached sums and the removed rows' aggregated sums."""
+    rows = samples(spark, sf, 1)
+    return long(spark, baselines.normal_eq_sums(baselines.global_sums(rows, 2), baselines.removed_sums(rows, fx.removals_at(rows, RATE), 2), LAM))
 
 
 @query("normal_eq_woodbury", _CRAMER)
 def normal_eq_woodbury(spark, sf):
-    rows = fx.small(spark, sf, 1)
+    rows = samples(spark, sf, 1)
     return long(spark, baselines.normal_eq(baselines.global_sums(rows, 2), baselines.removed_block(rows, fx.removals_at(rows, RATE), 2), LAM, "woodbury"))
 
 
@@ -624,7 +723,7 @@ FROM it, range(2) r(pos), (SELECT count(*) AS n, 2 * sum(x[1] * x[1]) / count(*)
 
 
 def _influenced(spark, sf, pick) -> DataFrame:
-    rows, spec = fx.small(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=40)
+    rows, spec = samples(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=40)
     return long(spark, baselines.influence(rows, train.train(rows, spec).w, pick(rows), spec))
 
 
@@ -638,11 +737,21 @@ def influence_multi(spark, sf):
     return _influenced(spark, sf, lambda rows: fx.removals_at(rows, RATE))
 
 
-@query("influence_newton")
+_NEWTON_SQL = sql.binary(
+    "cyclic", 40, 4, 0.2, LAM, columns=1,
+    tail=f"""SELECT pos::INT AS pos, round(w[pos + 1] - (CASE pos WHEN 0 THEN d * p - b * q ELSE a * q - b * p END) / (a * d - b * b), 5) + 0.0 AS value FROM it, range(2) r(pos),
+(SELECT sum(f * (1 - f) * x[1] * x[1]) / count(*) + {LAM} AS a, sum(f * (1 - f) * x[1] * x[2]) / count(*) AS b, sum(f * (1 - f) * x[2] * x[2]) / count(*) + {LAM} AS d,
+  sum(-y * f * x[1]) / count(*) + {LAM} * any_value(w)[1] AS p, sum(-y * f * x[2]) / count(*) + {LAM} * any_value(w)[2] AS q
+  FROM (SELECT x, y, w, 1 / (1 + exp(y * list_dot_product(x, w))) AS f FROM fx, it WHERE t = 40 AND {_KEEP})) g WHERE t = 40""",
+)
+
+
+@query("influence_newton", _NEWTON_SQL)
 def influence_newton(spark, sf):
     """Hessian of the survivors: a Newton step from the old parameters."""
-    rows, spec = fx.small(spark, sf, 2, "binary"), BINARY.with_(tau=40)
-    return long(spark, baselines.influence(rows, train.train(rows, spec).w, fx.removals_at(rows, RATE), spec, of="survivors"), 4)
+    rows = samples(spark, sf, 1, "binary")
+    spec = sized(rows, ModelSpec("binary", 2, lam=LAM, eta=0.2, tau=40), 4)
+    return long(spark, baselines.influence(rows, train.train(rows, spec).w, fx.removals_at(rows, RATE), spec, of="survivors"), 5)
 
 
 @query("library_linear", f"""WITH {sql.small(1)}, s AS (SELECT count(*) AS n, sum(x[1] * x[1]) AS a, sum(x[1] * x[2]) AS b, sum(x[2] * x[2]) AS d, sum(x[1] * y) AS p, sum(x[2] * y) AS q FROM fx),
@@ -652,14 +761,17 @@ def library_linear(spark, sf):
     return long(spark, baselines.library_fit(fx.small(spark, sf, 1), ModelSpec("linear", 2, lam=LAM)), 2)
 
 
-@query("library_binary")
+@query("library_binary", sql.binary("full", 80, None, 2.0, LAM, columns=1).replace("round(w[pos + 1], 6)", "round(w[pos + 1], 3)"))
 def library_binary(spark, sf):
-    return long(spark, baselines.library_fit(fx.small(spark, sf, 2, "binary"), BINARY), 3)
+    """The library's solver against long descent."""
+    return long(spark, baselines.library_fit(samples(spark, sf, 1, "binary"), ModelSpec("binary", 2, lam=LAM)), 3)
 
 
-@query("stale", sql.linear("cyclic", 30, 6000, ETA, LAM))
+@query("stale", sql.linear("cyclic", 30, 10, ETA, LAM))
 def stale(spark, sf):
-    return long(spark, baselines.stale(train.train(fx.small(spark, sf), LINEAR).w))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return long(spark, baselines.stale(train.train(rows, spec).w))
 
 
 # ---- linearisation --------------------------------------------------------------------------
@@ -705,8 +817,8 @@ def accuracy_softmax(spark, sf):
     return measures.accuracy(fx.small(spark, sf, 2, "softmax", 3).where("is_valid"), _WQ, _SOFT).select(rounded("accuracy", 9).alias("accuracy"))
 
 
-_TRUTH = sql.linear("cyclic", 30, 6000, ETA, LAM, keep=_KEEP, digits=12)
-_OLD = sql.linear("cyclic", 30, 6000, ETA, LAM, digits=12)
+_TRUTH = sql.linear("cyclic", 30, 10, ETA, LAM, keep=_KEEP, digits=12)
+_OLD = sql.linear("cyclic", 30, 10, ETA, LAM, digits=12)
 
 
 @query(
@@ -715,16 +827,19 @@ _OLD = sql.linear("cyclic", 30, 6000, ETA, LAM, digits=12)
 count(*) FILTER (WHERE sign(a.value) <> sign(b.value)) AS sign_flips, round(max(abs(a.value - b.value)), 6) + 0.0 AS largest_change FROM a JOIN b ON a.pos = b.pos""",
 )
 def compare_models(spark, sf):
-    rows = fx.small(spark, sf)
-    truth = train.long_form(train.retrain(rows, fx.removals_at(rows, RATE), LINEAR).w, spark)
-    old = train.long_form(train.train(rows, LINEAR).w, spark, model_id="stale")
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    truth = train.long_form(train.retrain(rows, fx.removals_at(rows, RATE), spec).w, spark)
+    old = train.long_form(train.train(rows, spec).w, spark, model_id="stale")
     out = measures.compare(old, truth)
     return out.select("model_id", rounded("distance").alias("distance"), rounded("cosine").alias("cosine"), "sign_flips", rounded("largest_change").alias("largest_change"))
 
 
-@query("capture_bytes", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 6000)} SELECT (count(DISTINCT b) * (10 + 4) * 8)::BIGINT AS bytes, count(DISTINCT b)::BIGINT AS blocks FROM bl")
+@query("capture_bytes", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 10)} SELECT (count(DISTINCT b) * (10 + 4) * 8)::BIGINT AS bytes, count(DISTINCT b)::BIGINT AS blocks FROM bl")
 def capture_bytes(spark, sf):
-    return measures.capture_bytes(capture.capture_linear(fx.small(spark, sf), LINEAR).blocks)
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    return measures.capture_bytes(capture.capture_linear(rows, spec).blocks)
 
 
 @query("deletion_rate", f"WITH {sql.small()} SELECT count(*) AS n, count(*) FILTER (WHERE {sql.gone(RATE)}) AS removed, count(*) FILTER (WHERE {sql.gone(RATE)}) / count(*)::DOUBLE AS rate FROM fx")
@@ -733,9 +848,11 @@ def deletion_rate(spark, sf):
     return measures.deletion_rate(rows, fx.removals_at(rows, RATE))
 
 
-@query("convergence_lag", sql.linear("cyclic", 30, 6000, ETA, LAM, tail="SELECT b.t::INT AS t, round(sqrt(list_sum([(a.w[i] - b.w[i]) ** 2 for i in range(1, 5)])), 6) + 0.0 AS step FROM it a JOIN it b ON b.t = a.t + 1"))
+@query("convergence_lag", sql.linear("cyclic", 30, 10, ETA, LAM, tail="SELECT b.t::INT AS t, round(sqrt(list_sum([(a.w[i] - b.w[i]) ** 2 for i in range(1, 5)])), 6) + 0.0 AS step FROM it a JOIN it b ON b.t = a.t + 1"))
 def convergence_lag(spark, sf):
-    path = train.train(fx.small(spark, sf), LINEAR, keep_trajectory=True).trajectory
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    path = train.train(rows, spec, keep_trajectory=True).trajectory
     return measures.convergence(capture.trajectory_frame(path, spark)).select(F.col("t").cast("int").alias("t"), rounded("step").alias("step"))
 
 
@@ -744,10 +861,16 @@ def topk_influential(spark, sf):
     return measures.sample_influence(fx.small(spark, sf), _W4, LINEAR, 20).withColumn("gradient_norm", F.round("gradient_norm", 6))
 
 
-@query("rank_summary")
+@query(
+    "rank_summary",
+    f"""WITH {sql.small(1)}, {sql.blocked('cyclic', 30, 10)}, s AS (SELECT b AS blk, sum(x[1] * x[1]) AS a, sum(x[1] * x[2]) AS b, sum(x[2] * x[2]) AS d FROM bl GROUP BY b),
+e AS (SELECT (a + d) / 2 + sqrt(((a - d) / 2) ** 2 + b * b) AS l1, (a + d) / 2 - sqrt(((a - d) / 2) ** 2 + b * b) AS l2 FROM s),
+r AS (SELECT 1 + (l2 > 0.92 * l1)::INT AS r FROM e) SELECT min(r)::INT AS least, quantile_disc(r, 0.5)::INT AS median, max(r)::INT AS most, avg(r) AS mean FROM r""",
+)
 def rank_summary(spark, sf):
-    rows = star(spark, sf).select(fx.line_id().alias("sample_id"), F.array(*fx.eighteen_columns()).alias("features"), F.lit(0.0).alias("label"))
-    got = capture.compress(capture.capture_linear(rows, LINEAR.with_(m=18)), eps=0.05)
+    """Ranks kept in each block; two coordinates, so that SQL can decompose by formula."""
+    rows = samples(spark, sf, 1)
+    got = capture.compress(capture.capture_linear(rows, sized(rows, ModelSpec("linear", 2, tau=30))), eps=0.92)
     return measures.rank_summary(got.factors)
 
 
@@ -878,10 +1001,11 @@ def asof_model(spark, sf):
     return events.join(F.broadcast(spans), (F.col("ts") >= F.col("made")) & (F.col("until").isNull() | (F.col("ts") < F.col("until")))).select("event_id", "version")
 
 
-@query("rank_batches", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 6000)}, c AS (SELECT b AS block_id, count(*) AS cnt FROM bl GROUP BY b) SELECT block_id, cnt, rank() OVER (ORDER BY cnt DESC)::INT AS rank, dense_rank() OVER (ORDER BY cnt DESC)::INT AS dense, ntile(3) OVER (ORDER BY cnt DESC, block_id)::INT AS third FROM c")
+@query("rank_batches", f"WITH {sql.small()}, {sql.blocked('cyclic', 30, 10)}, c AS (SELECT b AS block_id, count(*) AS cnt FROM bl GROUP BY b) SELECT block_id, cnt, rank() OVER (ORDER BY cnt DESC)::INT AS rank, dense_rank() OVER (ORDER BY cnt DESC)::INT AS dense, ntile(3) OVER (ORDER BY cnt DESC, block_id)::INT AS third FROM c")
 def rank_batches(spark, sf):
-    rows = fx.small(spark, sf)
-    sizes = schedule.assign(rows, LINEAR, rows.count()).groupBy("block_id").agg(F.count("*").alias("cnt"))
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR)
+    sizes = schedule.assign(rows, spec, rows.count()).groupBy("block_id").agg(F.count("*").alias("cnt"))
     by_size = Window.orderBy(F.desc("cnt"))
     return sizes.select("block_id", "cnt", F.rank().over(by_size).alias("rank"), F.dense_rank().over(by_size).alias("dense"), F.ntile(3).over(Window.orderBy(F.desc("cnt"), "block_id")).alias("third"))
 
@@ -928,14 +1052,21 @@ def map_ops(spark, sf):
     return table(spark, sf, "nation").select(F.col("n_name").alias("name"), merged["a"].alias("merged"))
 
 
-@query("approx_distinct")
+@query("approx_distinct", "SELECT count(DISTINCT l_orderkey) AS orders, true AS within FROM lineitem")
 def approx_distinct(spark, sf):
-    return table(spark, sf, "lineitem").agg(F.approx_count_distinct("l_orderkey").alias("orders"))
+    """The exact count, and whether the sketch's lies within its stated five per cent (three deviations)."""
+    exact, near = F.count_distinct("l_orderkey"), F.approx_count_distinct("l_orderkey")
+    return table(spark, sf, "lineitem").agg(exact.alias("orders"), near.alias("near")).select("orders", (F.abs(F.col("near") / F.col("orders") - 1) < 0.15).alias("within"))
 
 
-@query("approx_percentile")
+@query("approx_percentile", "SELECT p::DOUBLE AS p, true AS within FROM (VALUES (0.1), (0.5), (0.9)) t(p)")
 def approx_percentile(spark, sf):
-    return table(spark, sf, "lineitem").agg(F.percentile_approx("l_extendedprice", F.array(F.lit(0.1), F.lit(0.5), F.lit(0.9)), 1000).alias("deciles"))
+    """Whether each approximate decile has its share of the rows at or below it, within the sketch's stated error."""
+    prices = table(spark, sf, "lineitem").select("l_extendedprice")
+    points = [0.1, 0.5, 0.9]
+    found = prices.agg(F.percentile_approx("l_extendedprice", F.array(*map(F.lit, points)), 1000).alias("v")).first().v  # three numbers
+    shares = prices.agg(*[F.avg((F.col("l_extendedprice") <= v).cast("double")).alias(f"s{i}") for i, v in enumerate(found)])
+    return shares.select(F.explode(F.array(*[F.struct(F.lit(p).alias("p"), (F.abs(F.col(f"s{i}") - p) < 0.003).alias("within")) for i, p in enumerate(points)])).alias("r")).select("r.p", "r.within")
 
 
 @query("udtf_schedule", "SELECT t::INT AS t, (t % 7)::INT AS block_id FROM range(3, 40) r(t)")
@@ -952,9 +1083,9 @@ def sql_predict(spark, sf):
     return spark.sql(f"SELECT sample_id, round(dp_predict({w}, features), 9) AS p, round(dp_slope(dp_margin({w}, features, label)), 6) + 0D AS slope FROM small_binary")
 
 
-@query("softmax_interpolated")
+@query("softmax_interpolated", "SELECT count(*) AS cnt, true AS accurate FROM lineitem")
 def softmax_interpolated(spark, sf):
-    """Interpolated class probabilities by an Arrow UDF: one row with their sum and worst error."""
+    """Interpolated class probabilities by an Arrow UDF: whether the worst is within the square of the grid's step."""
     from delprop.functions.linearize import softmax_column
 
     x = F.col("features")
@@ -962,7 +1093,38 @@ def softmax_interpolated(spark, sf):
     rows = fx.small(spark, sf, 2, "softmax", 3).select(logits.alias("u")).withColumn("p", softmax_column("simplex", 0.05)("u"))
     total = F.aggregate(F.transform("u", lambda v: F.exp(v)), F.lit(0.0), lambda s, v: s + v)
     worst = F.array_max(F.zip_with("p", F.transform("u", lambda v: F.exp(v) / total), lambda a, b: F.abs(a - b)))
-    return rows.agg(F.count("*").alias("cnt"), F.max(worst).alias("worst_error"))
+    return rows.agg(F.count("*").alias("cnt"), (F.max(worst) < 0.05**2).alias("accurate"))
+
+
+# ---- experiment workloads (seconds vary from run to run, so they have no SQL) ---------------
+
+#: Iterations, copies, columns and batch sizes as far as a query may take; the published ones are in ``workloads.WORKLOADS``.
+SCALES = {
+    "sgemm_original": {}, "sgemm_extended": {"tau_scale": 0.005, "width": 118}, "covtype_small": {"tau_scale": 0.001}, "covtype_large_1": {"tau_scale": 0.02}, "covtype_large_2": {"tau_scale": 0.004},
+    "covtype_extended": {"tau_scale": 0.00025, "copies": 2}, "higgs": {"tau_scale": 0.01}, "higgs_extended": {"tau_scale": 0.001, "copies": 2}, "heartbeat": {"tau_scale": 0.002}, "heartbeat_extended": {"tau_scale": 0.00025, "copies": 2},
+    "rcv1": {"tau_scale": 0.1, "batch": 50}, "cifar10": {"tau_scale": 0.01, "width": 64, "batch": 50},
+}
+
+for _name, _scale in SCALES.items():
+
+    def _workload(spark, sf, name=_name, scale=_scale):
+        return workloads.run(spark, sf, name, rates=(0.01,), repeat=3, workload=workloads.scaled(name, **scale))
+
+    query(f"workload_{_name}")(_workload)
+
+
+for _name in ("sgemm_original", "higgs_extended"):
+
+    def _repeated(spark, sf, name=_name):
+        return workloads.repeated(spark, sf, name, workload=workloads.scaled(name, **SCALES[name]))
+
+    query(f"repeated_{_name}")(_repeated)
+
+
+@query("rate_sweep")
+def rate_sweep(spark, sf):
+    """Speed-ups over retraining at all six rates."""
+    return workloads.speed_ups(workloads.run(spark, sf, "sgemm_original", repeat=3))
 
 
 # ---- streams --------------------------------------------------------------------------------

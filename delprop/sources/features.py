@@ -6,6 +6,8 @@ changes the features.  Every random choice is the portable hash of the id.
 
 from __future__ import annotations
 
+import numpy as np
+import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -137,21 +139,35 @@ def star54(spark: SparkSession, folder: str, native: bool = False) -> DataFrame:
     return rows.withColumn("is_valid", is_valid(F.col("sample_id"))) if native else with_label(rows.drop("label"), 54, "softmax", 7)
 
 
+def frames(events: DataFrame, width: int = 188, chunk: int = 8192) -> DataFrame:
+    """(sample_id, features): ``width`` successive scaled event values of one day, by (ts, event_id); incomplete frames go.
+
+    A day does not meet in one task: events are numbered within a second, the
+    seconds' counts are summed up per day, and windows run over chunks of
+    ``chunk`` numbers, each with the first ``width - 1`` events of the next one.
+    """
+    rows = events.select("event_id", "ts", "value", F.to_date("ts").alias("day"), F.unix_timestamp("ts").alias("second"))
+    counts = rows.groupBy("day", "second").agg(F.count("*").alias("n"))
+    before = counts.select("day", "second", (F.sum("n").over(Window.partitionBy("day").orderBy("second")) - F.col("n")).alias("before"))
+    place = F.row_number().over(Window.partitionBy("day", "second").orderBy("ts", "event_id")) - 1
+    numbered = rows.withColumn("place", place).join(before, ["day", "second"]).withColumn("at", F.col("before") + F.col("place"))
+    own = F.floor(F.col("at") / chunk).cast("long")
+    again = (F.col("at") % chunk < width - 1) & (own > 0)
+    dealt = numbered.withColumn("chunk", F.explode(F.when(again, F.array(own, own - 1)).otherwise(F.array(own))))
+    within = Window.partitionBy("day", "chunk").orderBy("at").rowsBetween(0, width - 1)
+    framed = dealt.withColumn("features", F.collect_list((F.col("value") - 50.0) / 30.0).over(within))
+    return framed.where((F.size("features") == width) & (F.col("chunk") == own)).select(F.col("event_id").alias("sample_id"), "features")
+
+
 def series(spark: SparkSession, folder: str, width: int = 188, q: int = 7) -> DataFrame:
-    """Windows of ``width`` successive event values of one day; days are partitions, incomplete frames go."""
-    by_day = Window.partitionBy(F.to_date("ts")).orderBy("ts", "event_id")
-    frame = F.collect_list((F.col("value") - 50.0) / 30.0).over(by_day.rowsBetween(0, width - 1))
-    rows = table(spark, folder, "events").select(F.col("event_id").alias("sample_id"), frame.alias("features")).where(F.size("features") == width)
-    return with_label(rows, width, "softmax", q)
+    """Windows of ``width`` successive event values of one day, with planted classes."""
+    return with_label(frames(table(spark, folder, "events"), width), width, "softmax", q)
 
 
 def embedded(spark: SparkSession, folder: str, maps: int = 0, q: int = 10, native: bool = False) -> DataFrame:
     """Embeddings as doubles; with ``maps``, that many rectified hash-random rotations of each (64 columns a map)."""
     rows = table(spark, folder, "embeddings").select(F.col("vec_id").alias("sample_id"), F.col("embedding").cast("array<double>").alias("features"), F.col("label").cast("double").alias("label"))
     if maps:
-        import numpy as np
-        import pandas as pd
-
         weights = np.array([[2 * uniform_of(i, f"map{j}") - 1 for i in range(64)] for j in range(64 * maps)])
 
         @F.pandas_udf("array<double>")

@@ -4,13 +4,16 @@ import math
 import os
 import re
 
+from dataclasses import replace
+
 import duckdb
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
-from delprop.operators import capture, prov, replay, spectral, train
+from delprop.functions.vector import unpack
+from delprop.operators import capture, prov, replay, sparse, spectral, train
 from delprop.plans import queries, workloads
 from delprop.sources import features as fx
 from delprop.sources import tables
@@ -25,7 +28,7 @@ def canonical(frame):
     return columns, sorted(rows, key=str)
 
 
-@pytest.mark.parametrize("name", ["hash_uniform", "features_28", "gram_cube", "train_reshuffle_linear", "replay_linear", "replay_linear_composed", "replay_binary", "spectral_linear", "influence_multi", "poly_mul", "compare_models"])
+@pytest.mark.parametrize("name", ["hash_uniform", "features_28", "gram_cube", "train_reshuffle_linear", "replay_linear", "replay_linear_composed", "replay_binary", "spectral_linear", "influence_multi", "poly_mul", "compare_models", "replay_softmax", "replay_sparse", "spectral_binary", "spectral_linear_many", "replay_linear_truncated"])
 def test_query_equals_sql(spark, sf, name):
     con = duckdb.connect()
     for file in os.listdir(sf):
@@ -175,13 +178,78 @@ def test_readers(spark, tmp_path, form):
 
 
 def test_workload_reproduces_the_order_of_methods(spark, sf):
-    got = {r.method: r for r in workloads.run(spark, sf, "sgemm_original", rates=(0.1,), tau=600).collect()}
+    got = {r.method: r for r in workloads.run(spark, sf, "sgemm_original", rates=(0.1,), repeat=1, workload=workloads.scaled("sgemm_original", 0.3)).collect()}
     assert got["replay"].distance < 1e-8
     assert got["spectral"].distance < got["influence"].distance and got["spectral"].distance < got["stale"].distance
-    got = {r.method: r for r in workloads.run(spark, sf, "higgs", rates=(0.1,), tau=200).collect()}
+    got = {r.method: r for r in workloads.run(spark, sf, "higgs", rates=(0.1,), repeat=1, workload=replace(workloads.scaled("higgs", 0.01), eta=2e-2)).collect()}
     assert got["replay"].distance < got["stale"].distance and got["replay"].cosine > 0.95
 
 
+@pytest.fixture(scope="module")
+def few(spark, sf):
+    """The small fixture and a tenth of it to remove, both read once."""
+    rows = fx.small(spark, sf).persist()
+    return rows, fx.removals_at(rows, 0.1).persist()
+
+
+def test_replay_beyond_this_process(spark, few, sf):
+    """Aggregated removed rows and streamed sums give the same model as the local way; so do the sets of update_many."""
+    rows, gone = few
+    spec = ModelSpec("linear", 4, lam=0.1, eta=0.05, tau=12, batch_size=1000, schedule="cyclic")
+    held = capture.capture_linear(rows, spec)
+    assert np.allclose(replay.replay(held, rows, gone, local_bytes=1), replay.replay(held, rows, gone), atol=1e-10)
+    sets = gone.unionByName(spark.createDataFrame([(7, -1)], "subset_id int, sample_id bigint"))
+    a, b = ({r.subset_id: r.w for r in replay.update_many(held, rows, sets, local_bytes=x).collect()} for x in (1, 1 << 30))
+    assert set(a) == set(b) == {0, 7} and all(np.allclose(a[k], b[k], atol=1e-10) for k in a)
+    for kind, q in (("binary", 1), ("softmax", 3)):
+        rows = fx.small(spark, sf, 2, kind, q).persist()
+        spec = ModelSpec(kind, 3, q=q, lam=0.1, eta=0.1, tau=4, batch_size=3000, schedule="cyclic")
+        fit = train.train(rows, spec, keep_trajectory=True)
+        held = capture.capture_logistic(rows, fit.trajectory, spec, fit.n)
+        assert np.allclose(replay.replay(held, rows, gone, local_bytes=1), replay.replay(held, rows, gone), atol=1e-10)
+
+
+def test_retraining_a_one_sample_schedule_beyond_this_process(few):
+    rows, gone = few
+    spec = ModelSpec("linear", 4, lam=0.1, eta=0.05, tau=5, schedule="single")
+    near, far = (train.retrain(rows, gone, spec, local_bytes=x).w for x in (1 << 30, 1))
+    assert np.allclose(near, far, atol=1e-12) and np.linalg.norm(near) > 0
+
+
+def test_sparse_models_beyond_this_process(spark, sf):
+    rows = fx.hashed_words(spark, sf, 500).persist()
+    n, gone = rows.count(), fx.removals_at(rows, 0.2)
+    spec = ModelSpec("binary", 500, lam=0.1, eta=0.5, tau=3, batch_size=-(-n // 2), schedule="cyclic")
+    near, far = {}, {}
+    assert np.allclose(sparse.train(rows, spec, n, near), sparse.train(rows, spec, n, far, local_bytes=1), atol=1e-10)
+    assert np.allclose(sparse.replay(rows, gone, spec, n, near), sparse.replay(rows, gone, spec, n, far, local_bytes=1), atol=1e-8)
+    assert np.allclose(sparse.retrain(rows, gone, spec, n), sparse.retrain(rows, gone, spec, n, local_bytes=1), atol=1e-10)
+
+
+def test_spectral_keeps_sets_without_rows_and_takes_many_features(spark, few):
+    rows, gone = few
+    spec = ModelSpec("linear", 4, lam=0.1, eta=0.05, tau=20)
+    eigen = spectral.fit_eigen(rows, spec)
+    got = spectral.spectral_many(eigen, rows, gone.unionByName(spark.createDataFrame([(9, -1)], "subset_id int, sample_id bigint")), spec)
+    assert set(got) == {0, 9} and np.allclose(got[9], spectral.spectral_linear(eigen, rows, gone.limit(0), spec))
+    assert np.allclose(got[0], spectral.spectral_linear(eigen, rows, gone, spec))
+
+
+def test_factors_of_a_block_meet_in_rounds(few, monkeypatch):
+    rows, _ = few
+    spec = ModelSpec("linear", 4, lam=0.1, eta=0.05, tau=3)
+    whole = capture.capture_linear(rows, spec).blocks.first()
+    r = capture.capture_factors(rows.repartition(7), spec, eps=1e-14).factors.first()
+    p, v = (np.array(x).reshape(4, r.r) for x in (r.p, r.v))
+    assert np.allclose(p @ v.T, unpack(np.array(whole.gram), 4)) and np.allclose(r.cross, whole.cross) and r.cnt == whole.cnt
+
+
+def test_frames_do_not_depend_on_the_chunks(spark):
+    events = spark.range(400).select(F.col("id").alias("event_id"), (F.lit("2024-01-01").cast("timestamp") + F.make_interval(hours=F.floor(F.col("id") / 10).cast("int"))).alias("ts"), (F.col("id") * 1.0).alias("value"))
+    few, many = ({r.sample_id: r.features for r in fx.frames(events, 9, chunk).collect()} for chunk in (16, 8192))
+    assert few == many and len(few) == 240 - 8 + 160 - 8
+
+
 def test_library_imports_without_the_optional_subpackage():
     for folder, _, files in os.walk(os.path.join(os.path.dirname(queries.__file__), "..")):
         for f in files:
