@@ -14,9 +14,10 @@ step takes the best ``k`` of the blocks' results.
 Vectors that are null, zero, of another length than most, or that hold null or
 non-finite components take no part.  Equal vectors have equal codes and equal
 scores; ties go to the smaller vec_id in the scan, the rerank and the merge.
-A query without candidates returns no rows; a null vec_id takes no part;
-repeated ids are told apart by nothing and count as one (the first vector);
-extra columns are ignored; an empty table gives an empty result.
+A query without candidates returns no rows; a null vec_id takes no part.
+Every row is a candidate: rows are told apart by a number of their own, so
+rows that share a vec_id are all found, and each is a query of its own if the
+id is one's; extra columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -104,21 +105,21 @@ def fit(x: np.ndarray, width: int = 2, threshold: float = 0.2, turns: int = 6, s
     return model
 
 
-def scan_block(model: Quantiser, codes: np.ndarray, vectors: np.ndarray, ids: np.ndarray, queries: np.ndarray, query_ids: np.ndarray, k: int, depth: int) -> pd.DataFrame:
-    """The exact best ``k`` among the ``depth`` best by codes, for each query; rows come sorted by id."""
+def scan_block(model: Quantiser, codes: np.ndarray, vectors: np.ndarray, ids: np.ndarray, numbers: np.ndarray, queries: np.ndarray, query_numbers: np.ndarray, k: int, depth: int) -> pd.DataFrame:
+    """The exact best ``k`` among the ``depth`` best by codes, for each query but the row of its own number; rows come sorted by id."""
     if codes.shape[1] % 2:
         codes = np.c_[codes, np.zeros(len(codes), np.uint8)]
     packed = codes[:, 0::2].astype(np.int64) * CENTRES + codes[:, 1::2]
     out = []
     for at in range(0, len(queries), 64):
-        q, names = queries[at : at + 64], query_ids[at : at + 64]
+        q, names = queries[at : at + 64], query_numbers[at : at + 64]
         table = model.tables(q)
         rough = np.zeros((len(codes), len(q)), np.float32)
         for j in range(packed.shape[1]):
             rough += table[j][packed[:, j]]
         rough = rough.T
         for i, name in enumerate(names.tolist()):
-            row = np.where(ids == name, -np.inf, rough[i])
+            row = np.where(numbers == name, -np.inf, rough[i])
             if len(row) > depth:
                 floor = -np.partition(-row, depth - 1)[depth - 1]
                 over = np.flatnonzero(row > floor)
@@ -126,25 +127,25 @@ def scan_block(model: Quantiser, codes: np.ndarray, vectors: np.ndarray, ids: np
                 pool = np.sort(np.r_[over, level])
             else:
                 pool = np.arange(len(row))
-            pool = pool[ids[pool] != name]
+            pool = pool[numbers[pool] != name]
             exact = (vectors[pool] * q[i]).sum(1)
-            best = np.lexsort((ids[pool], -exact))[:k]
-            out.append(pd.DataFrame({"query_id": name, "vec_id": ids[pool][best], "score": exact[best]}))
-    return pd.concat(out) if out else pd.DataFrame({"query_id": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0)})
+            best = np.lexsort((numbers[pool], ids[pool], -exact))[:k]
+            out.append(pd.DataFrame({"query": name, "vec_id": ids[pool][best], "score": exact[best]}))
+    return pd.concat(out) if out else pd.DataFrame({"query": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0)})
 
 
 def usable(embeddings: DataFrame) -> DataFrame:
-    """(vec_id, v array<double>): the vectors that take part, one for each id."""
+    """(vec_id, v array<double>, number): the rows that take part, with a number of their own."""
     v = F.col("embedding").cast("array<double>")
     sound = F.col("vec_id").isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
-    rows = embeddings.select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v")).where(sound)
-    return rows.groupBy("vec_id").agg(F.min("v").alias("v"))
+    return embeddings.select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v")).where(sound).withColumn("number", F.monotonically_increasing_id())
 
 
-def search(embeddings: DataFrame, every: int = 20, k: int = 20, depth: int = 400, sample_rows: int = 4000, block_rows: int = 8192, block_queries: int = 2048) -> DataFrame:
+def search(embeddings: DataFrame, every: int = 20, k: int = 20, depth: int = 400, sample_rows: int = 4000, block_rows: int = 8192, block_queries: int = 2048, least_blocks: int = 8) -> DataFrame:
     """(query_id, rank, vec_id, score): the ``k`` nearest found of every row whose id is divisible by ``every``.
 
     Codebooks are fitted on about ``sample_rows`` rows; every row is indexed.
+    The numbers of rows are fixed by a table in the scratch folder.
     """
     rows = materialise(usable(embeddings), "vectors")
     spark = rows.sparkSession
@@ -154,29 +155,30 @@ def search(embeddings: DataFrame, every: int = 20, k: int = 20, depth: int = 400
         return spark.createDataFrame([], empty)
     rows, n = rows.where(F.size("v") == shape["dim"]), shape["count"]
     bound = int(min(1.0, sample_rows / n) * (1 << 30))
-    drawn = rows.where(F.pmod(F.xxhash64(F.lit("fit"), "vec_id"), F.lit(1 << 30)) <= bound).select("v").collect()
+    drawn = rows.where(F.pmod(F.xxhash64(F.lit("fit"), "vec_id", "number"), F.lit(1 << 30)) <= bound).select("v").collect()
     model = fit(np.array([r.v for r in drawn])) if drawn else fit(np.array([rows.first().v]))
     is_query = F.pmod(F.col("vec_id"), F.lit(every)) == 0
     n_queries = rows.where(is_query).count()
-    n_blocks, n_sides = max(8, math.ceil(n / block_rows)), max(1, math.ceil(n_queries / block_queries))
-    mixed = F.xxhash64("vec_id")
+    n_blocks, n_sides = max(least_blocks, math.ceil(n / block_rows)), max(1, math.ceil(n_queries / block_queries))
+    mixed = F.xxhash64("number")
 
     def encode(batch: pa.RecordBatch) -> pa.RecordBatch:
         codes = model.encode(np.array(batch.column("v").to_pylist(), float))
         return batch.append_column("code", pa.array([c.tobytes() for c in codes], pa.binary()))
 
-    coded = materialise(map_arrow(rows, encode, "vec_id long, v array<double>, code binary"), "codes")
+    coded = materialise(map_arrow(rows, encode, "vec_id long, v array<double>, number long, code binary"), "codes")
     left = coded.withColumn("c", F.pmod(mixed, F.lit(n_blocks)).cast("int")).withColumn("q", F.explode(F.sequence(F.lit(0), F.lit(n_sides - 1))))
-    right = rows.where(is_query).withColumn("q", F.pmod(F.xxhash64(F.lit("q"), "vec_id"), F.lit(n_sides)).cast("int")).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
+    right = rows.where(is_query).withColumn("q", F.pmod(F.xxhash64(F.lit("q"), "number"), F.lit(n_sides)).cast("int")).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
 
     def task(block: pd.DataFrame, asked: pd.DataFrame) -> pd.DataFrame:
         if not len(block) or not len(asked):
-            return pd.DataFrame({"query_id": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0)})
-        block, asked = block.sort_values("vec_id"), asked.sort_values("vec_id")
+            return pd.DataFrame({"query": np.zeros(0, np.int64), "vec_id": np.zeros(0, np.int64), "score": np.zeros(0), "query_id": np.zeros(0, np.int64)})
+        block, asked = block.sort_values(["vec_id", "number"]), asked.sort_values(["vec_id", "number"])
         vectors, queries = (np.array(x.v.tolist(), float) for x in (block, asked))
         codes = np.frombuffer(b"".join(block.code), np.uint8).reshape(len(block), -1)
-        return scan_block(model, codes, vectors, block.vec_id.to_numpy(), queries, asked.vec_id.to_numpy(), k, depth)
+        out = scan_block(model, codes, vectors, block.vec_id.to_numpy(), block.number.to_numpy(), queries, asked.number.to_numpy(), k, depth)
+        return out.assign(query_id=out["query"].map(dict(zip(asked.number, asked.vec_id, strict=True))).astype("int64"))
 
-    found = left.groupBy("q", "c").cogroup(right.groupBy("q", "c")).applyInPandas(task, "query_id long, vec_id long, score double")
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc("vec_id"))
+    found = left.groupBy("q", "c").cogroup(right.groupBy("q", "c")).applyInPandas(task, "query long, vec_id long, score double, query_id long")
+    order = Window.partitionBy("query").orderBy(F.desc("score"), F.asc("vec_id"))
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")

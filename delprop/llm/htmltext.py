@@ -13,8 +13,9 @@ adverts, forms and reader comments, in plain and in semantic markup.
 The text of content elements, white space folded, goes out block by block in
 page order, joined by a line feed.
 
-Text of scripts, styles, templates, frames, drawings, form values and the
-source annotations of formulas is not page text and is not read.
+Text of scripts, styles, templates, frames, drawings (svg), form values and the
+source annotations of formulas is not page text and is not read; text for
+browsers without scripts is an element like any other.
 
 Edge cases: null or empty html gives an empty text; null ids and urls stay;
 malformed, unclosed or cut-off markup is read as far as it goes; repeated rows
@@ -38,7 +39,7 @@ from pyspark.sql import functions as F
 from delprop.llm.common import map_arrow
 
 _VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-_DROP = frozenset("script style noscript template iframe svg select textarea title annotation annotation-xml".split())
+_DROP = frozenset("script style template iframe svg select textarea title annotation annotation-xml".split())
 _INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q rp rt ruby s samp small span strike strong sub sup time tt u var math semantics mrow mi mn mo ms mtext msup msub msubsup mfrac msqrt mroot mover munder munderover mstyle mspace mpadded mfenced".split())
 #: Opening one of these ends an open paragraph.
 _ENDS_P = frozenset("address article aside blockquote center details dialog dir div dl fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hgroup hr main menu nav ol p pre section table ul li dt dd".split())
@@ -215,7 +216,7 @@ def _read(page: str) -> tuple[list[Node], list[tuple[Node, str]], list[tuple[int
 
 def _skip(page: str, tag: str, at: int) -> int:
     """Where an element whose text never counts ends; nested elements of the same tag are skipped with it."""
-    if tag in ("script", "style", "textarea", "title", "template", "noscript", "iframe"):
+    if tag in ("script", "style", "textarea", "title", "template", "iframe"):
         hit = re.compile(rf"</{tag}\s*>", re.IGNORECASE).search(page, at)
         return hit.end() if hit else len(page)
     depth = 1

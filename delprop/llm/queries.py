@@ -92,7 +92,7 @@ WITH parts AS (
 ), rules(verdict, rule_host, rule_path) AS (VALUES {rules}),
 ranked AS (
   SELECT s.page_id, s.host, s.path, r.rule_host || r.rule_path AS rule, coalesce(r.verdict, 'allow') AS verdict,
-         row_number() OVER (PARTITION BY s.page_id ORDER BY length(r.rule_host || r.rule_path) DESC NULLS LAST) AS turn
+         row_number() OVER (PARTITION BY s.page_id ORDER BY length(r.rule_host || r.rule_path) DESC NULLS LAST, length(r.rule_host) DESC NULLS LAST) AS turn
   FROM split s LEFT JOIN rules r
     ON (s.host = r.rule_host OR ends_with(s.host, '.' || r.rule_host)) AND starts_with(s.path, r.rule_path)
 )

@@ -14,8 +14,9 @@ shuffled.
 
 Law: ``bytes``.  Sizes differ by at most about one range.
 
-Edge cases: a null text counts as empty (size 16, checksum of nothing); null
-ids sort first; repeated rows are rows of their own; an empty table gives an
+Edge cases: a null text counts as empty (size 16, checksum of nothing); rows
+with null ids sort first, by a number of their own, so a run of copies without
+ids is cut like any other (rows equal in text and id stay in one range); repeated rows are rows of their own; an empty table gives an
 empty result; extra columns are ignored.
 """
 
@@ -32,6 +33,8 @@ from pyspark.sql import functions as F
 from delprop.llm.common import map_arrow, materialise, unsigned_crc32
 
 LOW = -(1 << 63)
+#: Rounds of subdivision at most; each cuts every overfull range into near equal parts.
+TURNS = 8
 
 
 def _ranges(keys: np.ndarray, ids: np.ndarray, splitters: np.ndarray) -> np.ndarray:
@@ -84,7 +87,8 @@ def shard(documents: DataFrame, shards: int = 40, ranges_per_shard: int = 64, ov
         (F.octet_length(text) + 16).cast("long").alias("size"),
         unsigned_crc32(text).alias("text_crc32"),
         F.xxhash64(text).alias("k"),
-        F.coalesce(F.col("doc_id").cast("long"), F.lit(LOW)).alias("d"),
+        # the numbers are fixed by the table below
+        F.coalesce(F.col("doc_id").cast("long"), F.lit(LOW + 1) + F.monotonically_increasing_id()).alias("d"),
     )
     rows = materialise(rows, "shard-keys")
     total, n = rows.agg(F.sum("size"), F.count("*")).first()
@@ -100,12 +104,13 @@ def shard(documents: DataFrame, shards: int = 40, ranges_per_shard: int = 64, ov
         return sorted(key for r in drawn for key in [(r.k, r.d)] * r.times)
 
     cuts = _splitters(sampled(rows, max(1, target // oversample), "first"), ranges)
-    for turn in range(3):
+    for turn in range(TURNS):
         placed = _with_range(rows, _array(cuts))
         sizes = {r["range"]: (r["bytes"], r["n"]) for r in placed.groupBy("range").agg(F.sum("size").alias("bytes"), F.count("*").alias("n")).collect()}
         overfull = {i: s for i, s in sizes.items() if s[0] > 1.5 * target and s[1] > 1}
-        if not overfull or turn == 2:
+        if not overfull or turn == TURNS - 1:
             break
+        before = len(cuts)
         dense = sampled(placed.where(F.col("range").isin(list(overfull))), max(1, target // (4 * oversample)), f"again{turn}")
         own = _array(cuts)
         keys = np.array([k for k, _ in dense], np.int64)
@@ -117,6 +122,8 @@ def shard(documents: DataFrame, shards: int = 40, ranges_per_shard: int = 64, ov
                 # a run of copies that already starts a range is cut between copies
                 copies = [e for q, e in part if q == k] if d == LOW and k in held else []
                 cuts.add((k, copies[len(copies) // 2] if copies else d))
+        if len(cuts) == before:  # what is left overfull holds rows of one key
+            break
     where = _assign(_array(cuts), sizes, shards)
     layout = documents.sparkSession.createDataFrame([(int(i), *w) for i, w in where.items()] or [], "range int, shard int, base long")
     turn_of = F.row_number().over(Window.partitionBy("range").orderBy("k", "d", "size")) - 1

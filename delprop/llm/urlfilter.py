@@ -8,8 +8,10 @@ binary search.  A hit counts only if the stored
 string equals the probed one, so colliding digests never decide.
 
 For each URL the probed strings are (host suffix at a label boundary) x (path
-prefix of a length that some rule has); the longest rule found wins.  A URL
-that no rule fits is allowed.
+prefix of a length that some rule has); the longest rule found wins, of equally
+long ones that with the longer host.  A URL that no rule fits is allowed.  A
+list whose file would exceed ``MAX_INDEX_BYTES`` is dealt over several files
+by host, each of them one more pass over the URLs.
 
 Edge cases: a null URL, or one without ``://``, has an empty host and path and
 fits no rule; repeated rows stay rows; extra columns are ignored; an empty
@@ -32,7 +34,7 @@ from delprop.llm.common import map_arrow
 
 BLOCK, ALLOW = "block", "allow"
 _NUL = "\x00"
-#: A list above this is refused: every worker holds a copy on its disk.
+#: Bytes of one file: every worker holds a copy on its disk.
 MAX_INDEX_BYTES = 1 << 30
 
 
@@ -60,11 +62,19 @@ def build_index(rules: list[tuple[str, str, str]]) -> bytes:
     prefixes = np.unique(np.array([len(t.split(_NUL.encode(), 1)[1].decode()) for t in texts], np.int64))
     head = np.array([len(texts), len(prefixes)], np.int64)
     raw = b"".join([part.tobytes() for part in (head, digests, offsets, lengths, flags, prefixes)] + texts)
-    if len(raw) > MAX_INDEX_BYTES:
-        raise ValueError("the rule list is too large to be mapped by every worker; split it by host")
     return raw
 
 
+def parts_of(rules: list[tuple[str, str, str]], most: int) -> list[list[tuple[str, str, str]]]:
+    """The rules dealt by host over as many parts as keep a part's file near ``most`` bytes; one part at least."""
+    size = sum(40 + len((h + p).encode()) for _, h, p in rules)
+    count = -(-2 * size // most) if size > most else 1  # twice as many, since hosts are uneven
+    parts: list[list[tuple[str, str, str]]] = [[] for _ in range(count)]
+    for rule in rules:
+        parts[xxhash.xxh64_intdigest(rule[1].encode()) % count].append(rule)
+    return [p for p in parts if p] or [[]]
+
+
 class Index:
     """Read-only view of a file that holds the bytes of :func:`build_index`."""
 
@@ -90,7 +100,8 @@ class Index:
                     found[i] = at
         return found
 
-    def judge(self, hosts: list[str], paths: list[str]) -> tuple[list[str | None], list[str]]:
+    def judge(self, hosts: list[str], paths: list[str]) -> tuple[list[str | None], list[str], list[tuple[int, int]]]:
+        """Winning rule, verdict and (length, host length) of the rule for each (host, path)."""
         probes, owner = [], []
         for row, (host, path) in enumerate(zip(hosts, paths, strict=True)):
             if not host:
@@ -103,15 +114,16 @@ class Index:
                         probes.append((suffix + _NUL + path[:length]).encode())
                         owner.append(row)
         rules: list[str | None] = [None] * len(hosts)
-        verdicts = [ALLOW] * len(hosts)
+        verdicts, ranks = [ALLOW] * len(hosts), [(0, 0)] * len(hosts)
         if probes:
             at = self.find(probes)
             for i in np.flatnonzero(at >= 0).tolist():
-                rule = probes[i].decode().replace(_NUL, "", 1)
-                if rules[owner[i]] is None or len(rule) > len(rules[owner[i]]):
-                    rules[owner[i]] = rule
+                rule_host, prefix = probes[i].decode().split(_NUL, 1)
+                rank = (len(rule_host) + len(prefix), len(rule_host))
+                if rules[owner[i]] is None or rank > ranks[owner[i]]:
+                    rules[owner[i]], ranks[owner[i]] = rule_host + prefix, rank
                     verdicts[owner[i]] = BLOCK if self.blocked[at[i]] else ALLOW
-        return rules, verdicts
+        return rules, verdicts, ranks
 
 
 @lru_cache(maxsize=2)
@@ -123,14 +135,23 @@ def _mapped(raw: bytes) -> Index:
         return Index(file)
 
 
-def judge_urls(pages: DataFrame, rules: list[tuple[str, str, str]], id_col: str = "page_id", url_col: str = "url") -> DataFrame:
+def judge_urls(pages: DataFrame, rules: list[tuple[str, str, str]], id_col: str = "page_id", url_col: str = "url", most: int = MAX_INDEX_BYTES) -> DataFrame:
     """(id, host, path, rule, verdict) for every row of ``pages``."""
-    shipped = pages.sparkSession.sparkContext.broadcast(build_index(rules))
     rows = pages.select(F.col(id_col), host_of(F.col(url_col)).alias("host"), path_of(F.col(url_col)).alias("path"))
-
-    def kernel(batch: pa.RecordBatch) -> pa.RecordBatch:
-        found, verdicts = _mapped(shipped.value).judge(batch.column("host").to_pylist(), batch.column("path").to_pylist())
-        return pa.record_batch([*batch.columns, pa.array(found, pa.string()), pa.array(verdicts, pa.string())], [*batch.schema.names, "rule", "verdict"])
-
     kind = dict(rows.dtypes)[id_col]
-    return map_arrow(rows, kernel, f"`{id_col}` {kind}, host string, path string, rule string, verdict string")
+    schema = f"`{id_col}` {kind}, host string, path string, rule string, verdict string"
+    parts = parts_of(rules, most)
+    for part in parts:
+        shipped = pages.sparkSession.sparkContext.broadcast(build_index(part))
+
+        def kernel(batch: pa.RecordBatch, shipped=shipped) -> pa.RecordBatch:
+            found, verdicts, ranks = _mapped(shipped.value).judge(batch.column("host").to_pylist(), batch.column("path").to_pylist())
+            if "rank" in batch.schema.names:  # an earlier part's rule stays unless this one's ranks higher
+                earlier = [tuple(r) for r in batch.column("rank").to_pylist()]
+                keep = [old >= new for old, new in zip(earlier, ranks, strict=True)]
+                found, verdicts, ranks = ([a if k else b for k, a, b in zip(keep, x, y, strict=True)] for x, y in ((batch.column("rule").to_pylist(), found), (batch.column("verdict").to_pylist(), verdicts), (earlier, ranks)))
+            out = [batch.column(0), batch.column("host"), batch.column("path"), pa.array(found, pa.string()), pa.array(verdicts, pa.string()), pa.array([list(r) for r in ranks], pa.list_(pa.int32()))]
+            return pa.record_batch(out, [batch.schema.names[0], "host", "path", "rule", "verdict", "rank"])
+
+        rows = map_arrow(rows, kernel, schema + ", rank array<int>")
+    return rows.drop("rank")

@@ -147,7 +147,7 @@ def test_url_index_against_a_scan():
         index = urlfilter.Index(file)
     hosts = ["a.example.com", "example.com", "com", "xcom", "b.example.net", "net", "", "org", "x.org", "example.net"]
     paths = ["/en/7", "/en/77", "/en/", "/en/1", "/de/8x", "/de/1", "/en/", "/es/", "/ES/", "/de/8"]
-    rules, verdicts = index.judge(hosts, paths)
+    rules, verdicts, _ = index.judge(hosts, paths)
     for host, path, rule, verdict in zip(hosts, paths, rules, verdicts, strict=True):
         fits = [(len(h + p), h + p, v) for v, h, p in URL_RULES if (host == h or host.endswith("." + h)) and path.startswith(p)]
         want = max(fits) if fits else (0, None, "allow")
@@ -162,7 +162,12 @@ def test_colliding_digests_do_not_decide(monkeypatch):
         file.write(urlfilter.build_index(URL_RULES))
         file.flush()
         index = urlfilter.Index(file)
-    assert index.judge(["q.org", "q.net"], ["/es/1", "/de/2"]) == (["org/es/", "net/de/"], ["block", "allow"])
+    assert index.judge(["q.org", "q.net"], ["/es/1", "/de/2"])[:2] == (["org/es/", "net/de/"], ["block", "allow"])
+
+
+def test_text_for_browsers_without_scripts_is_judged_by_its_place():
+    inside = "<html><body><nav><a href=a>one</a> <a href=b>two</a></nav><article><h1>A title here</h1><p>Some long enough first paragraph of the article text.</p><noscript><p>Shown to those without scripts, as part of the story.</p></noscript><p>More text follows in this last paragraph.</p></article></body></html>"
+    assert "part of the story" in htmltext.main_text(inside, htmltext.trained())
 
 
 def test_base_spans_follow_the_rules():
@@ -287,14 +292,14 @@ def test_search_block_ties_and_recall():
     x[100:160] = x[100]
     ids = np.arange(3000) * 3
     model = ann.fit(x[:1500])
-    got = ann.scan_block(model, model.encode(x), x, ids, x[:100:10], ids[:100:10], 20, 300)
+    got = ann.scan_block(model, model.encode(x), x, ids, ids, x[:100:10], ids[:100:10], 20, 300)
     hits = 0
     for q in ids[:100:10]:
         exact = (x * x[q // 3]).sum(1)
         order = [i for i in np.lexsort((ids, -exact)) if ids[i] != q][:20]
-        hits += len(set(ids[order]) & set(got[got.query_id == q].vec_id))
+        hits += len(set(ids[order]) & set(got[got["query"] == q].vec_id))
     assert hits / 200 > 0.95
-    same = ann.scan_block(model, model.encode(x), x, ids, x[100:101], ids[100:101], 20, 300)
+    same = ann.scan_block(model, model.encode(x), x, ids, ids, x[100:101], ids[100:101], 20, 300)
     assert same.vec_id.tolist() == ids[101:121].tolist() and same.score.nunique() == 1
 
 

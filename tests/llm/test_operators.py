@@ -169,6 +169,62 @@ def test_packing_keeps_targets_of_many_sources(spark):
     check_pieces([(r.doc_id, r.text) for r in docs.collect()], everyone, 256)
 
 
+def test_url_rules_in_several_files(spark):
+    rules = [*URL_RULES, ("block", "a.b.c", "/12"), ("allow", "b.c", "/1234"), ("block", "c", "/123456")]
+    pages = spark.createDataFrame([(i, f"http://{h}{p}") for i, (h, p) in enumerate((h, p) for h in ("x.example.com", "a.b.c", "b.c", "q.org", "z.net") for p in ("/en/7", "/es/", "/de/8", "/1234567", "/12"))], "page_id long, url string")
+    one, many = ({tuple(r) for r in urlfilter.judge_urls(pages, rules, most=most).collect()} for most in (1 << 30, 64))
+    assert one == many and len(urlfilter.parts_of(rules, 64)) > 2
+    assert {r[3] for r in one if r[1] == "a.b.c" and r[2] == "/1234567"} == {"a.b.c/12"}  # of three equally long rules the one with the longest host
+
+
+def test_hot_runs_without_ids_are_cut(spark):
+    docs = spark.createDataFrame([(None, BASE) for _ in range(3000)] + [(i, f"text number {i} of the rest") for i in range(300)], "doc_id long, text string")
+    size = Counter()
+    for r in sharding.shard(docs, shards=6).collect():
+        size[r.shard] += r.size
+    assert len(size) == 6 and max(size.values()) < 1.1 * sum(size.values()) / 6
+
+
+def test_equal_texts_stay_together_while_they_fit(spark):
+    docs = spark.createDataFrame([(i, f"group {i % 97} " * 9) for i in range(4000)], "doc_id long, text string")
+    where = defaultdict(set)
+    for r in sharding.shard(docs, shards=7, ranges_per_shard=4).collect():
+        where[r.text_crc32].add(r.shard)
+    assert all(len(s) == 1 for s in where.values())
+
+
+def test_search_finds_rows_that_share_an_id(spark):
+    rows = [(20, [1.0, 0.0]), (1, [0.9, 0.1]), (1, [0.1, 0.9]), (20, [0.5, 0.5])]
+    got = ann.search(spark.createDataFrame(rows, "vec_id long, embedding array<float>")).collect()
+    assert sorted((r.query_id, r.vec_id, round(r.score, 3)) for r in got) == [(20, 1, 0.1), (20, 1, 0.5), (20, 1, 0.5), (20, 1, 0.9), (20, 20, 0.5), (20, 20, 0.5)]
+
+
+def test_search_recall_at_production_depth(spark):
+    rows = {r.vec_id: np.array(r.embedding, float) for r in table(spark, "/root/testdata/sf0.1", "embeddings").collect()}
+    ids = np.array(sorted(rows))
+    x = np.array([rows[i] for i in ids])
+    got = defaultdict(set)
+    for r in ann.search(table(spark, "/root/testdata/sf0.1", "embeddings"), least_blocks=1, depth=400).collect():
+        got[r.query_id].add(r.vec_id)
+    hits = total = 0
+    for q in ids[ids % 20 == 0]:
+        score = np.where(ids == q, -np.inf, x @ rows[q])
+        hits += len(got[q] & set(ids[np.argsort(-score)[:20]].tolist()))
+        total += 20
+    assert len(ids) == 2000 and hits / total >= 0.95
+
+
+def test_toxic_recall_by_language(spark):
+    sf = "/root/testdata/sf0.1"
+    marks = {r.doc_id: r.toxic for r in table(spark, sf, "labels").collect()}
+    lang = {r.doc_id: r.lang for r in table(spark, sf, "documents").select("doc_id", "lang").collect()}
+    rows = [r for r in QUERIES["op3_toxicity"](spark, sf).collect() if r.held_out and marks.get(r.doc_id) is not None]
+    toxic = [r for r in rows if marks[r.doc_id] == 1]
+    assert np.mean([r.predicted for r in toxic]) >= 0.85
+    assert np.mean([r.predicted for r in toxic if lang[r.doc_id] != "en"]) >= 0.75
+    assert np.mean([1 - r.predicted for r in rows if marks[r.doc_id] == 0]) >= 0.99
+
+
 def test_urls(spark):
     rows = [(1, "http://A.Example.COM/en/7?x"), (2, None), (3, "no scheme/en/"), (4, "https://x.org/es/a#b"), (4, "https://x.org/es/a#b"), (5, "a://b://c/en/"), (6, "http://com?/en/")]
     pages = spark.createDataFrame([(i, u, "h") for i, u in rows], "page_id long, url string, host string")
@@ -202,7 +258,7 @@ def test_search_recall_and_bad_vectors(spark):
     assert hits / total > 0.95
     bad = [(0, [1.0, 0.0]), (20, [1.0, 0.0]), (1, None), (2, [0.0, 0.0]), (3, [float("nan"), 1.0]), (4, [None, 1.0]), (5, [float("inf"), 1.0]), (6, [1.0, 0.0]), (7, [1.0]), (None, [1.0, 1.0]), (6, [1.0, 0.0])]
     got = ann.search(spark.createDataFrame([(i, v, 0.0) for i, v in bad], "vec_id long, embedding array<float>, score double")).collect()
-    assert sorted((r.query_id, r["rank"], r.vec_id, r.score) for r in got) == [(0, 1, 6, 1.0), (0, 2, 20, 1.0), (20, 1, 0, 1.0), (20, 2, 6, 1.0)]
+    assert sorted((r.query_id, r["rank"], r.vec_id, r.score) for r in got) == [(0, 1, 6, 1.0), (0, 2, 6, 1.0), (0, 3, 20, 1.0), (20, 1, 0, 1.0), (20, 2, 6, 1.0), (20, 3, 6, 1.0)]
     assert ann.search(spark.createDataFrame([], "vec_id long, embedding array<float>")).count() == 0
 
 
