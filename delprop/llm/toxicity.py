@@ -96,24 +96,24 @@ def fit(texts: list[str], labels: np.ndarray, turns: int = 600, rate: float = 0.
     if not len(texts) or labels.min() == labels.max():
         return model
     y, n = labels.astype(float), len(texts)
-    held = [np.zeros(0, np.int64)]  # (text, slot) once each, and each text's sentences
-    sentences = np.zeros(n)
+    # texts that hold each slot, and toxic ones among them, run by run: a text lies within one run
+    sentences, times, hits = np.zeros(n), np.zeros(1 << BITS, np.int32), np.zeros(1 << BITS, np.float32)
     for first, rows, sentence, slots, _ in bags(texts):
-        held.append(np.unique((rows[sentence] + first) << BITS | slots))
+        pairs = np.unique((rows[sentence] + first) << BITS | slots)
+        slot, mark = pairs & ((1 << BITS) - 1), y[pairs >> BITS]
+        times += np.bincount(slot, minlength=1 << BITS).astype(np.int32)
+        hits += np.bincount(slot, mark, 1 << BITS).astype(np.float32)
         np.add.at(sentences, rows + first, 1)
-    pairs = np.concatenate(held)
-    slot, mark = pairs & ((1 << BITS) - 1), y[pairs >> BITS]
-    times, hits = np.bincount(slot, minlength=1 << BITS), np.bincount(slot, mark, 1 << BITS)
     base = y.mean()
     with np.errstate(invalid="ignore", divide="ignore"):
         z = (hits - times * base) / np.sqrt(times * base * (1 - base))
     known = np.flatnonzero((times >= least_documents) & (z >= least_z))
-    number = np.full(1 << BITS, -1)
+    number = np.full(1 << BITS, -1, np.int32)
     number[known] = np.arange(len(known))
-    doc_of, sent_of, word_of, offset = [], [], [], 0
+    doc_of, sent_of, word_of, offset = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], 0
     for first, rows, sentence, slots, _ in bags(texts):
         used = number[slots] >= 0
-        pair = np.unique(sentence[used] << BITS | number[slots[used]])
+        pair = np.unique(sentence[used] << BITS | number[slots[used]].astype(np.int64))
         fresh, own = np.unique(pair >> BITS, return_inverse=True)
         doc_of.append(rows[fresh] + first)
         sent_of.append(own + offset)
