@@ -135,8 +135,10 @@ def scan_block(model: Quantiser, codes: np.ndarray, vectors: np.ndarray, ids: np
 
 
 def usable(embeddings: DataFrame) -> DataFrame:
-    """(vec_id, v array<double>, number): the rows that take part, with a number of their own."""
-    v = F.col("embedding").cast("array<double>")
+    """(vec_id, v, number): the rows that take part, with a number of their own; single-precision vectors travel as they are, others as doubles."""
+    v = F.col("embedding")
+    if dict(embeddings.dtypes)["embedding"] != "array<float>":
+        v = v.cast("array<double>")
     sound = F.col("vec_id").isNotNull() & F.forall(v, lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf"))) & F.exists(v, lambda x: x != 0)
     return embeddings.select(F.col("vec_id").cast("long").alias("vec_id"), v.alias("v")).where(sound).withColumn("number", F.monotonically_increasing_id())
 
@@ -166,7 +168,7 @@ def search(embeddings: DataFrame, every: int = 20, k: int = 20, depth: int = 400
         codes = model.encode(np.array(batch.column("v").to_pylist(), float))
         return batch.append_column("code", pa.array([c.tobytes() for c in codes], pa.binary()))
 
-    coded = materialise(map_arrow(rows, encode, "vec_id long, v array<double>, number long, code binary"), "codes")
+    coded = materialise(map_arrow(rows, encode, f"vec_id long, v {dict(rows.dtypes)['v']}, number long, code binary"), "codes")
     left = coded.withColumn("c", F.pmod(mixed, F.lit(n_blocks)).cast("int")).withColumn("q", F.explode(F.sequence(F.lit(0), F.lit(n_sides - 1))))
     right = rows.where(is_query).withColumn("q", F.pmod(F.xxhash64(F.lit("q"), "number"), F.lit(n_sides)).cast("int")).withColumn("c", F.explode(F.sequence(F.lit(0), F.lit(n_blocks - 1))))
 
