@@ -63,13 +63,14 @@ cn AS (SELECT b, count(*) AS cnt FROM {source} GROUP BY b),
 gs AS MATERIALIZED (SELECT gmat.b, cnt, g, n FROM gmat JOIN crow ON gmat.b = crow.b JOIN cn ON gmat.b = cn.b)"""
 
 
-def linear(schedule: str, tau: int, parts: int | None, eta: float, lam: float, columns: int = 3, keep: str | None = None, digits: int = 6, tail: str | None = None) -> str:
-    """Linear descent on the rows that ``keep`` admits, blocks chosen before."""
+def linear(schedule: str, tau: int, parts: int | None, eta: float | str, lam: float, columns: int = 3, keep: str | None = None, digits: int = 6, tail: str | None = None) -> str:
+    """Linear descent on the rows that ``keep`` admits, blocks chosen before; ``eta`` may be an expression of the iteration ``t``."""
     m = columns + 1
+    shrink, twice = (f"(1 - ({eta}) * {lam})", f"2 * ({eta})") if isinstance(eta, str) else (1 - eta * lam, 2 * eta)
     kept = f"kept AS MATERIALIZED (SELECT * FROM bl WHERE {keep or 'true'})"
     zero = "[" + ", ".join(["0.0"] * m) + "]::DOUBLE[]"
-    step = f"""CASE WHEN cnt IS NULL THEN [{1 - eta * lam} * w[i] for i in range(1, {m + 1})]
-      ELSE [{1 - eta * lam} * w[i] - {2 * eta} / cnt * (list_dot_product(g[i], w) - n[i]) for i in range(1, {m + 1})] END"""
+    step = f"""CASE WHEN cnt IS NULL THEN [{shrink} * w[i] for i in range(1, {m + 1})]
+      ELSE [{shrink} * w[i] - {twice} / cnt * (list_dot_product(g[i], w) - n[i]) for i in range(1, {m + 1})] END"""
     final = tail or f"SELECT pos::INT AS pos, round(w[pos + 1], {digits}) + 0.0 AS value FROM it, range({m}) p(pos) WHERE t = {tau}"
     return f"""WITH RECURSIVE {small(columns, 'linear')}, {blocked(schedule, tau, parts)}, {kept}, {grams('kept', m)},
 it(t, w) AS (

@@ -19,7 +19,7 @@ from delprop.functions.linearize import table as interpolant_table
 from delprop.functions.vector import dot, unpack
 from delprop.operators import baselines, capture, gram, measures, prov, replay, schedule, sparse, spectral, train
 from delprop.plans import oracles as sql
-from delprop.plans import workloads
+from delprop.plans import maintain, planner, workloads
 from delprop.scratch import stored
 from delprop.sources import features as fx
 from delprop.sources.tables import star, table
@@ -694,6 +694,83 @@ def switch_by_gradient(spark, sf):
     return spark.createDataFrame([(spectral.switch_point(spec, None, 0.05, gradients), spectral.switch_point(spec))], "t int, by_fraction int")
 
 
+# ---- choice of method, costs -----------------------------------------------------------------
+
+#: A rate for each method that few features leave in question: fixed values.
+CHOSEN = {"spectral": RATE, "replay": 0.3, "retrain": 0.6}
+
+
+def _chosen_sql(method: str, rate: float) -> str:
+    keep = f"NOT ({sql.gone(rate)})"
+    body = _spectral_sql(keep) if method == "spectral" else sql.linear("full", _SPECTRAL_TAU, None, ETA, LAM, columns=1, keep=keep)
+    return f"SELECT {rate}::DOUBLE AS rate, '{method}' AS method, pos, value FROM ({body})"
+
+
+@query("update_chosen", " UNION ALL ".join(_chosen_sql(m, r) for m, r in CHOSEN.items()))
+def update_chosen(spark, sf):
+    """One maintained model under three removals; the planner names the method of each by their size."""
+    rows, spec = samples(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=_SPECTRAL_TAU)
+    kept, out = maintain.maintain(rows, spec), []
+    for rate in CHOSEN.values():
+        got = maintain.update(kept, rows, fx.removals_at(rows, rate))
+        out += [(rate, got.method, i, round(float(v), 6) + 0.0) for i, v in enumerate(got.w)]
+    return spark.createDataFrame(out, "rate double, method string, pos int, value double")
+
+
+_COST = {
+    "retrain": ("30 * (b - db) * 4", "0", "0"),
+    "replay": ("30 * (db * 4 + 16)", "blocks * b * 16", "8 * blocks * 16"),
+    "replay_lowrank": ("30 * (16 + db * 4)", "blocks * 4 * b * 4", "16 * blocks * 16"),
+    "spectral": ("4 * 16 + 30 * 4", "n * 16 + 64", "8 * 16"),
+    "influence": ("removed * 4 + 16", "n * 16 + 64", "8 * 16"),
+    "normal_eq": ("4 * 16 + 64", "n * 16", "8 * 16"),
+}
+
+
+@query(
+    "method_costs",
+    f"WITH {sql.small()}, c AS (SELECT count(*)::DOUBLE AS n, count(*) FILTER (WHERE {sql.gone(RATE)})::DOUBLE AS removed, ceil(count(*) / {LINEAR_PARTS}.0) AS b FROM fx), s AS (SELECT *, removed * b / n AS db, least(30, ceil(n / b)) AS blocks, 30 * b / n AS passes FROM c) "
+    + " UNION ALL ".join(f"SELECT '{m}' AS method, round({on}, 3)::DOUBLE AS online, ({off})::DOUBLE AS offline, ({held})::DOUBLE AS bytes, round(passes, 6) AS passes FROM s" for m, (on, off, held) in _COST.items()),
+)
+def method_costs(spark, sf):
+    """Operations before and after the removal is known, provenance bytes, and passes of training over the rows."""
+    rows = samples(spark, sf)
+    n, spec = rows.count(), sized(rows, LINEAR)
+    costs = planner.cost(planner.Stats(n, spec.m, spec.batch_size, spec.tau, fx.removals_at(rows, RATE).count()))
+    out = [(m, round(float(c["online"]), 3), float(c["offline"]), float(c["bytes"]), round(measures.passes(spec, n), 6)) for m, c in costs.items()]
+    return spark.createDataFrame(out, "method string, online double, offline double, bytes double, passes double")
+
+
+@query("step_bound", f"WITH {sql.small(1)}, s AS (SELECT count(*) AS n, sum(x[1] * x[1]) AS a, sum(x[1] * x[2]) AS b, sum(x[2] * x[2]) AS d FROM fx), e AS (SELECT n, (a + d) / 2 + sqrt(((a - d) / 2) ** 2 + b * b) AS top FROM s) SELECT k AS kind, round(1 / (f * top / n + {LAM}), 6) AS largest_rate FROM e, (VALUES ('linear', 2.0::DOUBLE), ('binary', 0.25), ('softmax', 0.5)) v(k, f)")
+def step_bound(spark, sf):
+    """The largest admissible learning rate of each family, from the top eigenvalue of X'X."""
+    eigen = spectral.fit_eigen(samples(spark, sf, 1), ModelSpec("linear", 2, lam=LAM, eta=ETA, tau=1))
+    top = float(-eigen.c.min() / 2)
+    return spark.createDataFrame([(k, round(planner.step_bound(top, eigen.n, k, LAM), 6)) for k in ("linear", "binary", "softmax")], "kind string, largest_rate double")
+
+
+@query("train_rates_linear", sql.linear("cyclic", 30, 10, "0.05 / (1 + it.t * 0.1)", LAM))
+def train_rates_linear(spark, sf):
+    """A learning rate for each iteration."""
+    rows = samples(spark, sf)
+    return long(spark, train.train(rows, sized(rows, LINEAR.with_(eta=tuple(0.05 / (1 + t * 0.1) for t in range(30))))).w)
+
+
+@query("replay_rates_linear", sql.linear("cyclic", 30, 10, "0.05 / (1 + it.t * 0.1)", LAM, keep=_KEEP))
+def replay_rates_linear(spark, sf):
+    rows = samples(spark, sf)
+    spec = sized(rows, LINEAR.with_(eta=tuple(0.05 / (1 + t * 0.1) for t in range(30))))
+    return long(spark, replay.replay(capture.capture_linear(rows, spec), rows, fx.removals_at(rows, RATE)))
+
+
+@query("train_warm_linear", sql.linear("full", 40, None, ETA, LAM))
+def train_warm_linear(spark, sf):
+    """Fifteen iterations, then twenty-five more from the parameters they gave."""
+    rows = samples(spark, sf)
+    first = train.train(rows, LINEAR.with_(tau=15)).w
+    return long(spark, train.train(rows, LINEAR.with_(tau=25, w0=tuple(float(v) for v in first))).w)
+
+
 # ---- baselines ------------------------------------------------------------------------------
 
 _CRAMER = f"""WITH {sql.small(1)}, s AS (
@@ -957,6 +1034,12 @@ def annotated_eval(spark, sf):
     return prov.evaluate(prov.delete_by_join(prov.decompose(_nations(spark, sf)), tokens))
 
 
+@query("contributions", "SELECT 'p' || n_nationkey || '^2' AS monomial, sqrt(((n_nationkey + 1) ** 2 + (n_nationkey % 4) ** 2) ** 2) AS size FROM nation")
+def contributions(spark, sf):
+    """Length of each token's part of the annotated X'X."""
+    return prov.contributions(prov.gram(prov.decompose(_nations(spark, sf))))
+
+
 # ---- joins, sets, windows and functions that users of the methods need ----------------------
 
 _RM1, _RM2 = sql.gone(0.02, "one"), sql.gone(0.02, "two")
@@ -1127,6 +1210,12 @@ def rate_sweep(spark, sf):
     return workloads.speed_ups(workloads.run(spark, sf, "sgemm_original", repeat=3))
 
 
+@query("parameter_effects")
+def parameter_effects(spark, sf):
+    """Speed-ups under a larger batch, more iterations and more features, each pair from runs with all else equal."""
+    return workloads.effects(spark, sf, {n: workloads.scaled(n, **SCALES[n]) for n in workloads.EFFECT_SETS})
+
+
 # ---- streams --------------------------------------------------------------------------------
 
 
