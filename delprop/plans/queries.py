@@ -1213,7 +1213,7 @@ def rate_sweep(spark, sf):
 @query("parameter_effects")
 def parameter_effects(spark, sf):
     """Speed-ups under a larger batch, more iterations and more features, each pair from runs with all else equal."""
-    return workloads.effects(spark, sf, {n: workloads.scaled(n, **SCALES[n]) for n in workloads.EFFECT_SETS})
+    return workloads.effects(spark, sf, workloads.SMALL_EFFECTS, workloads.SMALL_SETS, repeat=3)
 
 
 # ---- streams --------------------------------------------------------------------------------

@@ -215,18 +215,21 @@ def speed_ups(results: DataFrame) -> DataFrame:
     return results.where("method not in ('retrain', 'stale')").join(base, ["workload", "rate"]).select("workload", "rate", "method", F.try_divide("slow", "seconds").alias("speed_up"))
 
 
-#: Pairs that differ in one parameter mostly: fixed values.
+#: Published pairs that differ in one parameter mostly: fixed values.
 EFFECTS = {"batch": ("covtype_small", "covtype_large_1"), "iterations": ("covtype_large_1", "covtype_large_2"), "features": ("sgemm_original", "sgemm_extended")}
-EFFECT_SETS = tuple(dict.fromkeys(n for pair in EFFECTS.values() for n in pair))
+#: The same three effects on one small set, for a small machine.
+SMALL_EFFECTS = {"batch": ("sgemm_original", "sgemm_batch"), "iterations": ("sgemm_iterations", "sgemm_original"), "features": ("sgemm_original", "sgemm_features")}
+_BASE = WORKLOADS["sgemm_original"]
+SMALL_SETS = {"sgemm_original": _BASE, "sgemm_batch": replace(_BASE, batch=2000), "sgemm_iterations": replace(_BASE, tau=200), "sgemm_features": replace(_BASE, m=50, extra=32)}
 
 
-def effects(spark: SparkSession, folder: str, sets: dict[str, Workload] | None = None, rate: float = 0.001, repeat: int = 5) -> DataFrame:
+def effects(spark: SparkSession, folder: str, pairs: dict[str, tuple[str, str]] | None = None, sets: dict[str, Workload] | None = None, rate: float = 0.001, repeat: int = 5) -> DataFrame:
     """(effect, workload, batch, iterations, features, method, speed_up): how the speed-up over retraining moves with each parameter; every set runs once."""
-    sets = sets or {n: WORKLOADS[n] for n in EFFECT_SETS}
-    out = []
-    for name, w in sets.items():
+    pairs, sets, out = pairs or EFFECTS, sets or WORKLOADS, []
+    for name in dict.fromkeys(n for pair in pairs.values() for n in pair):
+        w = sets[name]
         got = speed_ups(run(spark, folder, name, (rate,), ("replay", "spectral"), repeat=repeat, workload=w)).collect()
-        out += [(e, name, w.batch, w.tau, w.m, r.method, r.speed_up) for e, pair in EFFECTS.items() if name in pair for r in got]
+        out += [(e, name, w.batch, w.tau, w.m, r.method, r.speed_up) for e, pair in pairs.items() if name in pair for r in got]
     return spark.createDataFrame(out, "effect string, workload string, batch int, iterations int, features int, method string, speed_up double")
 
 

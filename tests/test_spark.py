@@ -14,7 +14,8 @@ from pyspark.sql import functions as F
 import __spark_entry__ as entry
 from delprop.functions.vector import unpack
 from delprop.operators import capture, prov, replay, sparse, spectral, train
-from delprop.plans import queries, workloads
+from delprop.plans import maintain, queries, workloads
+from delprop.scratch import stored
 from delprop.sources import features as fx
 from delprop.sources import tables
 from delprop.spec import ModelSpec
@@ -28,7 +29,7 @@ def canonical(frame):
     return columns, sorted(rows, key=str)
 
 
-@pytest.mark.parametrize("name", ["hash_uniform", "features_28", "gram_cube", "train_reshuffle_linear", "replay_linear", "replay_linear_composed", "replay_binary", "spectral_linear", "influence_multi", "poly_mul", "compare_models", "replay_softmax", "replay_sparse", "spectral_binary", "spectral_linear_many", "replay_linear_truncated"])
+@pytest.mark.parametrize("name", ["hash_uniform", "features_28", "gram_cube", "train_reshuffle_linear", "replay_linear", "replay_linear_composed", "replay_binary", "spectral_linear", "influence_multi", "poly_mul", "compare_models", "replay_softmax", "replay_sparse", "spectral_binary", "spectral_linear_many", "replay_linear_truncated", "update_chosen", "method_costs", "train_rates_linear"])
 def test_query_equals_sql(spark, sf, name):
     con = duckdb.connect()
     for file in os.listdir(sf):
@@ -256,3 +257,27 @@ def test_library_imports_without_the_optional_subpackage():
             if f.endswith(".py") and os.sep + "llm" not in folder:
                 with open(os.path.join(folder, f)) as source:
                     assert not re.search(r"delprop\.llm|from \.+llm", source.read())
+
+
+def test_maintained_models_take_the_planners_method(spark, sf):
+    """Binary, softmax and sparse models: the chosen method's result is near retraining; unknown ids change nothing."""
+    for kind, q, bound in (("binary", 1, 1e-3), ("softmax", 3, 1e-2)):
+        rows = stored(fx.small(spark, sf, 2, kind, q), "test-samples")
+        spec = ModelSpec(kind, 3, q, lam=0.1, eta=0.1, tau=20)
+        kept, gone = maintain.maintain(rows, spec), fx.removals_at(rows, 0.02)
+        got = maintain.update(kept, rows, gone)
+        assert got.method == "spectral" and got.removed == gone.count()
+        assert np.abs(got.w - train.retrain(rows, gone, spec).w).max() < bound
+        none = maintain.update(kept, rows, spark.createDataFrame([(-1,)], "sample_id bigint"))
+        assert none.removed == 0 and np.abs(none.w - kept.w).max() < bound
+        heavy = fx.removals_at(rows, 0.6)
+        assert np.allclose(maintain.update(kept, rows, heavy).w, train.retrain(rows, heavy, spec).w, atol=5e-2)
+
+
+def test_maintained_sparse_model_replays_its_rows(spark, sf):
+    rows = stored(fx.hashed_words(spark, sf), "test-samples")
+    spec = ModelSpec("binary", 47236, lam=0.5, eta=0.1, tau=10)
+    kept, gone = maintain.maintain(rows, spec), fx.removals_at(rows, 0.05)
+    got = maintain.update(kept, rows, gone)
+    assert got.method == "replay_sparse" and kept.nonzeros > 0
+    assert np.abs(got.w - sparse.retrain(rows, gone, spec, kept.n)).max() < 1e-3
