@@ -293,3 +293,11 @@ def test_pipeline_stages_on_the_small_tables(spark, sf):
         assert seen.count() > 0.5 * docs.count()
     pieces = corpus_pipeline.STAGES[-1][1](spark, seen, sf).collect()
     check_pieces([(r.doc_id, r.text) for r in seen.collect()], pieces)
+
+
+def test_search_gives_the_same_for_single_and_double_precision(spark):
+    rows = [(i, [float(np.float32(np.sin(i * (j + 1)))) for j in range(4)]) for i in range(60)] + [(60, None), (61, [0.0] * 4), (62, [float("nan"), 1.0, 1.0, 1.0])]
+    single = spark.createDataFrame(rows, "vec_id long, embedding array<float>")
+    double = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    found = [sorted(map(tuple, ann.search(t, k=5, least_blocks=2).collect())) for t in (single, double)]
+    assert found[0] == found[1] and {r[0] for r in found[0]} == {20, 40} and len(found[0]) == 2 * 5  # the vector of id 0 is zero
