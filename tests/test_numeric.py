@@ -185,3 +185,19 @@ def test_spec_rejects_what_the_methods_cannot_do():
         ModelSpec("linear", 3, schedule="cyclic")
     with pytest.raises(ValueError):
         ModelSpec("softmax", 3)
+
+
+def test_rank_update_of_more_removed_rows_than_features():
+    """The inner system has the rank of the removed rows: 60,000 of them would else ask for a square matrix of 29 GB."""
+    from delprop.operators import baselines
+
+    draw = np.random.default_rng(3)
+    x = draw.normal(size=(100_000, 3))
+    y = x @ [1.0, -2.0, 0.5] + draw.normal(size=len(x))
+    sums, gone = (x.T @ x, x.T @ y, len(y)), (x[:60_000], y[:60_000])
+    truth = baselines.normal_eq(sums, gone, 0.1)
+    assert np.allclose(baselines.normal_eq(sums, gone, 0.1, "woodbury"), truth)
+    own = (gone[0].T @ gone[0], gone[0].T @ gone[1], 60_000)
+    assert np.allclose(baselines.normal_eq_rank(sums, own, 0.1), truth)
+    none = (np.zeros((3, 3)), np.zeros(3), 0)
+    assert np.allclose(baselines.normal_eq_rank(sums, none, 0.1), baselines.normal_eq_sums(sums, none, 0.1))
