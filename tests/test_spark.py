@@ -281,3 +281,12 @@ def test_maintained_sparse_model_replays_its_rows(spark, sf):
     got = maintain.update(kept, rows, gone)
     assert got.method == "replay_sparse" and kept.nonzeros > 0
     assert np.abs(got.w - sparse.retrain(rows, gone, spec, kept.n)).max() < 1e-3
+
+
+@pytest.mark.parametrize("name", ["interval_schedule", "interp_table"])
+def test_query_reads_a_given_table_and_equals_sql(spark, sf, name):
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW lineitem AS SELECT * FROM read_parquet('{sf}/lineitem.parquet')")
+    got = entry.queries()[name](spark, sf)
+    assert got.agg(F.sum("cnt")).first()[0] >= 6000
+    assert canonical(got.toPandas()) == canonical(con.execute(entry.oracle_sql()[name]).df())
