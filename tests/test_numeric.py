@@ -201,3 +201,12 @@ def test_rank_update_of_more_removed_rows_than_features():
     assert np.allclose(baselines.normal_eq_rank(sums, own, 0.1), truth)
     none = (np.zeros((3, 3)), np.zeros(3), 0)
     assert np.allclose(baselines.normal_eq_rank(sums, none, 0.1), baselines.normal_eq_sums(sums, none, 0.1))
+
+
+def test_hash_of_vectors_is_the_portable_hash():
+    from delprop.functions.hashing import uniform_of
+    from delprop.functions.manyhash import uniforms
+
+    ids, salts = [0, 7, 10, 99, 12345, 10**9, 2**60 - 1, 2**60 + 3, 10**18, 2**63 - 1, *range(1000, 1050)], ["a", "rm", "batch", "gumbel6", "x1499", "s" * 34]
+    assert (uniforms(np.array(ids), salts) == [[uniform_of(i, s) for s in salts] for i in ids]).all()
+    assert uniforms(np.array([-3]), ["a"])[0, 0] == uniform_of(-3, "a") and uniforms(np.array([], int), salts).shape == (0, 6)
