@@ -9,7 +9,7 @@ from delprop.operators.capture import piece_sums
 from delprop.plans import mapped, workloads
 from delprop.scratch import stored
 from delprop.sources import features as fx
-from delprop.sources import tall
+from delprop.sources import tables, tall
 from delprop.sources.tables import table
 from delprop.spec import ModelSpec
 
@@ -100,3 +100,24 @@ def test_rows_stay_in_mapped_files(spark, sf):
     assert all(x.nbytes <= mapped.PART_BYTES for x, _ in local.removed(1))
     assert sum(len(y) for _, y in local.removed(1)) == fx.removals_at(workloads.samples(spark, sf, "sgemm_original", w).where("not is_valid"), 0.2).count()
     local.close()
+
+
+@pytest.mark.parametrize("rows", [tables.BROADCAST_ROWS, 0])
+def test_lines_are_dealt_out_once(spark, sf, monkeypatch, rows):
+    """The stored set's joins shuffle lines by order only; with more parts and suppliers than may be sent, by their keys as well.  The rows are those of the plain star."""
+    monkeypatch.setattr(tables, "BROADCAST_ROWS", rows)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        got = tables.lean_star(spark, sf).select(fx.line_id().alias("sample_id"), *fx.fifty_four_columns())
+        plan = got._jdf.queryExecution().executedPlan().toString()
+        assert plan.count("Exchange hashpartitioning(") == (4 if rows else 8)
+        want = tables.star(spark, sf).select(fx.line_id().alias("sample_id"), *fx.fifty_four_columns())
+        assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+
+
+def test_stored_sets_use_the_lean_star(spark, sf, monkeypatch):
+    monkeypatch.setattr(tall, "lean_star", lambda *a: (_ for _ in ()).throw(KeyError("lean")), raising=True)
+    with pytest.raises(KeyError, match="lean"):
+        tall.tall(spark, sf, "sgemm", "linear", 18)
