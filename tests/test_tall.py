@@ -121,3 +121,13 @@ def test_stored_sets_use_the_lean_star(spark, sf, monkeypatch):
     monkeypatch.setattr(tall, "lean_star", lambda *a: (_ for _ in ()).throw(KeyError("lean")), raising=True)
     with pytest.raises(KeyError, match="lean"):
         tall.tall(spark, sf, "sgemm", "linear", 18)
+
+
+def test_shuffle_files_and_heap_are_given_back(spark, sf, monkeypatch):
+    """After the set is stored, while rows arrive, when they have, and after each rate."""
+    calls, kept = [], mapped.settled
+    for module in (tall, mapped, workloads):
+        monkeypatch.setattr(module, "settled", lambda s, at=module.__name__: (calls.append(at.split(".")[-1]), kept(s)))
+    monkeypatch.setattr(mapped, "SETTLE_BYTES", 1000)
+    rows = workloads.run(spark, sf, "sgemm_original", (0.1, 0.2), ("replay", "stale"), repeat=1, workload=workloads.scaled("sgemm_original", 0.01)).collect()
+    assert len(rows) == 6 and calls[0] == "tall" and calls.count("mapped") > 1 and calls[-2:] == ["workloads"] * 2
