@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from delprop.operators import capture, spectral, train
+from delprop.operators import capture, replay, spectral, train
 from delprop.operators.capture import piece_sums
 from delprop.plans import mapped, workloads
 from delprop.scratch import stored
@@ -131,3 +131,33 @@ def test_shuffle_files_and_heap_are_given_back(spark, sf, monkeypatch):
     monkeypatch.setattr(mapped, "SETTLE_BYTES", 1000)
     rows = workloads.run(spark, sf, "sgemm_original", (0.1, 0.2), ("replay", "stale"), repeat=1, workload=workloads.scaled("sgemm_original", 0.01)).collect()
     assert len(rows) == 6 and calls[0] == "tall" and calls.count("mapped") > 1 and calls[-2:] == ["workloads"] * 2
+
+
+@pytest.mark.parametrize("kind,tau", [("softmax", 3), ("softmax", 9), ("linear", 3)])
+def test_batches_are_factored_in_one_task_each(spark, sf, kind, tau):
+    """The sums of :func:`capture.capture_factors`, without partial factors that meet in rounds; iterations may come back to a batch."""
+    spec = ModelSpec(kind, 4, q=3 if kind == "softmax" else 1, eta=0.05, tau=tau, batch_size=1000, schedule="cyclic")
+    rows = stored(fx.small(spark, sf, 3, kind, 3), "test-batches")
+    n = rows.count()
+    path = train.train(rows, spec, n, keep_trajectory=True).trajectory
+    own = capture.capture_batches(rows, spec, n, path, eps=1e-12)
+    plan = own.factors._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange") == 1 and plan.count("FlatMapGroupsInArrow") == 1
+    got, want = (replay.load_sums(c) for c in (own, capture.capture_factors(rows, spec, n, path, eps=1e-12)))
+    w = np.random.default_rng(2).normal(size=spec.size)
+    assert set(got) == set(want) and len(got) == min(tau, spec.blocks(n) if kind == "linear" else tau)
+    for t, (count, apply, cross) in want.items():
+        assert got[t][0] == count and np.allclose(got[t][2], cross) and np.allclose(got[t][1](w), apply(w))
+
+
+def test_few_files_are_dealt_to_all_cores(spark):
+    """Wide sums of a set in one file do not run in one task."""
+    seen = tall.Tall(stored(spark.range(64).select(F.array("id").alias("ids"), F.array(F.lit(0.0)).alias("vals"), F.array(F.lit(0.0)).alias("labels"), F.array(F.lit(False)).alias("valid")).coalesce(1), "test-few"), "windows", "linear", 1)
+
+    def partial(ids, valid, take):
+        from pyspark import TaskContext
+
+        yield TaskContext.get().partitionId(), len(ids), np.zeros(60_000)
+
+    got = seen.sums(partial, 60_000).select("block_id", "cnt").collect()
+    assert len(got) > 1 and sum(r.cnt for r in got) == 64
