@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from delprop.operators import capture, replay, spectral, train
+from delprop.operators import capture, replay, schedule, spectral, train
 from delprop.operators.capture import piece_sums
 from delprop.plans import mapped, workloads
 from delprop.scratch import stored
@@ -133,6 +133,20 @@ def test_shuffle_files_and_heap_are_given_back(spark, sf, monkeypatch):
     assert len(rows) == 6 and calls[0] == "tall" and calls.count("mapped") > 1 and calls[-2:] == ["workloads"] * 2
 
 
+def test_picked_rows_are_packed_once(spark, sf, monkeypatch):
+    """What comes to the driver is read from the table that the pass over all rows wrote; no other is made."""
+    labels, kept = [], mapped.stored
+    monkeypatch.setattr(mapped, "stored", lambda df, label, **b: (labels.append(label), kept(df, label, **b))[1])
+    w = workloads.scaled("covtype_small", 0.001)
+    spec, held = workloads.spec_of(w), tall.tall(spark, sf, "covtype", w.kind, w.m, w.q)
+    n = held.count()
+    picked = mapped.pick(held, spec, n, [0.1])
+    local = mapped.Mapped(picked, spec.m, 1)
+    assert labels == ["picked"] and dict(picked.dtypes)["d"] == "binary"
+    assert local.removed_count(0) > 0 and len(local.y) > 0
+    local.close()
+
+
 @pytest.mark.parametrize("kind,tau", [("softmax", 3), ("softmax", 9), ("linear", 3)])
 def test_batches_are_factored_in_one_task_each(spark, sf, kind, tau):
     """The sums of :func:`capture.capture_factors`, without partial factors that meet in rounds; iterations may come back to a batch."""
