@@ -133,6 +133,19 @@ def test_shuffle_files_and_heap_are_given_back(spark, sf, monkeypatch):
     assert len(rows) == 6 and calls[0] == "tall" and calls.count("mapped") > 1 and calls[-2:] == ["workloads"] * 2
 
 
+def test_sets_are_stored_in_chunks(spark, sf):
+    """Spark moves a row for thousands of samples, and what is squeezed comes back bit by bit."""
+    held = tall.tall(spark, sf, "covtype", "softmax", 54, 7)
+    n = table(spark, sf, "lineitem").count()
+    rows = held.frame.collect()
+    assert len(rows) <= 12 and sum(len(r.body) for r in rows) < 80 * n
+    draw = np.random.default_rng(3)
+    for values in (draw.integers(0, 2, 3000) * 1.0, draw.integers(0, 50, 3000) / 7, draw.normal(size=3000), np.array([0.0, -0.0, 1.0, np.nan]), np.array([-1.0, 1.0])):
+        own = draw.permutation(len(values))[: len(values) // 2]
+        assert tall._plain(tall.squeezed(values), own).astype(float).tobytes() == values[own].tobytes()
+    assert [tall.squeezed(v).nbytes for v in (np.ones(4096), np.arange(4096) % 50 / 7)] == [512, 4096 + 50 * 8]
+
+
 def test_picked_rows_are_packed_once(spark, sf, monkeypatch):
     """What comes to the driver is read from the table that the pass over all rows wrote; no other is made."""
     labels, kept = [], mapped.stored
