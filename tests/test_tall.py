@@ -160,6 +160,19 @@ def test_picked_rows_are_packed_once(spark, sf, monkeypatch):
     local.close()
 
 
+@pytest.mark.parametrize("factor", [1.0, 10.0])
+def test_touched_rows_are_those_in_memory(spark, sf, factor):
+    """Rows that some iteration touches, from the packed table and from the samples; removed ones with their error."""
+    w = workloads.scaled("covtype_large_1", 0.02, batch=400)
+    spec, held = workloads.spec_of(w), tall.tall(spark, sf, "covtype", w.kind, w.m, w.q)
+    n = held.count()
+    got = {r.sample_id: r for r in mapped.touched(mapped.pick(held, spec, n, [0.1, 0.3]), spec.m, 0, factor).collect()}
+    rows = workloads.samples(spark, sf, "covtype_large_1", w).where("not is_valid")
+    want = {r.sample_id: r for r in schedule.assign(fx.dirty(rows, 0.1, "rescale", factor), spec, n).collect()}
+    assert set(got) == set(want) and any(r.dirty for r in want.values())
+    assert all(got[i].block_id == r.block_id and got[i].label == r.label and np.allclose(got[i].features, r.features, rtol=1e-15) for i, r in want.items())
+
+
 @pytest.mark.parametrize("kind,tau", [("softmax", 3), ("softmax", 9), ("linear", 3)])
 def test_batches_are_factored_in_one_task_each(spark, sf, kind, tau):
     """The sums of :func:`capture.capture_factors`, without partial factors that meet in rounds; iterations may come back to a batch."""
