@@ -212,3 +212,30 @@ def test_places_and_teachers_are_made_once():
     a = np.random.default_rng(4).normal(size=(6, 6))
     a = np.asfortranarray(a + a.T)
     assert np.array_equal(vector.pack(a), a[np.triu_indices(6)]) and np.array_equal(vector.unpack(vector.pack(a), 6), a)
+
+
+def test_the_joins_shuffle_files_go_with_the_set_stored(spark, sf):
+    """They are as large as the set, and what follows needs the disk."""
+    import time
+
+    def files():
+        found = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+        return {found.apply(i).getName() for i in range(found.size()) if found.apply(i).getName().startswith("shuffle_")}
+
+    before = files()
+    held = tall.tall(spark, sf, "sgemm", "linear", 48, extra=30)
+    for _ in range(20):
+        if not files() - before:
+            break
+        time.sleep(0.5)
+    assert not files() - before and held.count() > 0
+
+
+def test_garbage_is_collected_twice(spark, monkeypatch):
+    """At size, shuffle files outlived a single collection until the next one, after the touched rows had come."""
+    from delprop import scratch
+
+    calls, kept = [], scratch.gc.collect
+    monkeypatch.setattr(scratch.gc, "collect", lambda: (calls.append(1), kept())[1])
+    scratch.settled(spark)
+    assert len(calls) == 2
