@@ -4,6 +4,9 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from delprop.functions import manyhash
+from delprop.functions.hashing import uniform_of
+from delprop.functions.sliding import fast_length
 from delprop.operators import capture, replay, schedule, spectral, train
 from delprop.operators.capture import piece_sums
 from delprop.plans import mapped, workloads
@@ -239,3 +242,39 @@ def test_garbage_is_collected_twice(spark, monkeypatch):
     monkeypatch.setattr(scratch.gc, "collect", lambda: (calls.append(1), kept())[1])
     scratch.settled(spark)
     assert len(calls) == 2
+
+
+def test_window_sums_equal_the_sums_of_rows():
+    """Stretches of unlike lengths, one without a row that counts."""
+    draw = np.random.default_rng(2)
+    spec, w = ModelSpec("softmax", 11, q=4), draw.normal(size=44) / 3
+    stretches = [(draw.normal(size=k + 10), draw.integers(0, 4, k).astype(float), draw.random(k) < share) for k, share in ((60, 0.9), (1, 1.0), (37, 0.5), (20, 0.0))]
+    rows = [(np.lib.stride_tricks.sliding_window_view(v, 11)[own], y[own]) for v, y, own in stretches]
+    c, d = piece_sums(np.concatenate([x for x, _ in rows]), np.concatenate([y for _, y in rows]), w, spec, {})
+    n, got_c, got_d = capture.window_sums(stretches, w, spec)
+    assert n == sum(len(y) for _, y in rows) and np.allclose(got_c, c, rtol=0, atol=1e-12) and np.allclose(got_d, d, rtol=0, atol=1e-12)
+    assert all(fast_length(k) == next(n for n in range(k, 4 * k) if n in _smooth()) for k in range(1, 300))
+
+
+def _smooth():
+    return {2**a * 3**b * 5**c for a in range(11) for b in range(7) for c in range(5)}
+
+
+def test_the_tail_of_windows_is_that_of_their_rows(spark, tmp_path):
+    events = spark.range(1500).select(F.col("id").alias("event_id"), (F.lit("2024-01-01").cast("timestamp") + F.make_interval(secs=F.col("id"))).alias("ts"), (F.col("id") * 37 % 97 * 1.0).alias("value"))
+    events.write.parquet(f"{tmp_path}/events.parquet")
+    w = workloads.scaled("heartbeat_extended", 0.00025, copies=2)
+    spec = workloads.spec_of(w)
+    held = tall.tall(spark, str(tmp_path), "heartbeat", w.kind, w.m, w.q, 0, w.copies)
+    at = np.random.default_rng(3).normal(size=spec.size) / 50
+    got, want = workloads._tail(held, at, spec).first(), workloads._weighted(held, spec, lambda x, y: piece_sums(x, y, at, spec, {}), None).first()
+    assert got.cnt == want.cnt == held.count() > 2000
+    assert np.allclose(got.gram, want.gram, rtol=0, atol=1e-9) and np.allclose(got.cross, want.cross, rtol=0, atol=1e-9)
+
+
+def test_ids_of_all_lengths_are_hashed_at_once(monkeypatch):
+    ids, calls = np.r_[0, 10 ** np.arange(19), 10 ** np.arange(1, 19) - 1, 2**63 - 1], []
+    first = manyhash._first_word
+    monkeypatch.setattr(manyhash, "_first_word", lambda words, n: calls.append(n) or first(words, n))
+    assert manyhash.uniforms(ids, ["rm", "gumbel0"]).tolist() == [[uniform_of(int(i), s) for s in ("rm", "gumbel0")] for i in ids]
+    assert calls == [2 * len(ids)] and manyhash.uniforms(ids[:0], ["rm"]).shape == (0, 1)
