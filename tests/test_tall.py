@@ -120,6 +120,19 @@ def test_lines_are_dealt_out_once(spark, sf, monkeypatch, rows):
         spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
 
 
+def test_parts_are_sent_without_strings(spark, sf, monkeypatch):
+    """Brands and types come to the lines as codes, also those of no known name."""
+    plans, kept = [], tall.stored
+    monkeypatch.setattr(tall, "stored", lambda df, *a, **o: (plans.append(df._jdf.queryExecution().optimizedPlan().toString()), kept(df, *a, **o))[1])
+    tall.tall(spark, sf, "covtype", "softmax", 54, 7)
+    lines = [line for line in plans[0].splitlines() if "Project [" in line and "p_type" in line]
+    assert lines and all("AS type_no" in line and "AS brand_no" in line for line in lines)
+    rows = spark.createDataFrame([("Brand#7", "PROMO X"), ("Brand#25", "SMALL"), ("Brand#1", "other"), (None, None)], "p_brand string, p_type string").withColumns(fx.part_codes())
+    names = [f"c{i}" for i in range(31)]
+    plain, coded = (rows.select(*[c.alias(n) for c, n in zip(columns[10:41], names, strict=True)]).collect() for columns in (fx.fifty_four_columns(), fx.fifty_four_columns(coded=True)))
+    assert plain == coded and sum(map(sum, plain)) == 5
+
+
 def test_stored_sets_use_the_lean_star(spark, sf, monkeypatch):
     monkeypatch.setattr(tall, "lean_star", lambda *a: (_ for _ in ()).throw(KeyError("lean")), raising=True)
     with pytest.raises(KeyError, match="lean"):
