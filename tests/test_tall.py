@@ -1,5 +1,7 @@
 """Sets of any number of rows: the same samples, sums and workload results as from rows that are held at once."""
 
+from dataclasses import replace
+
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
@@ -291,3 +293,47 @@ def test_ids_of_all_lengths_are_hashed_at_once(monkeypatch):
     monkeypatch.setattr(manyhash, "_first_word", lambda words, n: calls.append(n) or first(words, n))
     assert manyhash.uniforms(ids, ["rm", "gumbel0"]).tolist() == [[uniform_of(int(i), s) for s in ("rm", "gumbel0")] for i in ids]
     assert calls == [2 * len(ids)] and manyhash.uniforms(ids[:0], ["rm"]).shape == (0, 1)
+
+
+@pytest.mark.parametrize("name", ["covtype_large_1"])
+def test_registered_workloads_are_the_published_ones(monkeypatch, name):
+    """No fewer iterations, columns, copies or rows a batch."""
+    from delprop.plans import queries
+
+    ran = []
+    monkeypatch.setattr(workloads, "run", lambda spark, folder, called, **how: ran.append((called, how["workload"])))
+    queries.QUERIES[f"workload_{name}"](None, "")
+    assert ran == [(name, workloads.WORKLOADS[name])]
+
+
+@pytest.mark.parametrize("name,scale", [("covtype_large_1", {"tau_scale": 0.06, "batch": 300}), ("sgemm_extended", {"tau_scale": 0.015, "width": 218})])
+def test_windows_of_iterations_give_the_run_that_holds_all(spark, sf, monkeypatch, name, scale):
+    """Factors are made, replayed and deleted some iterations at a time, over several passes of the batches; influence serves any number of columns."""
+    w = workloads.scaled(name, **scale)
+    w = w if w.kind == "softmax" else replace(w, batch=300)
+    held, kept = [], replay.load_sums
+    monkeypatch.setattr(replay, "load_sums", lambda c, *a: (held.append(kept(c, *a)), held[-1])[1])
+
+    def results(size):
+        monkeypatch.setattr(workloads, "WINDOW_BYTES", size)
+        held.clear()
+        rows = workloads.run(spark, sf, name, (0.1,), repeat=2, workload=w).collect()
+        return {r.method: r for r in rows}, len(held), max(workloads._array_bytes(s) for s in held)
+
+    (whole, once, most), (got, many, least) = results(1 << 40), results(400_000)
+    assert once == 1 and many > 3 and least < most / 2
+    assert set(got) == set(whole) >= {"retrain", "spectral", "influence", "stale"}
+    for method, r in whole.items():
+        assert got[method].distance == pytest.approx(r.distance, rel=1e-6, abs=1e-9) and got[method].bytes == r.bytes
+
+
+def test_few_rows_and_bound_classes_are_factored_small():
+    """The eigenpairs of the whole C, from a matrix of the batch's rows or without the direction that all classes share."""
+    draw = np.random.default_rng(5)
+    for spec, x in ((ModelSpec("linear", 40), draw.normal(size=(15, 40))), (ModelSpec("softmax", 6, q=4), draw.normal(size=(50, 6)))):
+        y, w = draw.integers(0, 4, len(x)).astype(float), draw.normal(size=spec.size)
+        c = x.T @ x if spec.kind == "linear" else piece_sums(x, y, w, spec, {})[0]
+        r = capture._eigen_record(3, x, y, w, spec, 0.01, "residual", {}).to_pylist()[0]
+        p, v = capture.factor(c, 0.01, "residual")
+        got = np.frombuffer(r["v"]).reshape(spec.size, r["r"])
+        assert r["r"] == p.shape[1] and np.allclose((got * np.frombuffer(r["values"])) @ got.T, p @ v.T, atol=1e-10)
