@@ -295,7 +295,7 @@ def test_ids_of_all_lengths_are_hashed_at_once(monkeypatch):
     assert calls == [2 * len(ids)] and manyhash.uniforms(ids[:0], ["rm"]).shape == (0, 1)
 
 
-@pytest.mark.parametrize("name", ["covtype_large_1", "covtype_small", "covtype_large_2"])
+@pytest.mark.parametrize("name", ["covtype_large_1", "covtype_small", "covtype_large_2", "sgemm_extended"])
 def test_registered_workloads_are_the_published_ones(monkeypatch, name):
     """No fewer iterations, columns, copies or rows a batch."""
     from delprop.plans import queries
@@ -320,7 +320,11 @@ def test_windows_of_iterations_give_the_run_that_holds_all(spark, sf, monkeypatc
         rows = workloads.run(spark, sf, name, (0.1,), repeat=2, workload=w).collect()
         return {r.method: r for r in rows}, len(held), max(workloads._array_bytes(s) for s in held)
 
+    kept_stored, written = workloads.stored, []
+    monkeypatch.setattr(workloads, "stored", lambda df, label, **o: (written.append((label, o)), kept_stored(df, label, **o))[1])
+    monkeypatch.setattr(workloads.measures, "stored", lambda *a: pytest.fail("a frame is stored twice"), raising=False)
     (whole, once, most), (got, many, least) = results(1 << 40), results(400_000)
+    assert {label for label, _ in written} == {"blocks", "factors"} and all(o["parquet.page.size.row.check.min"] == "1" for _, o in written)
     assert once == 1 and many > 3 and least < most / 2
     assert set(got) == set(whole) >= {"retrain", "spectral", "influence", "stale"}
     for method, r in whole.items():
