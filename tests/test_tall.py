@@ -295,7 +295,7 @@ def test_ids_of_all_lengths_are_hashed_at_once(monkeypatch):
     assert calls == [2 * len(ids)] and manyhash.uniforms(ids[:0], ["rm"]).shape == (0, 1)
 
 
-@pytest.mark.parametrize("name", ["covtype_large_1", "covtype_small", "covtype_large_2", "sgemm_extended", "heartbeat", "heartbeat_extended"])
+@pytest.mark.parametrize("name", ["covtype_large_1", "covtype_small", "covtype_large_2", "sgemm_extended", "heartbeat", "heartbeat_extended", "covtype_extended"])
 def test_registered_workloads_are_the_published_ones(monkeypatch, name):
     """No fewer iterations, columns, copies or rows a batch."""
     from delprop.plans import queries
